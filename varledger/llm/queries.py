@@ -23,9 +23,30 @@ def packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(_table(spark, sf_dir, "documents"), tokenizer=_vocab("byte_bpe_50k.json"))
 
 
+def token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .token_counts import count_tokens
+
+    return count_tokens(_table(spark, sf_dir, "documents"), tokenizer=_vocab("word_bpe_49k.json"))
+
+
+def token_archive(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .token_archive import archive_documents
+
+    return archive_documents(_table(spark, sf_dir, "documents"), tokenizer=_vocab("byte_bpe_50k.json"))
+
+
+def piece_encoding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .pieces import encode_pieces
+
+    return encode_pieces(_table(spark, sf_dir, "documents"), model_path=_vocab("piece_bpe_32k.model"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op6_token_counts": token_counts,
         "op7_packing": packing,
+        "op8_token_archive": token_archive,
+        "op9_piece_encoding": piece_encoding,
     }
 
 
