@@ -31,7 +31,11 @@ def _repeats(rows: DataFrame) -> DataFrame:
         "h",
         F.when(
             n > WINDOW,
-            F.transform(F.sequence(F.lit(1), n - (WINDOW - 1)), lambda i: F.xxhash64(F.slice("words", i, WINDOW))),
+            # Element by element: slice() would copy the whole array each time.
+            F.transform(
+                F.sequence(F.lit(0), n - WINDOW),
+                lambda i: F.xxhash64(*[F.get(F.col("words"), i + k) for k in range(WINDOW)]),
+            ),
         ).otherwise(F.expr("cast(array() as array<bigint>)")),
     )
     # Hash and place, sorted, for rows where some hash repeats.
