@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-NAMES = ("profiles",)
+NAMES = ("profiles", "archive")
 
 
 def modules():
