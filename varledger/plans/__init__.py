@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-NAMES = ("profiles", "archive")
+NAMES = ("profiles", "archive", "graphs")
 
 
 def modules():
