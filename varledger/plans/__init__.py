@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-NAMES = ("profiles", "archive", "graphs")
+NAMES = ("profiles", "archive", "graphs", "statistics")
 
 
 def modules():
