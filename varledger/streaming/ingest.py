@@ -14,11 +14,11 @@ from ..operators.ledger import append
 
 def windowed_profile(
     rows: DataFrame, *, value: str = "value", time: str = "ts", by: list[str] | None = None, length: str = "7 days",
-    slide: str | None = None, watermark: str = "1 day",
+    slide: str | None = None, watermark: str | None = "1 day",
 ) -> DataFrame:
     """Class of a variable by time window (tumbling, or sliding by ``slide``),
-    on a stream with a watermark or on a batch alike."""
-    if rows.isStreaming:
+    on a stream with a watermark (None: it has one already) or on a batch."""
+    if rows.isStreaming and watermark:
         rows = rows.withWatermark(time, watermark)
     window = F.window(time, length, slide) if slide else F.window(time, length)
     return classify.classified(evidence.profile_cells(rows.withColumn("window", window), ["window", *(by or [])], value=value))
