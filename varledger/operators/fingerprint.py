@@ -31,9 +31,9 @@ def by_doi(deposits: DataFrame, papers: DataFrame) -> DataFrame:
 
 
 def by_title(deposits: DataFrame, papers: DataFrame) -> DataFrame:
-    """Pairs whose normalised titles contain one another.  Titles meet through
-    the rarest word of the shorter side only, which any container must hold, so
-    there is no bare product."""
+    """Pairs of which one normalised title lies inside the other at word bounds.
+    Titles meet through the rarest word of the contained side only, which any
+    container must hold, so there is no bare product."""
     a = deposits.select("deposit_id", normal_title(F.col("title")).alias("ta")).where("ta <> ''")
     b = papers.select("paper_id", normal_title(F.col("title")).alias("tb")).where("tb <> ''")
     words_a = a.select("deposit_id", "ta", F.explode(F.array_distinct(F.split("ta", " "))).alias("w"))
@@ -44,10 +44,9 @@ def by_title(deposits: DataFrame, papers: DataFrame) -> DataFrame:
         ranked = words.join(df, "w").groupBy(key, t).agg(F.min(F.struct("df", "w")).alias("m"))
         return ranked.select(key, t, F.col("m.w").alias("w"))
 
-    # A contained title may begin or end inside a word of the container, so the
-    # blocking word has to be whole there; titles of one word need no middle.
-    inside = rarest(words_a, "deposit_id", "ta").join(words_b, "w").where(F.col("tb").contains(F.col("ta")))
-    around = rarest(words_b, "paper_id", "tb").join(words_a, "w").where(F.col("ta").contains(F.col("tb")))
+    bound = lambda t: F.concat(F.lit(" "), t, F.lit(" "))
+    inside = rarest(words_a, "deposit_id", "ta").join(words_b, "w").where(bound(F.col("tb")).contains(bound(F.col("ta"))))
+    around = rarest(words_b, "paper_id", "tb").join(words_a, "w").where(bound(F.col("ta")).contains(bound(F.col("tb"))))
     cols = ["deposit_id", "paper_id"]
     return inside.select(cols).unionByName(around.select(cols)).distinct().withColumn("method", F.lit("title"))
 

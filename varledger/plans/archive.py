@@ -295,12 +295,9 @@ def pairing_status(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-_T = r"""WITH t AS (SELECT page_id, trim(regexp_replace(lower(regexp_extract(html, '<title>([^<]*)</title>', 1)), '[^\p{L}\p{Nd}]+', ' ', 'g')) AS t FROM pages),
-p AS (SELECT DISTINCT a.page_id AS deposit_id, b.page_id AS paper_id FROM (SELECT * FROM t WHERE page_id % 3 <> 0 AND t <> '') a JOIN (SELECT * FROM t WHERE t <> '') b
-ON (contains(b.t, a.t) AND list_contains(string_split(b.t, ' '), a.w) OR contains(a.t, b.t) AND list_contains(string_split(a.t, ' '), b.w)))"""
-#: Containment of whole titles, as the blocking sees it: any shared rare word is
-#: implied wherever a title of two words and more lies inside another.
-PAIRING_SQL = _T.replace(" AND list_contains(string_split(b.t, ' '), a.w)", "").replace(" AND list_contains(string_split(a.t, ' '), b.w)", "")
+PAIRING_SQL = r"""WITH t AS (SELECT page_id, ' ' || trim(regexp_replace(lower(regexp_extract(html, '<title>([^<]*)</title>', 1)), '[^\p{L}\p{Nd}]+', ' ', 'g')) || ' ' AS t FROM pages),
+p AS (SELECT DISTINCT a.page_id AS deposit_id, b.page_id AS paper_id FROM (SELECT * FROM t WHERE page_id % 3 <> 0 AND t <> '  ') a
+JOIN (SELECT * FROM t WHERE t <> '  ') b ON contains(b.t, a.t) OR contains(a.t, b.t))"""
 
 
 def queries():
