@@ -2,8 +2,9 @@
 
 1. Documents become sets of shingle hashes; equal sets are one set from here
    on (its id is a hash of the sorted set).
-2. One packed exchange counts in how many sets each shingle occurs; sets get
-   back the shingles that some other set has, with those counts.  A set of
+2. One packed exchange counts in how many sets each shingle occurs (equal sets
+   of different tasks count apart, which only adds candidates); sets get back
+   the shingles that some other set has, with those counts.  A set of
    which less than the threshold is shared has no partner and leaves.
 3. Of the others, the rarest shingles that any partner must touch (prefix in
    the global order of count, then hash) tie sets to blocks; no link leaves a
@@ -25,6 +26,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -89,11 +91,13 @@ def document_sets(docs: DataFrame, *, id_col: str, text_col: str, width: int) ->
     return rows.mapInArrow(run, "doc_id long, n_shingles long, sid long")
 
 
-def _postings(width: int, buckets: int):
-    """Rows (place, data): shingles of a hash range with the number of their
-    set in a table of set ids and sizes.  Equal sets of a chunk count once."""
+def _postings(width: int, buckets: int, spread: int):
+    """Rows (place, chunk, data).  Places below ``buckets`` hold the shingles of
+    a hash range with the number of their set in the chunk; the others, one a
+    chunk, the ids and sizes behind the numbers.  Equal sets of a chunk are one.
+    """
 
-    def emit(sets: dict[int, np.ndarray]) -> pa.RecordBatch:
+    def emit(chunk: int, sets: dict[int, np.ndarray]) -> pa.RecordBatch:
         sids = np.array(list(sets), dtype=np.int64)
         size = np.array([len(s) for s in sets.values()])
         key = np.concatenate(list(sets.values()))
@@ -101,18 +105,21 @@ def _postings(width: int, buckets: int):
         by = np.argsort(key)
         key, own = key[by], own[by]
         edges = bucket_edges(key, buckets, BITS)
-        places, data = [], []
-        for b in range(buckets):
-            lo, hi = edges[b], edges[b + 1]
-            if hi > lo:
-                used, number = np.unique(own[lo:hi], return_inverse=True)
-                places.append(b)
-                data.append(packed([key[lo:hi], number]) + packed([np.zeros(len(used)), sids[used].view(np.uint64), size[used]]))
-        return pa.RecordBatch.from_pydict({"place": pa.array(places, pa.int64()), "data": pa.array(data, pa.binary())})
+        places, data = [buckets + chunk % spread], [packed([np.arange(len(sids)), sids.view(np.uint64), size])]
+        for b in np.flatnonzero(np.diff(edges)).tolist():
+            places.append(b)
+            data.append(packed([key[edges[b] : edges[b + 1]], own[edges[b] : edges[b + 1]]]))
+        return pa.RecordBatch.from_pydict(
+            {
+                "place": pa.array(places, pa.int64()),
+                "chunk": pa.array([chunk] * len(places), pa.int64()),
+                "data": pa.array(data, pa.binary()),
+            }
+        )
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sets: dict[int, np.ndarray] = {}
-        held = 0
+        held, chunk = 0, TaskContext.get().partitionId() << 24
         for whole in batches:
             for lo in range(0, whole.num_rows, 512):
                 texts = [t or b"" for t in whole.column(0).slice(lo, 512).cast(pa.binary()).to_pylist()]
@@ -121,47 +128,40 @@ def _postings(width: int, buckets: int):
                         sets[sid] = s
                         held += len(s)
                 if held >= CHUNK_WORDS:
-                    yield emit(sets)
-                    sets, held = {}, 0
+                    yield emit(chunk, sets)
+                    sets, held, chunk = {}, 0, chunk + 1
         if sets:
-            yield emit(sets)
+            yield emit(chunk, sets)
 
     return run
 
 
-def _share(homes: int):
-    """Of one hash range: the shingles in two sets or more, for their sets."""
+def _share(buckets: int):
+    """Of one hash range: the shingles in two sets or more, for their chunks."""
 
     def run(table: pa.Table) -> pa.Table:
-        cols = [unpacked(raw) for raw in table.column("data").to_pylist()]
+        chunks, data = table.column("chunk").to_pylist(), table.column("data").to_pylist()
+        if table.column("place")[0].as_py() >= buckets:
+            return pa.table({"chunk": pa.array(chunks, pa.int64()), "ids": pa.array(data, pa.binary()), "shared": pa.array([None] * len(data), pa.binary())})
+        cols = [unpacked(raw) for raw in data]
         key = np.concatenate([c[0] for c in cols])
-        sid = np.concatenate([c[3][c[1].astype(np.int64)].view(np.int64) for c in cols])
-        size = np.concatenate([c[4][c[1].astype(np.int64)] for c in cols])
-        by = np.lexsort((sid, key))
-        key, sid, size = key[by], sid[by], size[by]
-        # The same set from another chunk is no other set.
-        once = np.concatenate([[True], (key[1:] != key[:-1]) | (sid[1:] != sid[:-1])])
-        key, sid, size = key[once], sid[once], size[once]
-        first = groups(key)
-        n = np.diff(np.append(first, len(key)))
+        own = np.concatenate([c[1] for c in cols])
+        of = np.repeat(np.arange(len(cols)), [len(c[0]) for c in cols])
+        by = np.argsort(key)
+        key, own, of = key[by], own[by], of[by]
+        n = np.diff(np.append(groups(key), len(key)))
         df = np.repeat(n, n)
         more = df > 1
-        key, sid, size, df = key[more], sid[more], size[more], df[more]
-        home = sid % homes
-        by = np.lexsort((sid, home))
-        key, sid, size, df, home = key[by], sid[by], size[by], df[by], home[by]
-        edges = np.append(groups(home), len(home))
-        out = []
-        for lo, hi in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
-            run_at = groups(sid[lo:hi])
-            each = np.diff(np.append(run_at, hi - lo))
-            heads = packed([np.zeros(len(run_at)), sid[lo:hi][run_at].view(np.uint64), size[lo:hi][run_at], each])
-            out.append((int(home[lo]), heads, packed([np.zeros(hi - lo), key[lo:hi], df[lo:hi]])))
+        key, own, of, df = key[more], own[more], of[more], df[more]
+        by = np.lexsort((own, of))
+        key, own, of, df = key[by], own[by], of[by], df[by]
+        edges = np.append(groups(of), len(of)).tolist()
+        out = [(chunks[of[lo]], packed([own[lo:hi], key[lo:hi], df[lo:hi]])) for lo, hi in zip(edges[:-1], edges[1:], strict=True)]
         return pa.table(
             {
-                "home": pa.array([o[0] for o in out], pa.int64()),
-                "heads": pa.array([o[1] for o in out], pa.binary()),
-                "body": pa.array([o[2] for o in out], pa.binary()),
+                "chunk": pa.array([o[0] for o in out], pa.int64()),
+                "ids": pa.array([None] * len(out), pa.binary()),
+                "shared": pa.array([o[1] for o in out], pa.binary()),
             }
         )
 
@@ -169,27 +169,23 @@ def _share(homes: int):
 
 
 def _candidates(percent: int):
-    """Of one home: sets that may have a partner, with their shared shingles
+    """Of one chunk: sets that may have a partner, with their shared shingles
     sorted, their prefix and how common their shingles are."""
 
     def run(table: pa.Table) -> pa.Table:
-        parts = []
-        for heads, body in zip(table.column("heads").to_pylist(), table.column("body").to_pylist(), strict=True):
-            _, sid, size, each = unpacked(heads)
-            _, key, df = unpacked(body)
-            each = each.astype(np.int64)
-            parts.append((np.repeat(sid.view(np.int64), each), np.repeat(size, each), key, df))
-        sid, size, key, df = (np.concatenate(c) for c in zip(*parts, strict=True))
-        by = np.lexsort((key, df, sid))
-        sid, size, key, df = sid[by], size[by].astype(np.int64), key[by], df[by].astype(np.int64)
-        edges = np.append(groups(sid), len(sid))
+        _, ids, n_of = unpacked(next(x for x in table.column("ids").to_pylist() if x is not None))
+        parts = [unpacked(x) for x in table.column("shared").to_pylist() if x is not None]
+        own, key, df = (np.concatenate(c) for c in zip(*parts, strict=True)) if parts else (np.zeros(0, np.uint64),) * 3
+        by = np.lexsort((key, df, own))
+        own, key, df = own[by].astype(np.int64), key[by], df[by].astype(np.int64)
+        edges = np.append(groups(own), len(own))
         sids, sizes, keys, prefixes, common = [], [], [], [], []
         for lo, hi in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
-            n = int(size[lo])
+            n = int(n_of[own[lo]])
             least = required(n, percent)
             if hi - lo < least:
                 continue
-            sids.append(int(sid[lo]))
+            sids.append(int(ids[own[lo]].astype(np.int64)))
             sizes.append(n)
             # Shingles that no other set has come first in the order; they use
             # up the prefix before the shared ones.
@@ -427,14 +423,15 @@ def jaccard_components(
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     buckets = buckets or 2 * parts
     rows = written(document_sets(docs, id_col=id_col, text_col=text_col, width=width), "jaccard-sets")
-    posts = docs.select(F.col(text_col).cast("string")).mapInArrow(_postings(width, buckets), "place long, data binary")
-    shared = posts.groupBy("place").applyInArrow(_share(2 * parts), "home long, heads binary, body binary")
-    candidates = written(
-        shared.groupBy("home").applyInArrow(
-            _candidates(percent), "sid long, n long, keys binary, prefix array<long>, common double"
-        ),
-        "jaccard-candidates",
+    posts = docs.select(F.col(text_col).cast("string")).mapInArrow(
+        _postings(width, buckets, parts), "place long, chunk long, data binary"
+    )
+    shared = posts.groupBy("place").applyInArrow(_share(buckets), "chunk long, ids binary, shared binary")
+    found = shared.groupBy("chunk").applyInArrow(
+        _candidates(percent), "sid long, n long, keys binary, prefix array<long>, common double"
     )
+    # Equal sets of different chunks are one set.
+    candidates = written(found.dropDuplicates(["sid"]), "jaccard-candidates")
     links = set_links(candidates, percent=percent, slice_sets=slice_sets)
     found = connected_components(links)
     placed = written(
