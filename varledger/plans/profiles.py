@@ -32,10 +32,16 @@ NUMERIC = {
 def shown(profiles: DataFrame, *keys: str) -> DataFrame:
     return profiles.select(
         *keys, "n", "nonnull", "n_distinct", "vmin", "vmax", "n_negative", "n_unit", "all_integer",
-        F.round("mean", 4).alias("mean"), F.round("skew", 3).alias("skew"), "class",
+        _rounded("mean", 4), _rounded("skew", 3), "class",
     )
 
 
+def _rounded(c: str, digits: int):
+    """Rounded, with one zero."""
+    x = F.round(c, digits)
+    return F.when(x == 0, 0.0).otherwise(x).alias(c)
+
+
 def _profile(name: str):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         profiles = evidence.profile_columns(table(spark, sf_dir, name), NUMERIC[name])

@@ -80,4 +80,4 @@ def scale(cls: str = "class") -> str:
 
 SHOWN = """CAST(n AS BIGINT) AS n, CAST(nonnull AS BIGINT) AS nonnull, CAST(nd AS BIGINT) AS n_distinct, vmin, vmax,
 CAST(n_negative AS BIGINT) AS n_negative, CAST(n_unit AS BIGINT) AS n_unit, all_integer,
-round(mean, 4) AS mean, round(skew, 3) AS skew, class"""
+CASE WHEN round(mean, 4) = 0 THEN 0.0 ELSE round(mean, 4) END AS mean, CASE WHEN round(skew, 3) = 0 THEN 0.0 ELSE round(skew, 3) END AS skew, class"""
