@@ -60,7 +60,11 @@ def _repeats(rows: DataFrame) -> DataFrame:
     )
     step = F.zip_with("p", F.slice("p", 2, F.greatest(F.size("p"), F.lit(1))), lambda a, b: F.least(F.lit(WINDOW), F.coalesce(b - a, F.lit(WINDOW))))
     covered = F.aggregate(step, F.lit(0).cast("long"), lambda t, x: t + x)
-    return rows.withColumn("n_repeat_words", covered).drop("h", "s", "p")
+    # The rand() term is always 0.  It keeps the optimizer from moving a later
+    # filter on this count below these steps, where it would repeat them for
+    # every element.
+    barrier = F.floor(F.rand(0)).cast("long")
+    return rows.withColumn("n_repeat_words", covered + barrier).drop("h", "s", "p")
 
 
 def text_statistics(docs: DataFrame, *, text_col: str = "text") -> DataFrame:
