@@ -291,22 +291,23 @@ def link_all(sets: list[np.ndarray], n: np.ndarray, percent: int, first: list[in
 
 def _block(percent: int):
     """Of one slice: sid, label (the smallest sid it reaches here), and whether
-    a hub reaches it."""
+    the block's first hub reaches it.  Only one component may count as settled,
+    since sets that are settled are not asked about each other again."""
 
     def run(table: pa.Table) -> pa.Table:
         sid = np.array(table.column("sid").to_pylist(), dtype=np.int64)
-        hub = np.array(table.column("hub").to_pylist(), dtype=bool)
-        by = np.lexsort((sid, ~hub))
+        hub = np.array(table.column("hub").to_pylist(), dtype=np.int64)
+        by = np.lexsort((sid, np.where(hub > 0, hub, 1 << 30)))
         n = np.array(table.column("n").to_pylist(), dtype=np.int64)[by]
         keys = table.column("keys").to_pylist()
         sets = [np.frombuffer(keys[i], dtype="<u8") for i in by.tolist()]
         sid, hub = sid[by], hub[by]
         union = Union(len(sid))
-        link_all(sets, n, percent, list(range(int(hub.sum()))), union)
+        link_all(sets, n, percent, list(range(int((hub > 0).sum()))), union)
         low: dict[int, int] = {}
         for s, c in zip(sid.tolist(), union.label.tolist(), strict=True):
             low[c] = min(s, low.get(c, s))
-        reached = np.isin(union.label, union.label[hub]) if hub.any() else np.ones(len(sid), bool)
+        reached = union.label == union.label[0] if hub[0] == 1 else np.ones(len(sid), bool)
         block = table.column("block")[0].as_py()
         return pa.table(
             {
@@ -355,7 +356,7 @@ def set_links(sets: DataFrame, *, percent: int, slice_sets: int = 512, hubs: int
     large = size.where(F.col("size") > slice_sets).withColumn("slices", F.ceil(F.col("size") / slice_sets).cast("long"))
     in_slice = F.pmod(F.xxhash64("sid"), F.col("slices")).cast("long")
     whole = members.join(large.select("block"), "block", "left_anti").select(
-        "sid", "n", "keys", "block", F.lit(0).cast("long").alias("slice"), F.lit(False).alias("hub")
+        "sid", "n", "keys", "block", F.lit(0).cast("long").alias("slice"), F.lit(0).alias("hub")
     )
     # Hubs: the sets of a block with the commonest shingles, found without the
     # block in one task.
@@ -366,16 +367,17 @@ def set_links(sets: DataFrame, *, percent: int, slice_sets: int = 512, hubs: int
         big.select("block", "slice", "slices", "sid", "common")
         .withColumn("r", F.row_number().over(by_part)).where(F.col("r") <= hubs)
         .withColumn("r", F.row_number().over(by_block)).where(F.col("r") <= hubs)
-        .select(F.col("sid").alias("hub_sid"), F.col("block").alias("hub_block"), "slices")
+        .select(F.col("sid").alias("hub_sid"), F.col("block").alias("hub_block"), "slices", F.col("r").alias("hub"))
     )
     hub_rows = (
         members.join(best, (F.col("sid") == F.col("hub_sid")) & (F.col("block") == F.col("hub_block")))
-        .select("sid", "n", "keys", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("slices") - 1)).alias("slice"), F.lit(True).alias("hub"))
+        .select("sid", "n", "keys", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("slices") - 1)).alias("slice"), "hub")
     )
     hub_ids = best.select(F.col("hub_sid").alias("sid"))
-    sliced = big.join(hub_ids, "sid", "left_anti").select("sid", "n", "keys", "block", "slice", F.lit(False).alias("hub"))
+    sliced = big.join(hub_ids, "sid", "left_anti").select("sid", "n", "keys", "block", "slice", F.lit(0).alias("hub"))
     first = written(
-        whole.union(sliced).union(hub_rows).groupBy("block", "slice").applyInArrow(
+        # Dealt by slice: rows that come together by block would stay together.
+        whole.union(sliced).union(hub_rows).repartition("block", "slice").groupBy("block", "slice").applyInArrow(
             _block(percent), "sid long, label long, block long, settled boolean"
         ),
         "jaccard-labels",
@@ -396,7 +398,7 @@ def set_links(sets: DataFrame, *, percent: int, slice_sets: int = 512, hubs: int
         .withColumn("slice", F.explode(F.sequence(F.lit(0).cast("long"), F.col("slices") - 1)))
         .withColumn("asks", F.lit(True)).select(cols)
     )
-    more = asked.union(asks).groupBy("block", "part", "slice").applyInArrow(_tile(percent), "a long, b long")
+    more = asked.union(asks).repartition("block", "part", "slice").groupBy("block", "part", "slice").applyInArrow(_tile(percent), "a long, b long")
     return written(edges.union(more.where("a <> b")), "jaccard-links")
 
 
