@@ -250,8 +250,12 @@ class PieceModel:
         return "".join(out)
 
     def decode(self, ids: list[int]) -> str:
+        """Text of ids; the space mark that encoding puts in front goes, and only
+        if the first piece carries it."""
         back = self.surface(ids)
-        return back[1:] if self.dummy and back[:1] == " " else back
+        first = next((i for i in ids if i not in self.silent), None)
+        marked = first is not None and first not in self.unknown and self.text[first].startswith(SPACE)
+        return back[1:] if self.dummy and marked else back
 
 
 def _utf8(raw: bytes) -> str:
