@@ -117,4 +117,6 @@ def test_pipeline_stages_equal_brute_force(spark):
         assert r.n_chars == len(r.text)
     packed = stages["packing"](spark, fourth, SMALL)
     assert {r.doc_id for r in packed.select("doc_id").collect()} == {r.doc_id for r in fourth.collect()}
-    assert corpus_pipeline.run(spark, SMALL).count() == packed.count()
+    # How documents are cut depends on the tasks; what they hold does not.
+    whole = lambda df: sorted(map(tuple, df.groupBy("doc_id").agg(F.sum("length"), F.max("doc_tokens")).collect()))
+    assert whole(corpus_pipeline.run(spark, SMALL)) == whole(packed)
