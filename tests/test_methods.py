@@ -251,3 +251,20 @@ def test_running_profile_keeps_bounded_state(spark, tmp_path):
     assert (got["a"].n, got["a"].n_distinct, got["a"].overflow) == (50, 5, False)
     assert (got["b"].n, got["b"].n_distinct, got["b"].overflow) == (60, 26, True)
     assert abs(got["a"].mean - 2.0) < 1e-9
+
+
+def test_benchmark_rechecks_and_detector(spark):
+    from varledger.operators import benchmark
+
+    profiles = spark.createDataFrame([(1, "y", "count"), (2, "z", "continuous")], "deposit_id long, name string, class string")
+    links = spark.createDataFrame([(1, "y", "linear", "count", "reg"), (2, "z", "linear", "continuous", "lm")], "deposit_id long, column string, family string, class string, command string")
+    cases = spark.createDataFrame(
+        [(1, "y", "linear", "count", "mismatch"), (2, "z", "linear", "count", "control"), (3, "w", "linear", "count", "mismatch")],
+        "deposit_id long, outcome string, family string, recorded_class string, label string",
+    )
+    assert {(r.deposit_id, r.stratum) for r in benchmark.candidates(links).collect()} == {(1, "count-linear"), (2, "other fields")}
+    checked = benchmark.recheck(cases, profiles, links)
+    got = {r.deposit_id: (r.resolves, r.same_class, r.link_confirmed) for r in checked.collect()}
+    assert got == {1: (True, True, True), 2: (True, False, True), 3: (False, False, False)}
+    assert tuple(benchmark.profiler_agreement(checked).first()) == (3, 1, 2)
+    assert tuple(benchmark.detector(cases, screen.flagged(links)).first()) == (1.0, 0.5)
