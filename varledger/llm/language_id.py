@@ -192,7 +192,7 @@ def held_out(id_col: str = "doc_id") -> Column:
     return F.coalesce(F.crc32(F.col(id_col).cast("string").cast("binary")) % 3 == 1, F.lit(True))
 
 
-def fit(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", per_class: int = 300, most: int = 1200) -> Model:
+def fit(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", per_class: int = 120, most: int = 480) -> Model:
     """Fit on a sample of labelled rows outside the held-out fold: about
     ``per_class`` of each language, ``most`` in all.  Which rows are in it
     depends on a hash of the text alone, so it is the same on every run.  Each
