@@ -1,5 +1,6 @@
 """Substring dedup, quality rules, Jaccard join, language ID."""
 
+import itertools
 import random
 
 import pytest
@@ -81,6 +82,35 @@ def test_jaccard_large_blocks_lose_no_link(spark, monkeypatch):
         assert sorted(map(tuple, jaccard_components(df, slice_sets=size).collect())) == sorted(components(rows))
 
 
+@pytest.mark.parametrize("leaves", [2, 4])
+def test_no_link_is_lost_in_any_order_of_ids(leaves):
+    """A path of three and a star: copies of one set that are not copies of each other."""
+    import numpy as np
+
+    base = np.arange(100)
+    star = [base] + [np.append(np.delete(base, range(8 * i, 8 * i + 8)), 1000 + 8 * i + np.arange(8)) for i in range(leaves)]
+    star = [np.sort(s).astype(np.uint64) for s in star]
+    for order in itertools.permutations(range(leaves + 1)):
+        union = jaccard_join.Union(leaves + 1)
+        jaccard_join.link_all([star[i] for i in order], np.full(leaves + 1, 100), 80, [], union)
+        assert len(set(union.label.tolist())) == 1, order
+
+
+def test_jaccard_whole_blocks_lose_no_link(spark):
+    """Paths and stars of texts, each a block far below slice_sets."""
+    rows = []
+    for g in range(24):
+        base = [f"g{g}w{i}" for i in range(104)]
+        rows.append((10 * g, " ".join(base)))
+        for i in range(2 if g % 2 else 4):
+            at = 10 + 20 * i
+            rows.append((10 * g + i + 1, " ".join(base[:at] + [f"g{g}n{i}x{j}" for j in range(4)] + base[at + 4 :])))
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    want = sorted(components(rows))
+    assert {c for _, _, c in want} == {10 * g for g in range(24)}
+    assert sorted(map(tuple, jaccard_components(df, slice_sets=512).collect())) == want
+
+
 def test_empty_tables(empty):
     assert remove_repeats(empty).count() == 0
     assert judge(empty).count() == 0

@@ -268,25 +268,33 @@ class Union:
 
 
 def link_all(sets: list[np.ndarray], n: np.ndarray, percent: int, first: list[int], union: Union, queries=None) -> None:
-    """Join in ``union`` the sets that are linked.  A link between components
-    has an end outside the largest, so only sets outside it need a search;
-    those in ``first`` go before the others.  ``queries`` restricts searches."""
+    """Join in ``union`` the sets that are linked.  A set is put off while it is
+    in the largest component, and its turn comes again until all sets without a
+    search are in one component: a link between components then has a searched
+    end.  Those in ``first`` are not put off and go before the others;
+    ``queries`` restricts searches to its sets, all of which are made."""
     index = SetIndex(sets)
-    todo = first + [i for i in (range(len(sets)) if queries is None else queries) if i not in set(first)]
-    for done, q in enumerate(todo):
-        label, size = np.unique(union.label, return_counts=True)
-        if len(label) == 1:
-            return
-        if queries is None and done >= len(first) and union.label[q] == label[np.argmax(size)]:
-            continue
-        least = required(int(n[q]), percent)
-        near = (n * 100 >= n[q] * percent) & (n * percent <= n[q] * 100) & (union.label != union.label[q])
-        if not near.any():
-            continue
-        found, overlap = index.search(sets[q], least, near)
-        hit = found[100 * overlap >= percent * (n[q] + n[found] - overlap)]
-        if len(hit):
-            union.join(q, hit)
+    ahead = set(first)
+    todo = first + [i for i in (range(len(sets)) if queries is None else queries) if i not in ahead]
+    at_once = len(first) if queries is None else len(todo)
+    while len(np.unique(union.label[todo])) > 1 or at_once:
+        later = []
+        for done, q in enumerate(todo):
+            label, size = np.unique(union.label, return_counts=True)
+            if len(label) == 1:
+                return
+            if done >= at_once and union.label[q] == label[np.argmax(size)]:
+                later.append(q)
+                continue
+            least = required(int(n[q]), percent)
+            near = (n * 100 >= n[q] * percent) & (n * percent <= n[q] * 100) & (union.label != union.label[q])
+            if not near.any():
+                continue
+            found, overlap = index.search(sets[q], least, near)
+            hit = found[100 * overlap >= percent * (n[q] + n[found] - overlap)]
+            if len(hit):
+                union.join(q, hit)
+        todo, at_once = later, 0
 
 
 def _block(percent: int):
