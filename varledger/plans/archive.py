@@ -143,12 +143,12 @@ def family_norms(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _cases(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Planted cases: one for each of the first 400 deposits, its outcome and
-    family by the generator's arithmetic, its label by the profiled class."""
+    """Planted cases: one for each deposit, its outcome and family by the
+    generator's arithmetic, its label by the profiled class."""
     key = F.col("deposit_id")
     kind = key % 7
     outcome = archive._pick(archive.OUTCOMES, key)
-    base = archive.deposits(spark, sf_dir).where(key <= 400).select(
+    base = archive.deposits(spark, sf_dir).select(
         "deposit_id", outcome.alias("outcome"), F.when(kind.isin(3, 4), "count").otherwise("linear").alias("family"),
         F.when(key % 100 < 39, "unread_command").when(key % 100 < 70, "built_in_code").otherwise("none").alias("cause"),
     )
