@@ -23,7 +23,10 @@ def whole(sql):
     return re.sub(r"\s+WHERE (t\.deposit_id|p_partkey) <= \d+(?=\))", "", sql)
 
 
-@pytest.mark.parametrize("name", ["recovery_deposit", "recovery_case", "miss_reasons"])
+@pytest.mark.parametrize("name", [
+    "recovery_deposit", "recovery_case", "miss_reasons",
+    "fingerprint_scores", "fingerprint_grid", "fingerprint_movement", "fingerprint_misses",
+])
 def test_every_deposit_takes_part(spark, medium, name):
     import __spark_entry__ as entry
 

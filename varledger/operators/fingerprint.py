@@ -127,8 +127,8 @@ def guard(rows: DataFrame, names: DataFrame) -> DataFrame:
 def score(rows: DataFrame, cases: DataFrame, twins: DataFrame) -> DataFrame:
     """Per (arm, extractor, case): exact link, derived link (an accepted twin),
     any link, family match and both.  Picks as a predictor do not count."""
-    pick = rows.join(F.broadcast(cases.select("case_id", F.col("column").alias("want"), F.col("family").alias("want_family"))), "case_id", "right")
-    pick = pick.join(F.broadcast(twins.select("case_id", F.col("column").alias("twin"))), "case_id", "left")
+    pick = rows.join(cases.select("case_id", F.col("column").alias("want"), F.col("family").alias("want_family")), "case_id", "right")
+    pick = pick.join(twins.select("case_id", F.col("column").alias("twin")), "case_id", "left")
     used = (F.col("status") == "accepted") & (F.col("use") == "outcome")
     exact = used & (F.col("column") == F.col("want"))
     derived = used & (F.col("column") == F.col("twin")) & (F.col("column") != F.col("want"))

@@ -215,9 +215,9 @@ EXTRACTORS = ("A", "B", "C", "D", "two-step")
 
 
 def _records(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Responses for the first 200 deposits by arithmetic on arm, extractor and
-    case: exact picks, twins, predictor-only picks, refusals, unknown columns
-    and malformed text."""
+    """Responses for every deposit by arithmetic on arm, extractor and case:
+    exact picks, twins, predictor-only picks, refusals, unknown columns and
+    malformed text."""
     arms = spark.createDataFrame([(i, a) for i, a in enumerate(ARMS)], "ai int, arm string")
     who = spark.createDataFrame([(i, e) for i, e in enumerate(EXTRACTORS)], "ei int, extractor string")
     c = F.col("deposit_id")
@@ -232,17 +232,17 @@ def _records(spark: SparkSession, sf_dir: str) -> DataFrame:
         F.when(roll == 16, "predictor").otherwise("outcome").alias("use"),
     ))
     response = F.when(roll == 18, "[{outcome: broken").otherwise(F.to_json(row))
-    cases = archive.deposits(spark, sf_dir).where(c <= 200).select("deposit_id")
+    cases = archive.deposits(spark, sf_dir).select("deposit_id")
     return cases.join(F.broadcast(arms)).join(F.broadcast(who)).select("arm", "extractor", "deposit_id", c.alias("case_id"), response.alias("response"))
 
 
 def scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     c = F.col("deposit_id")
-    cases = archive.deposits(spark, sf_dir).where(c <= 200).select(
+    cases = archive.deposits(spark, sf_dir).select(
         c.alias("case_id"), archive._pick(archive.OUTCOMES, c).alias("column"),
         F.when((c % 7).isin(3, 4), "count").otherwise("linear").alias("family"),
     )
-    twins = archive.deposits(spark, sf_dir).where(c <= 200).select(c.alias("case_id"), archive._pick(archive.OUTCOMES, c + 1).alias("column"))
+    twins = archive.deposits(spark, sf_dir).select(c.alias("case_id"), archive._pick(archive.OUTCOMES, c + 1).alias("column"))
     names = archive.cells(spark, sf_dir).select("deposit_id", "name").distinct()
     rows = fingerprint.guard(fingerprint.parse(_records(spark, sf_dir)), names)
     return fingerprint.score(rows, cases, twins)
