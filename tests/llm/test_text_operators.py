@@ -124,6 +124,24 @@ def test_language_of_held_out_documents(spark):
     assert told > 0.97
 
 
+def test_copies_do_not_fill_the_training_sample(spark, monkeypatch):
+    """Thousands of copies of the text that any draw by its hash takes first."""
+    from varledger.llm import language_id
+
+    made = spark.range(8000).select(F.concat(F.lit("ala kota numer "), F.col("id").cast("string"), F.lit(" ma dom")).alias("text"))
+    spot = F.pmod(F.xxhash64("text", F.lit(7)), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    first = made.where(spot < 0.01).orderBy(F.xxhash64("text")).first().text
+    rows = [(3 * i, first, "aa") for i in range(6000)]
+    rows += [(100_000 + i, f"{lang} beta gamma {i} delta", lang) for lang in ("aa", "bb", "cc", "dd") for i in range(300)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string").repartition(4)
+    got = {}
+    monkeypatch.setattr(language_id, "Model", lambda x, langs: got.update(x=x, langs=langs))
+    fit(df)
+    for lang in ("aa", "bb", "cc", "dd"):
+        own = [x.tobytes() for x, of in zip(got["x"], got["langs"], strict=True) if of == lang]
+        assert len(own) > 240 and len(set(own)) > 100, lang
+
+
 def test_language_edges(docs, rows):
     got = {r.at: r for r in identify(docs, fit(docs)).select(F.col("row.n_words").alias("at"), "lang_pred", "score").collect()}
     assert len(got) == len(rows)

@@ -14,7 +14,7 @@ from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 #: ISO 639-1 codes by family.  Others are families by themselves.
@@ -194,21 +194,23 @@ def held_out(id_col: str = "doc_id") -> Column:
 
 def fit(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", per_class: int = 120, most: int = 480) -> Model:
     """Fit on a sample of labelled rows outside the held-out fold: about
-    ``per_class`` of each language, ``most`` in all.  Which rows are in it
-    depends on a hash of the text alone, so it is the same on every run.  Each
-    row's whole text is an example, and so are two cuts of it, since short texts
-    must be told, too.  The driver gets frequencies of fixed size, no texts."""
+    ``per_class`` of each language, ``most`` in all but one at least of each.
+    Copies of a text count once.  Which texts are in it depends on a hash of
+    the text alone, so it is the same on every run.  Each text is an example,
+    and so are two cuts of it, since short texts must be told, too.  The driver
+    gets frequencies of fixed size, no texts."""
     labelled = docs.select(
         F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("text"), held_out(id_col).alias("held_out")
-    ).where("lang IS NOT NULL AND text IS NOT NULL AND NOT held_out")
-    counts = {r.lang: r["count"] for r in labelled.groupBy("lang").count().toLocalIterator()}
-    each = min(per_class, max(1, most // max(1, len(counts))))
-    # A fraction of each language, then a firm bound on rows.
-    share = F.lit(0.0)
-    for lang, n in counts.items():
-        share = F.when(F.col("lang") == lang, F.lit(min(1.0, 1.5 * each / n))).otherwise(share)
-    spot = F.pmod(F.xxhash64("text", F.lit(7)), F.lit(1 << 30)) / F.lit(float(1 << 30))
-    rows = labelled.where(spot < share).orderBy(F.xxhash64("text"), "lang").limit(2 * most).select("lang", "text")
+    ).where(r"lang IS NOT NULL AND text RLIKE '\\p{L}' AND NOT held_out").select("lang", "text", F.xxhash64("text").alias("h"))
+    langs_seen = labelled.agg(F.countDistinct("lang")).first()[0]
+    each = min(per_class, max(1, most // max(1, langs_seen)))
+    # More than are used, since a short text has fewer cuts.
+    drawn = each + (each + 1) // 2
+    place = F.row_number().over(Window.partitionBy("lang").orderBy("h"))
+    chosen = labelled.select("lang", "h").distinct().withColumn("r", place).where(F.col("r") <= drawn).select("lang", "h")
+    one = labelled.join(F.broadcast(chosen), ["lang", "h"], "left_semi").dropDuplicates(["lang", "h"])
+    # The limit drops nothing: it makes one sorted task of what was drawn.
+    rows = one.orderBy("h", "lang").limit(max(1, drawn * langs_seen)).select("lang", "text")
     taken: dict[str, list[np.ndarray]] = {}
     for r in rows.mapInArrow(_examples, "lang string, x binary").toLocalIterator():
         own = taken.setdefault(r.lang, [])
