@@ -34,6 +34,24 @@ def test_top_k_with_ties_nulls_and_few(spark):
     assert top_k(df.where("false"), df.where("false")).count() == 0
 
 
+def test_top_k_of_every_length_equals_sql(spark):
+    """Queries of three lengths; the commonest length of a query is none."""
+    import duckdb
+
+    from varledger.llm.oracles import TOP_K
+
+    lengths = {0: 6, 50: 3, 100: 4, 150: 4}
+    rows = [(i, [((i * 37 + j * 11) % 17 - 8) / 8.0 for j in range(lengths.get(i, 2 + i % 6))]) for i in range(180)]
+    con = duckdb.connect()
+    con.execute("CREATE TABLE embeddings (vec_id BIGINT, embedding FLOAT[])")
+    con.executemany("INSERT INTO embeddings VALUES (?, ?)", rows)
+    want = sorted(con.execute(TOP_K).fetchall())
+    assert len(want) == 20
+    rows += [(i, []) for i in range(1000, 1500, 50)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>").repartition(4)
+    assert sorted(map(tuple, top_k(df, df.where("vec_id % 50 = 0")).collect())) == want
+
+
 def brute_pages(rows):
     raw = [(p, (h or "").encode()) for p, h in rows]
     top = {}

@@ -41,6 +41,13 @@ def usable(embedding: str) -> F.Column:
     return F.col(embedding).isNotNull() & ~F.coalesce(bad, F.lit(True))
 
 
+def _fitted(vector: str, width: int) -> F.Column:
+    """The vector cut or filled with zeros to a length."""
+    lacking = F.greatest(F.lit(width) - F.size(vector), F.lit(0))
+    other = F.concat(F.slice(vector, 1, width), F.array_repeat(F.lit(0).cast("long"), lacking))
+    return F.when(F.size(vector) == width, F.col(vector)).otherwise(other)
+
+
 def _matrix(column: pa.Array) -> np.ndarray:
     flat = column.flatten().to_numpy(zero_copy_only=False)
     return flat.reshape(len(column), -1).astype(np.float64)
@@ -151,57 +158,58 @@ def top_k(
     """query_id, rank (from 1), vec_id, score: the k best inner products of
     floor(scale * x) over all rows but those with the query's own id.
 
-    Ties go to the smaller id.  Rows with a null id, a null vector, a null or
-    non-finite component or another length than most of the queries' take no
-    part.  Ids that repeat: each row is a candidate, and the query is asked
+    Ties go to the smaller id.  Rows with a null id, a null or empty vector or
+    a null or non-finite component take no part.  Of vectors of two lengths the
+    components that both have count; the search runs once for each length of
+    queries.  Ids that repeat: each row is a candidate, and the query is asked
     once, with its smallest vector.  Fewer candidates than k: all.  Scores
     below 2**53 are exact.  Queries go in blocks of about ``block``; what is
     broadcast is one block's vectors and cutoffs.
     """
     spark = vectors.sparkSession
-    ready = lambda df: df.where(F.col(id_col).isNotNull() & usable(vector_col)).select(
+    ready = lambda df: df.where(F.col(id_col).isNotNull() & usable(vector_col) & (F.size(vector_col) > 0)).select(
         F.col(id_col).cast("long").alias("vec_id"), quantised(vector_col, scale).alias("v")
     )
     asked = written(ready(queries).groupBy("vec_id").agg(F.min("v").alias("v")), "topk-queries")
-    sizes = asked.groupBy(F.size("v").alias("width")).count().orderBy(F.desc("count"), "width").first()
-    schema = "query_id long, rank int, vec_id long, score long"
-    if sizes is None or not sizes.width:
-        return spark.createDataFrame([], schema)
-    asked = asked.where(F.size("v") == sizes.width)
-    rows = ready(vectors).where(F.size("v") == sizes.width)
-    blocks = math.ceil(sizes["count"] / block)
+    sizes = asked.groupBy(F.size("v").alias("width")).count().orderBy("width").collect()
+    if not sizes:
+        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
+    rows = ready(vectors)
     out = None
-    for b in range(blocks):
-        part = asked.where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b).toArrow()
-        order = np.argsort(part.column("vec_id").to_numpy(), kind="stable")
-        qid = part.column("vec_id").to_numpy()[order]
-        matrix = _matrix(part.column("v").combine_chunks())[order] if len(qid) else np.zeros((0, sizes.width))
-        if not len(qid):
-            continue
-        shared = spark.sparkContext.broadcast((qid, matrix))
-        each = rows.mapInArrow(
-            _gather(shared, k, slices), "query_id long, best array<double>, low array<double>, high array<double>"
-        )
-        count = len(_slices(sizes.width, slices))
-        bounds = [F.min(F.col("low")[s]).alias(f"low{s}") for s in range(count)]
-        bounds += [F.max(F.col("high")[s]).alias(f"high{s}") for s in range(count)]
-        edge = each.groupBy("query_id").agg(*bounds)
-        # The k-th best of what the lists named: ranks within a query, of which
-        # each task contributed at most k.
-        named = each.select("query_id", F.explode("best").alias("score"))
-        place = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score")))
-        kth = named.withColumn("r", place).where(F.col("r") == k).select("query_id", F.col("score").alias("kth"))
-        got = {r.query_id: r for r in edge.join(kth, "query_id", "left").toLocalIterator()}
-        cutoff = np.array([-np.inf if (r := got.get(i)) is None or r.kth is None else r.kth for i in qid.tolist()])
-        low = np.array([[got[i][f"low{s}"] if i in got else 0.0 for s in range(count)] for i in qid.tolist()])
-        high = np.array([[got[i][f"high{s}"] if i in got else 0.0 for s in range(count)] for i in qid.tolist()])
-        limits = spark.sparkContext.broadcast((cutoff, low, high))
-        reached = rows.mapInArrow(_resolve(shared, limits, slices), "query_id long, vec_id long, score long")
-        rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
-        found = reached.withColumn("rank", rank.cast("int")).where(F.col("rank") <= k).select(
-            "query_id", "rank", "vec_id", "score"
-        )
-        if blocks > 1:
-            found = written(found, "topk-block")
-        out = found if out is None else out.union(found)
+    for width, n in sizes:
+        like = rows.withColumn("v", _fitted("v", width))
+        blocks = math.ceil(n / block)
+        for b in range(blocks):
+            part = asked.where(F.size("v") == width).where(F.pmod(F.xxhash64("vec_id"), F.lit(blocks)) == b).toArrow()
+            order = np.argsort(part.column("vec_id").to_numpy(), kind="stable")
+            qid = part.column("vec_id").to_numpy()[order]
+            matrix = _matrix(part.column("v").combine_chunks())[order] if len(qid) else np.zeros((0, width))
+            if not len(qid):
+                continue
+            shared = spark.sparkContext.broadcast((qid, matrix))
+            each = like.mapInArrow(
+                _gather(shared, k, slices), "query_id long, best array<double>, low array<double>, high array<double>"
+            )
+            count = len(_slices(width, slices))
+            bounds = [F.min(F.col("low")[s]).alias(f"low{s}") for s in range(count)]
+            bounds += [F.max(F.col("high")[s]).alias(f"high{s}") for s in range(count)]
+            edge = each.groupBy("query_id").agg(*bounds)
+            # The k-th best of what the lists named: ranks within a query, of which
+            # each task contributed at most k.
+            named = each.select("query_id", F.explode("best").alias("score"))
+            place = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score")))
+            kth = named.withColumn("r", place).where(F.col("r") == k).select("query_id", F.col("score").alias("kth"))
+            got = {r.query_id: r for r in edge.join(kth, "query_id", "left").toLocalIterator()}
+            cutoff = np.array([-np.inf if (r := got.get(i)) is None or r.kth is None else r.kth for i in qid.tolist()])
+            low = np.array([[got[i][f"low{s}"] if i in got else 0.0 for s in range(count)] for i in qid.tolist()])
+            high = np.array([[got[i][f"high{s}"] if i in got else 0.0 for s in range(count)] for i in qid.tolist()])
+            limits = spark.sparkContext.broadcast((cutoff, low, high))
+            reached = like.mapInArrow(_resolve(shared, limits, slices), "query_id long, vec_id long, score long")
+            rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
+            found = reached.withColumn("rank", rank.cast("int")).where(F.col("rank") <= k).select(
+                "query_id", "rank", "vec_id", "score"
+            )
+            if blocks > 1 or len(sizes) > 1:
+                found = written(found, "topk-block")
+            out = found if out is None else out.union(found)
     return out
