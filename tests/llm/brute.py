@@ -1,6 +1,7 @@
 """Plain Python versions of the contracts, for small fixtures."""
 
 import hashlib
+import heapq
 import re
 from collections import defaultdict
 
@@ -73,3 +74,35 @@ def components(rows, percent=80):
         if d is not None:
             low[root(i)] = min(d, low.get(root(i), d))
     return [(d, len(sets[i]), low.get(root(i))) for i, (d, _) in enumerate(rows)]
+
+
+def merge_one_by_one(m, word, memo):
+    """Symbols of a word by a piece model's merges: best rank first, then leftmost."""
+    if not memo:
+        memo.update((int(k), (int(r), int(i))) for k, r, i in zip(m.pair_key, m.pair_rank, m.pair_id, strict=True))
+    sym = m._symbols([word])[0].tolist()
+    after, before = list(range(1, len(sym) + 1)), list(range(-1, len(sym) - 1))
+    heap = []
+
+    def push(i):
+        j = after[i]
+        if j < len(sym) and sym[i] >= 0 and sym[j] >= 0:
+            found = memo.get(sym[i] * m.size + sym[j])
+            if found:
+                heapq.heappush(heap, (found[0], i, sym[i], sym[j], found[1]))
+
+    for i in range(len(sym) - 1):
+        push(i)
+    gone = [False] * len(sym)
+    while heap:
+        _, i, left, right, new = heapq.heappop(heap)
+        j = after[i]
+        if gone[i] or j >= len(sym) or sym[i] != left or sym[j] != right:
+            continue
+        sym[i], gone[j], after[i] = new, True, after[j]
+        if after[j] < len(sym):
+            before[after[j]] = i
+        push(i)
+        if before[i] >= 0:
+            push(before[i])
+    return [s for s, g in zip(sym, gone, strict=True) if not g]

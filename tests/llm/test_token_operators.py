@@ -6,6 +6,7 @@ import zlib
 import numpy as np
 import pytest
 import public_tokenizers as P
+from brute import merge_one_by_one
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
@@ -120,11 +121,12 @@ def test_pieces_equal_the_library(docs, rows):
     assert sorted(map(tuple, got.collect()), key=KEY) == sorted(want, key=KEY)
 
 
-def test_heap_and_rounds_agree_and_decode(rows, docs):
+def test_rounds_equal_single_merges_and_decode(rows, docs):
     m = pieces.PieceModel(P.path("piece_bpe_32k.model"))
+    memo = {}
     words = sorted({w for _, t in rows for w in (t or "").split() if w})
     for w, sym in zip(words, m.merge_rounds(words), strict=True):
-        assert sym.tolist() == m.merge_heap(w).tolist()
+        assert sym.tolist() == merge_one_by_one(m, w, memo)
     import sentencepiece
 
     sp = sentencepiece.SentencePieceProcessor(model_file=P.path("piece_bpe_32k.model"))
@@ -136,6 +138,66 @@ def test_heap_and_rounds_agree_and_decode(rows, docs):
     assert back.where(F.sha2("decoded", 256) != F.col("decoded_sha256")).count() == 0
 
 
+def test_long_words_equal_the_library():
+    """Words of 97 to 200,000 symbols without a space, repeated, random and mixed."""
+    import random
+    import time
+
+    import sentencepiece
+
+    rng = random.Random(11)
+    m = pieces.PieceModel(P.path("piece_bpe_32k.model"))
+    sp = sentencepiece.SentencePieceProcessor(model_file=P.path("piece_bpe_32k.model"))
+    syllables = ["the", "ing", "tion", "en", "aa", "lle", "pour", "schaft", "a", "e", "ñ", "ss", "0", "11", "abc"]
+    texts = ["x" * 3001, "ab" * 2000 + "a", "aaab" * 700, "的一是" * 400, "." * 999, "=-" * 500, "abcabcab" * 300]
+    for n in (97, 500, 4000):
+        texts.append("".join(rng.choice(syllables) for _ in range(n)))
+        texts.append("".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(n)))
+        texts.append("".join(rng.choice("ABCXYZabcxyz0123456789+/") for _ in range(n)))
+        texts.append("".join(chr(rng.choice([rng.randint(97, 122), rng.randint(0x4E00, 0x9FFF), 0x1F600])) for _ in range(n)))
+    for t in texts:
+        assert m.encode(t) == sp.encode(t), t[:40]
+    long = "".join(rng.choice(syllables) for _ in range(70_000))
+    began = time.time()
+    assert m.encode(long) == sp.encode(long)
+    assert time.time() - began < 60
+
+
+def test_random_texts_equal_the_library():
+    import random
+
+    import sentencepiece
+
+    rng = random.Random(12)
+    m = pieces.PieceModel(P.path("piece_bpe_32k.model"))
+    sp = sentencepiece.SentencePieceProcessor(model_file=P.path("piece_bpe_32k.model"))
+    letters = "aabcdeeefghiiillmnnooprsstu  ABC.,'éñß0129▁\n\t"
+    texts = ["".join(rng.choice(letters) for _ in range(rng.randint(0, 150))) for _ in range(3000)]
+    assert [m.encode(t) for t in texts] == [sp.encode(t) for t in texts]
+
+
+def test_white_space_counts_where_a_tokenizer_keeps_it(spark, tmp_path):
+    """Texts that differ in white space only; one tokenizer keeps it, one drops it."""
+    texts = ["a b", "a  b", "a\n\n b", " a b ", "a\tb", "  a     b  "]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    cache = f"file://{tmp_path}/cache"
+    for name in ("byte_bpe_50k.json", "word_bpe_49k.json"):
+        got = token_counts.count_tokens(df, tokenizer=P.path(name), cache_path=cache).orderBy("doc_id").collect()
+        assert [r.n_tokens for r in got] == [len(i) for i in library_ids(texts, name)]
+
+
+def test_rank_engine_equals_the_library_on_random_texts():
+    import random
+
+    rng = random.Random(13)
+    letters = "aabcdeeefghiiillmnnooprsstu   ABCDé中ñß01299'.,!<|>_\n\t\r\u00a0\u200b\u3000😀"
+    texts = ["".join(rng.choice(letters) for _ in range(rng.randint(0, 120))) for _ in range(5000)]
+    texts += ["'s 'S it's IT'S we'll", "<|endoftext|><|endoftext|>", "a" * 5000, " " * 5000, "\n" * 300 + "x"]
+    encode = common.byte_bpe(P.path("byte_bpe_50k.json"))
+    for t, ids in zip(texts, library_ids(texts, "byte_bpe_50k.json"), strict=True):
+        assert encode(t).tolist() == ids, t
+
+
 def test_empty_tables(empty):
     assert token_counts.count_tokens(empty, tokenizer=P.path("word_bpe_49k.json")).count() == 0
     assert packing.pack_documents(empty, tokenizer=P.path("byte_bpe_50k.json")).count() == 0

@@ -4,15 +4,20 @@ A text is cut where a space follows something else; no piece of such a model
 crosses that place, so each cut word merges by itself and distinct words are
 encoded once per worker.  All new words of a batch lie in one flat symbol
 array.  Every round finds the best pair of each word (segmented minimum of
-pair ranks), merges the leftmost such pair in all words at once and compacts
-the arrays, until no word has a pair left.  Words of over ``LONG`` symbols,
-where one merge a round would be slow, go through the same merges by a heap.
+pair ranks), merges its leftmost occurrences in all words at once and compacts
+the arrays, until no word has a pair left.
+
+A round takes every occurrence of a word's best pair that does not overlap one
+further left.  That is the order of one merge at a time as long as no pair
+that a merge makes is at least as good as the merge itself; the model's few
+pieces of which this is not so are merged one occurrence a round.  Words of
+over ``LONG`` symbols are first cut between characters that no piece holds
+side by side, where no merge can cross.
 """
 
 from __future__ import annotations
 
 import hashlib
-import heapq
 from collections.abc import Iterator
 from functools import lru_cache
 
@@ -71,7 +76,12 @@ class PieceModel:
         self.pair_key = np.array(sorted(pairs), dtype=np.int64)
         self.pair_id = np.array([pairs[k] for k in self.pair_key.tolist()], dtype=np.int32)
         self.pair_rank = rank[self.pair_id]
-        self.pairs = {k: (int(rank[i]), i) for k, i in pairs.items()}
+        # Pieces that some pair as good as their own merge can take up.
+        self.eager = np.zeros(v, dtype=bool)
+        for side in (self.pair_key // v, self.pair_key % v):
+            self.eager[side[self.pair_rank <= rank[side]]] = True
+        beside = {(ord(a) << 32) | ord(b) for p in self.id for a, b in zip(p, p[1:], strict=False)}
+        self.beside = np.array(sorted(beside), dtype=np.int64)
         top = max((ord(p) for p in self.id if len(p) == 1), default=0)
         self.char_id = np.full(top + 2, -1, dtype=np.int32)
         for p, i in self.id.items():
@@ -119,50 +129,34 @@ class PieceModel:
                 start = np.concatenate([[0], np.cumsum(length)[:-1]])
             hit = np.flatnonzero(rank == np.repeat(best, length))
             seg = np.searchsorted(start, hit, side="right") - 1
-            first = hit[np.concatenate([[True], seg[1:] != seg[:-1]])]
-            sym[first] = made[first]
+            head = np.concatenate([[True], seg[1:] != seg[:-1]])
+            # Of hits side by side every other one, from the left.
+            run = np.concatenate([[True], hit[1:] != hit[:-1] + 1]) | head
+            place = np.arange(len(hit))
+            free = (place - np.maximum.accumulate(np.where(run, place, 0))) % 2 == 0
+            lone = np.bincount(seg, self.eager[made[hit]], minlength=len(owner)) > 0
+            first = free & (head | ~lone[seg])
+            hit, seg = hit[first], seg[first]
+            sym[hit] = made[hit]
             keep = np.ones(len(sym), dtype=bool)
-            keep[first + 1] = False
-            at = first - np.arange(len(first))  # places of the merged symbols after compaction
+            keep[hit + 1] = False
+            at = hit - np.arange(len(hit))  # places of the merged symbols after compaction
             sym, rank, made = sym[keep], rank[keep], made[keep]
-            length = length - 1
-            start = start - np.arange(len(start))
-            last = start + length - 1
-            inner = at[at != last]
+            length = length - np.bincount(seg, minlength=len(length))
+            start = np.concatenate([[0], np.cumsum(length)[:-1]])
+            begin, last = start[seg], start[seg] + length[seg] - 1
             rank[at], made[at] = _NONE, -1
-            rank[inner], made[inner] = self._look_up(sym[inner], sym[inner + 1])
-            before = at[at != start] - 1
-            rank[before], made[before] = self._look_up(sym[before], sym[before + 1])
+            for changed in (at[at != last], at[at != begin] - 1):
+                rank[changed], made[changed] = self._look_up(sym[changed], sym[changed + 1])
         return out
 
-    def merge_heap(self, word: str) -> np.ndarray:
-        """The same merges one by one: best rank first, then leftmost."""
-        sym = self._symbols([word])[0].tolist()
-        after, before = list(range(1, len(sym) + 1)), list(range(-1, len(sym) - 1))
-        heap: list[tuple[int, int, int, int, int]] = []
-
-        def push(i: int) -> None:
-            j = after[i]
-            if j < len(sym) and sym[i] >= 0 and sym[j] >= 0:
-                found = self.pairs.get(sym[i] * self.size + sym[j])
-                if found:
-                    heapq.heappush(heap, (found[0], i, sym[i], sym[j], found[1]))
-
-        for i in range(len(sym) - 1):
-            push(i)
-        gone = [False] * len(sym)
-        while heap:
-            _, i, left, right, new = heapq.heappop(heap)
-            j = after[i]
-            if gone[i] or j >= len(sym) or sym[i] != left or sym[j] != right:
-                continue
-            sym[i], gone[j], after[i] = new, True, after[j]
-            if after[j] < len(sym):
-                before[after[j]] = i
-            push(i)
-            if before[i] >= 0:
-                push(before[i])
-        return np.array([s for s, g in zip(sym, gone, strict=True) if not g], dtype=np.int64)
+    def cuts(self, word: str) -> list[str]:
+        """Parts of a word between which no piece can lie."""
+        code = np.frombuffer(word.encode("utf-32-le", "surrogatepass"), dtype="<u4").astype(np.int64)
+        key = (code[:-1] << 32) | code[1:]
+        at = np.minimum(np.searchsorted(self.beside, key), len(self.beside) - 1)
+        edges = [0, *(np.flatnonzero(self.beside[at] != key) + 1).tolist(), len(word)]
+        return [word[lo:hi] for lo, hi in zip(edges, edges[1:], strict=False)]
 
     def _ids(self, sym: np.ndarray) -> list[int]:
         if (sym >= 0).all():
@@ -195,14 +189,15 @@ class PieceModel:
     def learn(self, words: set[str]) -> dict[str, str]:
         """Encode new words; those too long for the memo are returned."""
         own: dict[str, str] = {}
-        short = [w for w in words if len(w) <= LONG]
-        for lo in range(0, len(short), 50_000):
-            part = short[lo : lo + 50_000]
-            for w, sym in zip(part, self.merge_rounds([w.replace(" ", SPACE) for w in part]), strict=True):
+        many = list(words)
+        for lo in range(0, len(many), 50_000):
+            part = many[lo : lo + 50_000]
+            marked = [w.replace(" ", SPACE) for w in part]
+            split = {k: self.cuts(w) for k, w in enumerate(marked) if len(w) > LONG}
+            merged = iter(self.merge_rounds([x for k, w in enumerate(marked) for x in split.get(k, (w,))]))
+            for k, w in enumerate(part):
+                sym = next(merged) if k not in split else np.concatenate([next(merged) for _ in split[k]])
                 self._store(w, self._ids(sym), own)
-        for w in words:
-            if len(w) > LONG:
-                self._store(w, self._ids(self.merge_heap(w.replace(" ", SPACE))), own)
         return own
 
     def _store(self, word: str, ids: list[int], own: dict[str, str]) -> None:
