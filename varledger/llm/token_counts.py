@@ -1,7 +1,8 @@
 """Token counts through a digest cache.
 
 A stored count is keyed by the SHA-256 of the normalised content and by the
-SHA-256 of the tokenizer file.  Each call digests all documents, anti-joins
+tokenizer's version: the SHA-256 of its file and the normaliser's name, since
+white space may be folded only where the tokenizer drops it.  Each call digests all documents, anti-joins
 the distinct digests with the cache, encodes one copy of each miss, appends
 those counts to the cache and joins all documents back to it.  A second call
 over the same documents encodes nothing; a changed tokenizer file misses.
@@ -30,13 +31,11 @@ def tokenizer_digest(path: str) -> str:
         return hashlib.sha256(f.read()).hexdigest()
 
 
-def normalised(text: Column) -> Column:
-    """Runs of ASCII white space as one space, none at the ends; null as empty.
-
-    The tokenizers here drop or fold such runs themselves, so the count of the
-    normalised content is the count of the content.
-    """
-    return F.trim(F.regexp_replace(F.coalesce(text, F.lit("")), r"[ \t\n\x0b\f\r]+", " "))
+def normalised(text: Column, *, fold: bool) -> Column:
+    """Null as empty; with ``fold`` runs of ASCII white space as one space, none
+    at the ends.  That keeps counts only where the tokenizer drops such runs."""
+    full = F.coalesce(text, F.lit(""))
+    return F.trim(F.regexp_replace(full, r"[ \t\n\x0b\f\r]+", " ")) if fold else full
 
 
 @lru_cache(maxsize=2)
@@ -136,14 +135,15 @@ def count_tokens(
     """
     spark = docs.sparkSession
     cache_path = cache_path or fresh_path(spark, "token-cache")
-    version = tokenizer_digest(tokenizer)
+    fold = supports_pieces(tokenizer)
+    version = f"{tokenizer_digest(tokenizer)}:{'folded' if fold else 'unchanged'}"
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     digests = written(
         rows.select(
             "doc_id",
             F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"),
             F.xxhash64("text").alias("mark"),
-            F.unhex(F.sha2(normalised(F.col("text")), 256)).alias("content_digest"),
+            F.unhex(F.sha2(normalised(F.col("text"), fold=fold), 256)).alias("content_digest"),
         ),
         "token-digests",
     )
