@@ -43,7 +43,9 @@ def duck():
 
 
 def _cell(v):
-    if v is None or v != v:
+    import pandas as pd
+
+    if pd.api.types.is_scalar(v) and pd.isna(v):
         return "NULL"
     if isinstance(v, bool) or str(v) in ("True", "False"):
         return str(bool(v))
