@@ -14,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from varledger.llm.common import written
-from varledger.llm.jaccard_join import jaccard_components
+from varledger.llm.jaccard_join import one_of_each
 from varledger.llm.language_id import fit, identify
 from varledger.llm.packing import pack_documents
 from varledger.llm.quality import judge
@@ -25,34 +25,64 @@ LEAST_SCORE = 0.3
 
 
 def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a letter, or between languages, go."""
+    """Documents without a letter, or between languages, go.
+
+    The languages are learned from ``lang`` and ``text`` of the rows outside
+    the held-out fold.  A null or empty text has no letter and goes; null ids
+    and null languages are kept like others; repeated rows fare alike; without
+    a labelled row every document goes.  An empty table stays empty and extra
+    columns of any name pass through.
+    """
     told = identify(docs, fit(docs))
     return told.where((F.col("lang_pred") != "und") & (F.col("score") >= LEAST_SCORE)).select("row.*")
 
 
 def quality_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that fail the base or a rule go."""
+    """Documents that fail the base or a rule go.
+
+    A null or empty text has no words, so it fails the base and goes.  Only
+    the text decides: null ids pass, repeated rows fare alike, an empty table
+    stays empty and extra columns of any name pass through.
+    """
     return judge(docs).where("kept").select("row.*")
 
 
 def near_copy_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of linked documents the one with the smallest id stays."""
-    groups = jaccard_components(docs)
-    gone = groups.where("component_id <> doc_id").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+    """Of each group of linked documents the one with the smallest id stays.
+
+    A null id comes after all others.  Rows are judged by themselves: of
+    repeated rows one stays, and a row that only shares its id with a copy
+    stays.  Texts without words link with nothing and stay.  An empty table
+    stays empty and extra columns of any name pass through.
+    """
+    return one_of_each(docs)
 
 
 def passage_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Passages that an earlier document has, too, are cut out of the text."""
-    kept = remove_repeats(docs)
+    """Passages that an earlier document has, too, are cut out of the text.
+
+    A text that loses nothing stays as it is; of others the kept words are
+    joined by a space and ``n_chars``, where the table has it, follows.  A
+    document of which no word is left goes; one that had none stays.  A null
+    id is later than all others; rows of one id do not cut each other.  Null
+    texts stay null, an empty table stays empty and extra columns of any name
+    pass through.
+    """
+    kept = remove_repeats(docs).where("n_removed = 0 OR n_removed < n_words")
     same = F.col("n_removed") == 0
-    text = F.when(same, F.col("row.text")).otherwise(F.col("kept_text"))
-    new = {"text": text, "n_chars": F.when(same, F.col("row.n_chars")).otherwise(F.length("kept_text"))}
+    new = {"text": F.when(same, F.col("row.text")).otherwise(F.col("kept_text"))}
+    if "n_chars" in docs.columns:
+        new["n_chars"] = F.when(same, F.col("row.n_chars")).otherwise(F.length("kept_text"))
     types = dict(docs.dtypes)
-    return kept.select(*[new.get(c, F.col(f"row.`{c}`")).cast(types[c]).alias(c) for c in docs.columns])
+    return kept.select(*[(new[c].cast(types[c]) if c in new else F.col(f"row.`{c}`")).alias(c) for c in docs.columns])
 
 
 def packing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of all documents in sequences of 1,024 ids, as the packing query
+    returns them.  A null text is its end id alone; null ids and repeated rows
+    are packed like others; an empty table gives no piece; other columns are
+    not read.
+    """
     import public_tokenizers
 
     return pack_documents(docs, tokenizer=public_tokenizers.path("byte_bpe_50k.json"))

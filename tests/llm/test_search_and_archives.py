@@ -127,7 +127,9 @@ def test_pipeline_stages_equal_brute_force(spark):
     third = stages["jaccard_join"](spark, second, SMALL).cache()
     assert sorted(r.doc_id for r in third.collect()) == sorted(d for d, _, c in components(rows) if c == d)
     fourth = stages["substring_dedup"](spark, third, SMALL).cache()
-    want = {d: (n, sha) for d, _, n, sha in substring([(r.doc_id, r.text) for r in third.collect()])}
+    cut = substring([(r.doc_id, r.text) for r in third.collect()])
+    want = {d: (n, sha) for d, _, n, sha in cut}
+    assert sorted(r.doc_id for r in fourth.select("doc_id").collect()) == sorted(d for d, words, n, _ in cut if not n or n < words)
     before = {r.doc_id: r.text for r in third.collect()}
     for r in fourth.collect():
         removed, sha = want[r.doc_id]
@@ -138,3 +140,81 @@ def test_pipeline_stages_equal_brute_force(spark):
     # How documents are cut depends on the tasks; what they hold does not.
     whole = lambda df: sorted(map(tuple, df.groupBy("doc_id").agg(F.sum("length"), F.max("doc_tokens")).collect()))
     assert whole(corpus_pipeline.run(spark, SMALL)) == whole(packed)
+
+
+@pytest.fixture(scope="module")
+def stage_rows():
+    """Nulls in any column, empty, tied and repeated rows, copies under one id,
+    a passage in two documents, a document that loses all its words, a long text."""
+    import random
+
+    rng = random.Random(21)
+    vocab = [f"{a}{b}{c}" for a in "bdgmst" for b in "aeiou" for c in "lnr"]
+    text = lambda n: " ".join(rng.choice(vocab) for _ in range(n)) + "."
+    a, b, passage = text(80), text(80), text(60)
+    c = f"{text(40)} {passage} {text(40)}"
+    rows = [(1, a, "en"), (2, a, "en"), (2, b, None), (2, b, None), (None, a, "fr"), (None, text(50), None), (3, None, "en"), (4, "", "en"), (4, "", "en"), (5, " \n", None)]
+    rows += [(6, c, "en"), (7, passage, "en"), (8, f"{text(30)} {passage}", "en"), (9, a.upper(), "en"), (10, text(200_000), "de")]
+    return [(*r, "src", len(r[1] or ""), i, "x") for i, r in enumerate(rows)]
+
+
+def stage_table(spark, rows):
+    return spark.createDataFrame(
+        rows, "doc_id long, text string, lang string, source string, n_chars long, n_words int, kept_text string"
+    ).repartition(3)
+
+
+def test_stages_on_edge_rows_and_empty_tables(spark, stage_rows):
+    """n_words is the row's number here: its name clashes, its values tell rows apart."""
+    import corpus_pipeline
+    from brute import components, quality, substring
+
+    stages = dict(corpus_pipeline.STAGES)
+    docs = stage_table(spark, stage_rows)
+    none = docs.where("false")
+    for name, stage in corpus_pipeline.STAGES:
+        got = stage(spark, none, SMALL)
+        assert got.count() == 0
+        assert name == "packing" or got.schema.simpleString() == docs.schema.simpleString()
+    at = lambda name: {r.n_words: r for r in stages[name](spark, docs, SMALL).collect()}
+
+    kept = at("language_id")
+    assert set(kept) <= {r[5] for r in stage_rows if any(ch.isalpha() for ch in r[1] or "")} and {0, 11} <= set(kept)
+    kept = at("quality_rules")
+    # The one in capitals passes the base and fails a rule.
+    assert set(kept) == {r[5] for r in stage_rows if not quality(r[1])[5] and r[1] != r[1].upper()}
+
+    linked = components([(r[0], r[1]) for r in stage_rows])
+    kept = at("jaccard_join")
+    by = {}
+    for r, (_, n, label) in zip(stage_rows, linked, strict=True):
+        by.setdefault(("alone", r[5]) if not n else (label, None if label is not None else r[1]), []).append(r)
+    assert len(kept) == len(by)
+    for group in by.values():
+        stay = [r for r in group if r[5] in kept]
+        assert len(stay) == 1 and (stay[0][0] is None) <= all(r[0] is None for r in group)
+        assert stay[0][0] == min((r[0] for r in group if r[0] is not None), default=None)
+    assert len([r for r in kept.values() if r.doc_id == 2]) == 1  # (2, b) stays, (2, a) goes
+
+    kept = at("substring_dedup")
+    for r, (_, words, gone, sha) in zip(stage_rows, substring([(r[0], r[1]) for r in stage_rows]), strict=True):
+        if gone and gone == words:
+            assert r[5] not in kept
+            continue
+        row = kept[r[5]]
+        if gone:
+            assert hashlib.sha256(row.text.encode()).hexdigest() == sha and row.n_chars == len(row.text)
+        else:
+            assert (row.text, row.n_chars) == (r[1], r[4])
+    assert 11 not in kept  # the passage alone
+
+    pieces = stages["packing"](spark, docs, SMALL).collect()
+    assert sum(r.start == 0 for r in pieces) == len(stage_rows)
+    assert sum(r.length for r in pieces) == sum(r.doc_tokens for r in pieces if r.start == 0)
+
+
+def test_passages_without_a_column_of_lengths(spark, stage_rows):
+    import corpus_pipeline
+
+    docs = stage_table(spark, stage_rows).drop("n_chars")
+    assert corpus_pipeline.passage_stage(spark, docs, SMALL).columns == docs.columns

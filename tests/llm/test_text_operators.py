@@ -111,6 +111,59 @@ def test_jaccard_whole_blocks_lose_no_link(spark):
     assert sorted(map(tuple, jaccard_components(df, slice_sets=512).collect())) == want
 
 
+@pytest.mark.parametrize("size", [4, 512])
+def test_jaccard_many_random_families(spark, size):
+    """Families of overlapping cuts of one text; all of them share a few lines,
+    which tie families to large blocks."""
+    rng = random.Random(size)
+    lines = [f"common line {i} of all the families here" for i in range(40)]
+    rows = []
+    for g in range(150):
+        base = [f"g{g}w{i}" for i in range(90)]
+        for i in range(12):
+            at = rng.randint(0, 40)
+            rows.append((len(rows), " ".join(base[at : at + 44])))
+    for g in range(20):  # most of the text is shared with other families
+        base = " ".join(rng.sample(lines, 9)).split()
+        for i in range(10):
+            w = list(base)
+            for _ in range(rng.randint(0, 2)):
+                w[rng.randrange(len(w))] = f"n{rng.randint(0, 30)}"
+            rows.append((len(rows), " ".join(w)))
+    rng.shuffle(rows)
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4)
+    assert sorted(map(tuple, jaccard_components(df, slice_sets=size).collect())) == sorted(components(rows))
+
+
+def test_link_all_on_random_sets():
+    """400 random collections against all pairs, with and without hubs first."""
+    import numpy as np
+
+    rng = random.Random(9)
+    for case in range(400):
+        sets = []
+        for _ in range(rng.randint(1, 4)):
+            base = rng.sample(range(400), rng.randint(10, 40))
+            for _ in range(rng.randint(1, 8)):
+                s = set(base)
+                for _ in range(rng.randint(0, 6)):
+                    s.discard(rng.choice(base))
+                    s.add(rng.randrange(400))
+                sets.append(frozenset(s))
+        sets = list(dict.fromkeys(sets))
+        rng.shuffle(sets)
+        arrays = [np.array(sorted(s), dtype=np.uint64) for s in sets]
+        want = list(range(len(sets)))
+        for i, j in itertools.combinations(range(len(sets)), 2):
+            if 100 * len(sets[i] & sets[j]) >= 80 * len(sets[i] | sets[j]) and want[i] != want[j]:
+                old, new = want[j], want[i]
+                want = [new if x == old else x for x in want]
+        union = jaccard_join.Union(len(sets))
+        jaccard_join.link_all(arrays, np.array([len(s) for s in sets]), 80, [0] if case % 2 else [], union)
+        pairs = {(i, j) for i, j in itertools.combinations(range(len(sets)), 2) if union.label[i] == union.label[j]}
+        assert pairs == {(i, j) for i, j in itertools.combinations(range(len(sets)), 2) if want[i] == want[j]}
+
+
 def test_empty_tables(empty):
     assert remove_repeats(empty).count() == 0
     assert judge(empty).count() == 0

@@ -50,6 +50,19 @@ def written(df: DataFrame, name: str, *, partition_by: str | None = None) -> Dat
     return spark.read.schema(df.schema).parquet(path)
 
 
+#: Text behind one hash range, which is one group in one worker's memory, and
+#: behind one task of such an exchange.
+RANGE_BYTES, TASK_BYTES = 8 << 20, 64 << 20
+
+
+def exchange_size(total: DataFrame) -> tuple[int, int]:
+    """(ranges, tasks) of an exchange over texts whose bytes are the one value
+    of ``total``; both are the session's shuffle partitions at least."""
+    size = total.first()[0] or 0
+    parts = int(total.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return max(2 * parts, -(-size // RANGE_BYTES)), max(parts, -(-size // TASK_BYTES))
+
+
 def remove_path(spark: SparkSession, path: str) -> None:
     """Delete a written intermediate once nothing reads it any more."""
     jvm = spark.sparkContext._jvm
@@ -76,6 +89,10 @@ def byte_symbols() -> dict[str, int]:
     return {chr(b): b for b in plain} | {chr(256 + i): b for i, b in enumerate(rest)}
 
 
+#: Options of a merge model that change its ids.
+_OPTIONS = ("dropout", "unk_token", "continuing_subword_prefix", "end_of_word_suffix", "fuse_unk", "byte_fallback", "ignore_merges")
+
+
 @lru_cache(maxsize=2)
 def byte_bpe(path: str):
     """Encoder of a byte-level ``tokenizers`` file: text -> numpy uint32 ids.
@@ -83,8 +100,9 @@ def byte_bpe(path: str):
     The vocabulary, merge order and special strings come from the file; the
     rank engine of tiktoken runs them about six times as fast as the library
     the file is written for.  That shortcut needs each merged piece's id to
-    grow with its merge's place, which is checked here; a file that breaks it
-    is run by its own library.  ``tests/llm`` holds both against each other.
+    grow with its merge's place, the byte-level pattern, and none of the
+    model's options, all of which is checked here; a file that breaks it is
+    run by its own library.  ``tests/llm`` holds both against each other.
     """
     import public_tokenizers
     import tiktoken
@@ -98,6 +116,9 @@ def byte_bpe(path: str):
     merged = [model["vocab"]["".join(m if isinstance(m, list) else m.split(" "))] for m in model["merges"]]
     simple = (
         spec.get("normalizer") is None
+        and model.get("type", "BPE") == "BPE"
+        and not any(model.get(k) for k in _OPTIONS)
+        and not any(t.get("lstrip") or t.get("rstrip") or t.get("single_word") for t in spec["added_tokens"])
         and pre.get("type") == "ByteLevel"
         and pre.get("use_regex", True)
         and not pre.get("add_prefix_space")

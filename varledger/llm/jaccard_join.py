@@ -8,14 +8,17 @@
    which less than the threshold is shared has no partner and leaves.
 3. Of the others, the rarest shingles that any partner must touch (prefix in
    the global order of count, then hash) tie sets to blocks; no link leaves a
-   block.
+   block.  The smaller set of a link has such a shingle in a shorter prefix,
+   so a shingle ties only sets whose sizes fit one that holds it there.
 4. Inside blocks the DivideSkip search finds the links: short inverted lists
    are merged and counted, the long ones are probed by binary search for the
    candidates only, and candidates of the searcher's component are left out,
    so a family of copies costs few searches.
-5. Blocks beyond ``slice_sets`` are dealt in slices that share a few central
-   sets (hubs).  Sets that a hub reaches are settled; each of the others is a
-   query against every slice of its block, which keeps all links.
+5. Blocks beyond ``slice_sets`` are dealt in slices of sets with a common
+   smallest hash, so copies mostly meet, and all slices share a few central
+   sets (hubs).  Sets that the first hub reaches are settled; each of the
+   others is a query against those slices of its block that hold one of its
+   prefix shingles, which keeps all links.
 """
 
 from __future__ import annotations
@@ -30,14 +33,14 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import exchange_size, written
 from .components import connected_components
 from .windows import bucket_edges, document_windows, groups, hashed, mixed, packed, unpacked, window_hashes
 
 #: Bits of a shingle's hash that travel.  Two shingles of one pair of documents
 #: that differ agree in them with a chance of 2**-48.
 BITS = 48
-CHUNK_WORDS = 2_000_000
+CHUNK_WORDS = 400_000
 _MASK = np.uint64((1 << BITS) - 1)
 _LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 
@@ -71,8 +74,14 @@ def required(n: int, percent: int) -> int:
     return -(-n * percent // 100)
 
 
+def required_of_smaller(n: int, percent: int) -> int:
+    """Least overlap of a set of n with a partner that is not smaller."""
+    return -(-2 * n * percent // (100 + percent))
+
+
 def document_sets(docs: DataFrame, *, id_col: str, text_col: str, width: int) -> DataFrame:
-    """doc_id, n_shingles, sid (null for an empty set) of every row."""
+    """doc_id, n_shingles, sid (null for an empty set) and mark (a hash of the
+    text) of every row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
@@ -84,11 +93,13 @@ def document_sets(docs: DataFrame, *, id_col: str, text_col: str, width: int) ->
                         "doc_id": batch.column(0),
                         "n_shingles": pa.array([len(s) for s in sets], pa.int64()),
                         "sid": pa.array([set_id(s) if len(s) else None for s in sets], pa.int64()),
+                        "mark": batch.column(2),
                     }
                 )
 
-    rows = docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string"))
-    return rows.mapInArrow(run, "doc_id long, n_shingles long, sid long")
+    text = F.col(text_col).cast("string")
+    rows = docs.select(F.col(id_col).cast("long"), text, F.xxhash64(text))
+    return rows.mapInArrow(run, "doc_id long, n_shingles long, sid long, mark long")
 
 
 def _postings(width: int, buckets: int, spread: int):
@@ -144,9 +155,11 @@ def _share(buckets: int):
         if table.column("place")[0].as_py() >= buckets:
             return pa.table({"chunk": pa.array(chunks, pa.int64()), "ids": pa.array(data, pa.binary()), "shared": pa.array([None] * len(data), pa.binary())})
         cols = [unpacked(raw) for raw in data]
+        del data
         key = np.concatenate([c[0] for c in cols])
         own = np.concatenate([c[1] for c in cols])
         of = np.repeat(np.arange(len(cols)), [len(c[0]) for c in cols])
+        del cols
         by = np.argsort(key)
         key, own, of = key[by], own[by], of[by]
         n = np.diff(np.append(groups(key), len(key)))
@@ -170,7 +183,8 @@ def _share(buckets: int):
 
 def _candidates(percent: int):
     """Of one chunk: sets that may have a partner, with their shared shingles
-    sorted, their prefix and how common their shingles are."""
+    sorted, their prefix, how many of it are in the shorter prefix, their
+    smallest hash and how common their shingles are."""
 
     def run(table: pa.Table) -> pa.Table:
         _, ids, n_of = unpacked(next(x for x in table.column("ids").to_pylist() if x is not None))
@@ -179,7 +193,7 @@ def _candidates(percent: int):
         by = np.lexsort((key, df, own))
         own, key, df = own[by].astype(np.int64), key[by], df[by].astype(np.int64)
         edges = np.append(groups(own), len(own))
-        sids, sizes, keys, prefixes, common = [], [], [], [], []
+        sids, sizes, keys, prefixes, shorter, lowest, common = [], [], [], [], [], [], []
         for lo, hi in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
             n = int(n_of[own[lo]])
             least = required(n, percent)
@@ -191,6 +205,8 @@ def _candidates(percent: int):
             # up the prefix before the shared ones.
             touch = n - least + 1 - (n - (hi - lo))
             prefixes.append(key[lo : lo + touch].astype(np.int64).tolist())
+            shorter.append(touch + least - required_of_smaller(n, percent))
+            lowest.append(int(key[lo:hi].min()))
             keys.append(np.sort(key[lo:hi]).astype("<u8").tobytes())
             common.append(float(np.log1p(df[lo:hi]).sum() / n))
         return pa.table(
@@ -199,6 +215,8 @@ def _candidates(percent: int):
                 "n": pa.array(sizes, pa.int64()),
                 "keys": pa.array(keys, pa.binary()),
                 "prefix": pa.array(prefixes, pa.list_(pa.int64())),
+                "shorter": pa.array(shorter, pa.int64()),
+                "lowest": pa.array(lowest, pa.int64()),
                 "common": pa.array(common, pa.float64()),
             }
         )
@@ -351,65 +369,146 @@ def _tile(percent: int):
     return run
 
 
+def _tokens(sets: DataFrame) -> DataFrame:
+    """sid, n, token, short of every prefix shingle; ``short`` where it is in
+    the prefix that a partner of at least the set's size must touch."""
+    return sets.select("sid", "n", "shorter", F.posexplode("prefix").alias("at", "token")).select(
+        "sid", "n", "token", (F.col("at") < F.col("shorter")).alias("short")
+    )
+
+
+def _ties(sets: DataFrame, percent: int) -> DataFrame:
+    """Pairs (a, b) that connect the sets of each prefix shingle, where sizes fit."""
+    token = _tokens(sets)
+    held = token.groupBy("token").agg(
+        F.min(F.when(F.col("short"), F.col("sid"))).alias("low"),
+        F.min(F.when(F.col("short"), F.col("n"))).alias("least"),
+        F.max(F.when(F.col("short"), F.col("n"))).alias("most"),
+        F.count("*").alias("count"),
+    ).where("count > 1 AND low IS NOT NULL")
+    fits = F.col("short") | ((F.col("n") >= F.col("least")) & (F.col("n") * percent <= F.col("most") * 100))
+    return (
+        token.join(held, "token").where((F.col("sid") != F.col("low")) & fits)
+        .select(F.col("sid").alias("a"), F.col("low").alias("b")).distinct()
+    )
+
+
+def _hubs(big: DataFrame, hubs: int) -> DataFrame:
+    """hub_sid, block, hub (from 1): of a block the sets with the commonest
+    shingles, each the best of an equal share, found by partial aggregates."""
+    share = F.pmod(F.xxhash64("sid", F.lit(2)), F.lit(hubs))
+    best = big.groupBy("block", share.alias("share")).agg(F.max(F.struct("common", "sid")).alias("top"))
+    rank = F.row_number().over(Window.partitionBy("block").orderBy(F.desc("top.common"), F.desc("top.sid")))
+    return best.select(F.col("top.sid").alias("hub_sid"), "block", rank.alias("hub"))
+
+
 def set_links(sets: DataFrame, *, percent: int, slice_sets: int = 512, hubs: int = 4) -> DataFrame:
     """Edges (a, b) of set ids whose components are those of all links, from
-    candidate sets (sid, n, keys, prefix, common)."""
-    token = sets.select("sid", F.explode("prefix").alias("token"))
-    low = token.groupBy("token").agg(F.min("sid").alias("low"), F.count("*").alias("n")).where("n > 1")
-    tied = token.join(low, "token").where("sid <> low").select(F.col("sid").alias("a"), F.col("low").alias("b"))
-    blocks = connected_components(tied.distinct()).select(F.col("node").alias("sid"), F.col("component").alias("block"))
-    members = written(sets.select("sid", "n", "keys", "common").join(blocks, "sid"), "jaccard-blocks")
-
-    size = members.groupBy("block").agg(F.count("*").alias("size"), F.max("common").alias("most"))
-    large = size.where(F.col("size") > slice_sets).withColumn("slices", F.ceil(F.col("size") / slice_sets).cast("long"))
-    in_slice = F.pmod(F.xxhash64("sid"), F.col("slices")).cast("long")
+    candidate sets (sid, n, keys, prefix, shorter, lowest, common)."""
+    blocks = connected_components(_ties(sets, percent)).select(F.col("node").alias("sid"), F.col("component").alias("block"))
+    members = written(sets.select("sid", "n", "keys", "lowest", "common").join(blocks, "sid"), "jaccard-blocks")
+    size = members.groupBy("block").agg(F.count("*").alias("size"))
+    large = written(
+        size.where(F.col("size") > slice_sets).withColumn("slices", F.ceil(F.col("size") / slice_sets).cast("long")),
+        "jaccard-large",
+    )
+    nothing = F.lit(0).cast("long")
     whole = members.join(large.select("block"), "block", "left_anti").select(
-        "sid", "n", "keys", "block", F.lit(0).cast("long").alias("slice"), F.lit(0).alias("hub")
+        "sid", "n", "keys", "block", nothing.alias("slice"), F.lit(0).alias("hub")
     )
-    # Hubs: the sets of a block with the commonest shingles, found without the
-    # block in one task.
-    big = members.join(large, "block").withColumn("slice", in_slice)
-    by_part = Window.partitionBy("block", "slice").orderBy(F.desc("common"), "sid")
-    by_block = Window.partitionBy("block").orderBy(F.desc("common"), "sid")
-    best = (
-        big.select("block", "slice", "slices", "sid", "common")
-        .withColumn("r", F.row_number().over(by_part)).where(F.col("r") <= hubs)
-        .withColumn("r", F.row_number().over(by_block)).where(F.col("r") <= hubs)
-        .select(F.col("sid").alias("hub_sid"), F.col("block").alias("hub_block"), "slices", F.col("r").alias("hub"))
+    schema = "sid long, label long, block long, settled boolean"
+    if large.isEmpty():
+        found = whole.groupBy("block", "slice").applyInArrow(_block(percent), schema)
+        return written(found.select(F.col("sid").alias("a"), F.col("label").alias("b")).where("a <> b"), "jaccard-links")
+
+    # Slices of a large block: by the smallest hash, and a hash of the id where
+    # too many sets share one.
+    kind = F.pmod(F.xxhash64("lowest"), F.col("slices"))
+    dealt = members.join(large, "block").withColumn("kind", kind)
+    crowd = dealt.groupBy("block", "kind").agg(F.ceil(F.count("*") / slice_sets).cast("long").alias("ways"))
+    big = written(
+        dealt.join(crowd, ["block", "kind"]).withColumn(
+            "slice", F.col("kind") * F.lit(1 << 24) + F.pmod(F.xxhash64("sid"), F.col("ways"))
+        ).drop("kind", "ways", "slices", "size"),
+        "jaccard-slices",
     )
+    best = written(_hubs(big, hubs), "jaccard-hubs")
     hub_rows = (
-        members.join(best, (F.col("sid") == F.col("hub_sid")) & (F.col("block") == F.col("hub_block")))
-        .select("sid", "n", "keys", "block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("slices") - 1)).alias("slice"), "hub")
+        big.join(best.withColumnRenamed("block", "hub_block"), F.col("sid") == F.col("hub_sid"))
+        .select("sid", "n", "keys", "block", "hub")
+        .join(big.select("block", "slice").distinct(), "block")
+        .select("sid", "n", "keys", "block", "slice", "hub")
+    )
+    sliced = big.join(best.select(F.col("hub_sid").alias("sid")), "sid", "left_anti").select(
+        "sid", "n", "keys", "block", "slice", F.lit(0).alias("hub")
     )
-    hub_ids = best.select(F.col("hub_sid").alias("sid"))
-    sliced = big.join(hub_ids, "sid", "left_anti").select("sid", "n", "keys", "block", "slice", F.lit(0).alias("hub"))
     first = written(
         # Dealt by slice: rows that come together by block would stay together.
         whole.union(sliced).union(hub_rows).repartition("block", "slice").groupBy("block", "slice").applyInArrow(
-            _block(percent), "sid long, label long, block long, settled boolean"
+            _block(percent), schema
         ),
         "jaccard-labels",
     )
     edges = first.select(F.col("sid").alias("a"), F.col("label").alias("b")).where("a <> b")
 
-    # Second pass, for large blocks only: queries that no hub reaches.
-    asking = first.where("NOT settled").select("sid", "block").distinct()
-    parts = asking.groupBy("block").agg(F.ceil(F.count("*") / slice_sets).cast("long").alias("parts"))
-    labelled = big.join(first.groupBy("sid").agg(F.min("label").alias("label")), "sid").join(
-        asking.select("sid", F.lit(True).alias("open")), "sid", "left"
-    ).join(parts, "block")
-    part_of = F.pmod(F.xxhash64("sid", F.lit(1)), F.col("parts")).cast("long")
+    # Second pass, for large blocks only: queries that the first hub does not reach.
+    asking = written(first.where("NOT settled").select("sid").distinct(), "jaccard-asking")
+    if asking.isEmpty():
+        return written(edges, "jaccard-links")
+    token = _tokens(sets).join(big.select("sid", "block", "slice"), "sid")
+    held = token.groupBy("block", "token", "slice").agg(F.bool_or("short").alias("held_short"))
+    visits = written(
+        token.join(asking, "sid", "left_semi")
+        .select("sid", "block", "token", "short", F.col("slice").alias("own"))
+        .join(held, ["block", "token"])
+        .where("slice <> own AND (short OR held_short)")
+        .select("sid", "block", "slice")
+        .distinct(),
+        "jaccard-visits",
+    )
+    parts = visits.groupBy("block", "slice").agg(F.ceil(F.count("*") / slice_sets).cast("long").alias("parts"))
+    labelled = big.join(first.groupBy("sid").agg(F.min("label").alias("label")), "sid").select(
+        "sid", "n", "keys", "block", "slice", "label"
+    )
     cols = ["sid", "n", "keys", "block", "label", "part", "slice", "asks"]
-    asked = labelled.withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1))).withColumn("asks", F.lit(False)).select(cols)
+    asked = labelled.join(parts, ["block", "slice"]).withColumn(
+        "part", F.explode(F.sequence(nothing, F.col("parts") - 1))
+    ).withColumn("asks", F.lit(False)).select(cols)
     asks = (
-        labelled.where("open").withColumn("part", part_of)
-        .withColumn("slice", F.explode(F.sequence(F.lit(0).cast("long"), F.col("slices") - 1)))
+        visits.join(labelled.drop("block", "slice"), "sid").join(parts, ["block", "slice"])
+        .withColumn("part", F.pmod(F.xxhash64("sid", F.lit(1)), F.col("parts")).cast("long"))
         .withColumn("asks", F.lit(True)).select(cols)
     )
     more = asked.union(asks).repartition("block", "part", "slice").groupBy("block", "part", "slice").applyInArrow(_tile(percent), "a long, b long")
     return written(edges.union(more.where("a <> b")), "jaccard-links")
 
 
+def _placed(docs: DataFrame, *, id_col: str, text_col: str, width: int, percent: int, buckets: int | None, slice_sets: int) -> DataFrame:
+    """doc_id, mark, n_shingles and component (null for an empty set) of every row."""
+    rows = written(document_sets(docs, id_col=id_col, text_col=text_col, width=width), "jaccard-sets")
+    # About six bytes of text to a shingle.
+    ranges, tasks = exchange_size(rows.agg(F.sum("n_shingles") * 6))
+    buckets = buckets or ranges
+    posts = docs.select(F.col(text_col).cast("string")).mapInArrow(
+        _postings(width, buckets, tasks), "place long, chunk long, data binary"
+    )
+    shared = posts.repartition(tasks, "place").groupBy("place").applyInArrow(
+        _share(buckets), "chunk long, ids binary, shared binary"
+    )
+    found = shared.repartition(tasks, "chunk").groupBy("chunk").applyInArrow(
+        _candidates(percent),
+        "sid long, n long, keys binary, prefix array<long>, shorter long, lowest long, common double",
+    )
+    # Equal sets of different chunks are one set.
+    candidates = written(found.dropDuplicates(["sid"]), "jaccard-candidates")
+    links = set_links(candidates, percent=percent, slice_sets=slice_sets)
+    labels = connected_components(links).select(F.col("node").alias("sid"), "component")
+    return written(
+        rows.join(labels, "sid", "left").select("doc_id", "mark", "n_shingles", F.coalesce("component", "sid").alias("component")),
+        "jaccard-placed",
+    )
+
+
 def jaccard_components(
     docs: DataFrame,
     *,
@@ -430,25 +529,8 @@ def jaccard_components(
     repeated row is in its like's component.  Other columns are not read; an
     empty table gives no rows.
     """
-    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    buckets = buckets or 2 * parts
-    rows = written(document_sets(docs, id_col=id_col, text_col=text_col, width=width), "jaccard-sets")
-    posts = docs.select(F.col(text_col).cast("string")).mapInArrow(
-        _postings(width, buckets, parts), "place long, chunk long, data binary"
-    )
-    shared = posts.groupBy("place").applyInArrow(_share(buckets), "chunk long, ids binary, shared binary")
-    found = shared.groupBy("chunk").applyInArrow(
-        _candidates(percent), "sid long, n long, keys binary, prefix array<long>, common double"
-    )
-    # Equal sets of different chunks are one set.
-    candidates = written(found.dropDuplicates(["sid"]), "jaccard-candidates")
-    links = set_links(candidates, percent=percent, slice_sets=slice_sets)
-    found = connected_components(links)
-    placed = written(
-        rows.join(found.select(F.col("node").alias("sid"), "component"), "sid", "left").select(
-            "doc_id", "n_shingles", F.coalesce("component", "sid").alias("component")
-        ),
-        "jaccard-placed",
+    placed = _placed(
+        docs, id_col=id_col, text_col=text_col, width=width, percent=percent, buckets=buckets, slice_sets=slice_sets
     )
     # Written, so that the last join has plain exchanges on both sides and a
     # component of a third of all rows is split.
@@ -459,3 +541,34 @@ def jaccard_components(
     return placed.join(least, "component", "left").select(
         "doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id")
     )
+
+
+def one_of_each(
+    docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, slice_sets: int = 512
+) -> DataFrame:
+    """The input without its near copies, with its columns.
+
+    Of each component of links one row stays: that with the smallest id (a null
+    id comes after all others); of several rows with that id that with the
+    smallest hash of its text, and of repeated rows one.  The decision is by
+    row, so a row that shares its id with another's copy stays unless it is a
+    copy itself.  Rows without words link with nothing and all stay.  An empty
+    table stays empty; columns may have any names.
+    """
+    placed = _placed(docs, id_col=id_col, text_col=text_col, width=width, percent=percent, buckets=None, slice_sets=slice_sets)
+    order = F.struct(F.col("doc_id").isNull().alias("none"), F.col("doc_id").alias("id"), F.col("mark").alias("m"))
+    first = written(
+        placed.where("component IS NOT NULL").groupBy("component").agg(F.min(order).alias("stays")), "jaccard-first"
+    )
+    # Rows that go are distinct (id, mark) pairs, so a text that a third of all
+    # rows repeat under one id meets one pair.
+    gone = (
+        placed.join(first, "component")
+        .where(~(F.col("doc_id").eqNullSafe(F.col("stays.id")) & (F.col("mark") == F.col("stays.m"))))
+        .select("doc_id", "mark").distinct()
+    )
+    text = F.col(f"row.`{text_col}`").cast("string")
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")).withColumn("wordless", ~F.coalesce(text.rlike(r"[^ \t\n\x0B\f\r]"), F.lit(False)))
+    keyed = rows.where("NOT wordless").select("row", F.col(f"row.`{id_col}`").cast("long").alias("of"), F.xxhash64(text).alias("as"))
+    stay = keyed.join(gone, F.col("of").eqNullSafe(F.col("doc_id")) & (F.col("as") == F.col("mark")), "left_anti")
+    return stay.dropDuplicates(["of", "as"]).select("row.*").union(rows.where("wordless").select("row.*"))
