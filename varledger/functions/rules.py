@@ -56,6 +56,9 @@ SCREEN_RULES = [
     ("linear", "ordinal", "debated", "ordinal as continuous"),
 ]
 
+#: Another version of the screen: the clear tier alone.
+CLEAR_RULES = [r for r in SCREEN_RULES if r[2] == "clear"]
+
 #: (language, command, family, refit): commands the extractor knows.
 COMMANDS = [
     ("stata", "regress", "linear", True),
@@ -94,6 +97,9 @@ COMMANDS = [
     ("r", "t.test", "t-test", False),
 ]
 
+#: Commands that are another command's short form.
+SHORT_FORMS = {"reg": "regress", "ivreg2": "ivregress", "logistic": "logit"}
+
 #: Families of R's glm by its family argument; a missing one is Gaussian.
 GLM_FAMILIES = {
     "gaussian": "linear",

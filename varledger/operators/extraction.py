@@ -6,7 +6,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from ..functions.rules import COMMANDS, GLM_FAMILIES, PREFIXES
+from ..functions.rules import COMMANDS, GLM_FAMILIES, PREFIXES, SHORT_FORMS
 
 NAME = r"^[A-Za-z_.][A-Za-z0-9_.]*$"
 
@@ -79,40 +79,75 @@ def stata_pattern(prefixes: tuple[str, ...] = PREFIXES) -> str:
 
 def r_pattern() -> str:
     commands = _any(c for d, c, _, _ in COMMANDS if d == "r")
-    return rf"(?<![\w.])({commands})[ \t]*\([ \t]*(?:formula[ \t]*=[ \t]*)?([\w.]+(?:\([^()]*\))?)[ \t]*~[ \t]*(.*)$"
+    return rf"^.*?(?<![\w.])({commands})[ \t]*\([ \t]*(?:formula[ \t]*=[ \t]*)?([\w.]+(?:\([^()]*\))?)[ \t]*~[ \t]*(.*)$"
+
+
+def _mapped(column: Column, pairs: dict[str, str]) -> Column:
+    return F.coalesce(F.create_map(*[F.lit(x) for kv in pairs.items() for x in kv])[column], column)
 
 
 def pairs(lines: DataFrame, *, prefixes: tuple[str, ...] = PREFIXES) -> DataFrame:
-    """deposit_id, file_id, line_no, command, family, response, terms, refit and
-    exclusion marks of each estimator call.  The survey prefix is not accepted
-    unless named in ``prefixes``."""
+    """deposit_id, file_id, line_no, dialect, command, estimator (a short form
+    by its full name), response, terms, design, family and whether a refit is
+    excluded, of each estimator call.  The survey prefix is not accepted unless
+    named in ``prefixes``.
+
+    Each line meets the pattern of its own language once.  Excluded from refits
+    are Stata's if, in, bracketed weights, absorbed effects and interactions
+    and R's subset; weights of R are accepted, though not reconstructed.
+    """
     spark = lines.sparkSession
-    dialect = F.when(F.col("lang") == "stata", "stata").otherwise("r")
-    gate = F.when(F.col("lang") == "stata", F.col("line").rlike(stata_pattern(prefixes))).otherwise(F.col("line").rlike(r_pattern()))
-    found = lines.where(gate).select(
-        "deposit_id", "file_id", "line_no", dialect.alias("dialect"),
-        *[F.regexp_extract("line", stata_pattern(prefixes), g).alias(f"s{g}") for g in (1, 2, 3)],
-        *[F.regexp_extract("line", r_pattern(), g).alias(f"r{g}") for g in (1, 2, 3)],
+    stata = F.col("lang") == "stata"
+    mark = "\u0001"
+    groups = f"$1{mark}$2{mark}$3"
+    cut = F.when(stata, F.regexp_replace("line", stata_pattern(prefixes), groups)).otherwise(
+        F.regexp_replace("line", r_pattern(), groups)
     )
-    stata = F.col("dialect") == "stata"
+    more = [c for c in lines.columns if c not in ("deposit_id", "file_id", "line_no", "lang", "line")]
+    found = lines.select(
+        *more, "deposit_id", "file_id", "line_no", F.when(stata, "stata").otherwise("r").alias("dialect"), F.split(cut, mark).alias("p")
+    ).where(F.size("p") == 3)
     found = found.select(
-        "deposit_id", "file_id", "line_no", "dialect",
-        *[F.when(stata, F.col(f"s{g}")).otherwise(F.col(f"r{g}")).alias(n) for g, n in ((1, "command"), (2, "response"), (3, "terms"))],
+        *more, "deposit_id", "file_id", "line_no", "dialect", *[F.col("p")[i].alias(n) for i, n in enumerate(("command", "response", "terms"))]
     )
     out = found.join(F.broadcast(families(spark)), ["dialect", "command"])
     argument = F.regexp_extract("terms", r"family[ \t]*=[ \t]*[\"']?(\w+)", 1)
     by_argument = F.create_map(*[x for k, v in GLM_FAMILIES.items() for x in (F.lit(k), F.lit(v))])
     glm = F.when(argument == "", "linear").otherwise(F.coalesce(by_argument[argument], F.lit("other")))
-    return out.withColumn("family", F.when(F.col("family") == "by family", glm).otherwise(F.col("family"))).withColumn(
-        "excluded",
-        ~F.col("refit")
-        | F.col("terms").rlike(r"\b(if|in)\b[ \t]+\S|\[[ \t]*[apfi]?w(eight)?[ \t]*=|subset[ \t]*=|weights[ \t]*=|absorb\(|##?|:|\*"),
-    ).drop("refit")
+    marks = F.when(
+        F.col("dialect") == "stata",
+        F.col("terms").rlike(r"\b(if|in)\b[ \t]+\S|\[[ \t]*[apfi]?w(eight)?[ \t]*=|absorb\(|#"),
+    ).otherwise(F.col("terms").rlike(r"subset[ \t]*="))
+    return out.select(
+        *more, "deposit_id", "file_id", "line_no", "dialect", "command", _mapped(F.col("command"), SHORT_FORMS).alias("estimator"),
+        "response", "terms", design().alias("design"),
+        F.when(F.col("family") == "by family", glm).otherwise(F.col("family")).alias("family"), (~F.col("refit") | marks).alias("excluded"),
+    )
+
+
+def design() -> Column:
+    """Terms of a command as an array: a plain name, i.name for a factor, or
+    a:b for a numeric interaction; null where any term is something else."""
+    plain = r"[A-Za-z_][A-Za-z0-9_.]*"
+    stata = F.split(F.trim(F.regexp_extract("terms", r"^([^,\[]*?)(?:[ \t]+(?:if|in)\b[^,]*)?(?:[,\[].*)?$", 1)), r"[ \t]+")
+
+    def r_term(t: Column) -> Column:
+        factor = F.regexp_extract(t, rf"^(?:as\.)?factor\(({plain})\)$", 1)
+        a, b = (F.regexp_extract(t, rf"^({plain})\s*\*\s*({plain})$", i) for i in (1, 2))
+        return (
+            F.when(factor != "", F.array(F.concat(F.lit("i."), factor)))
+            .when(a != "", F.array(a, b, F.concat_ws(":", a, b))).otherwise(F.array(F.regexp_replace(t, r"\s", "")))
+        )
+
+    right = F.trim(F.regexp_extract("terms", r"^((?:[^,()]|\([^()]*\))*)", 1))
+    tokens = F.when(F.col("dialect") == "stata", stata).otherwise(F.flatten(F.transform(F.split(right, r"\s*\+\s*"), r_term)))
+    return F.when(F.forall(tokens, lambda t: t.rlike(rf"^(i\.)?{plain}$|^{plain}:{plain}$")), F.array_distinct(tokens))
 
 
-def variables(profiles: DataFrame) -> DataFrame:
-    """The names a response can match: deposit_id, name, class, n."""
-    return profiles.select("deposit_id", "name", "class", "n", F.col("nonnull").alias("n_present"))
+def kept_files(rows: DataFrame, files: DataFrame, **limits) -> DataFrame:
+    """Rows of the files that the harvest keeps."""
+    kept = apply_limits(files, **limits).where("kept").select("deposit_id", "file_id")
+    return rows.join(kept, ["deposit_id", "file_id"], "left_semi")
 
 
 def match_outcomes(found: DataFrame, names: DataFrame, *, log_prefixes: tuple[str, ...] = ("ln", "l_")) -> DataFrame:

@@ -1,8 +1,11 @@
 """Pairing of papers with deposits, extraction requests, replayed records and
-their scores.  No model is called here: extraction quality is an input."""
+their scores.  No model is called here: extraction quality is an input, or
+that of a keyword reader."""
 
 from __future__ import annotations
 
+import json
+import re
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -64,22 +67,36 @@ def resolve(deposits: DataFrame, *methods: DataFrame) -> DataFrame:
     )
 
 
-def metadata_sheet(profiles: DataFrame) -> DataFrame:
-    """Variables of each deposit without data: one bounded line each."""
-    line = F.concat_ws(":", "name", "class", F.col("nonnull").cast("string"))
-    return profiles.groupBy("deposit_id").agg(
-        F.array_join(F.array_sort(F.collect_list(line)), ";").alias("sheet"), F.count("*").alias("n_variables")
+VARIABLE = "array<struct<name:string,label:string,type:string,low:double,high:double,n_distinct:long,n_present:long>>"
+
+
+def metadata_sheet(profiles: DataFrame, labels: DataFrame | None = None) -> DataFrame:
+    """deposit_id, sheet, n_variables: of each variable its name, its label where
+    a codebook has one (``labels``: name, label), type, range, distinct values
+    (null beyond the exact limit) and present values.  No class and no data.
+    One entry a name: the file with most rows speaks for it."""
+    best = profiles.groupBy("deposit_id", "name").agg(
+        F.min(F.struct((-F.col("n")).alias("o"), "file_id", "all_integer", "vmin", "vmax", "complete", "n_distinct", "nonnull")).alias("b")
+    )
+    if labels is None:
+        best = best.withColumn("label", F.lit(None).cast("string"))
+    else:
+        best = best.join(labels.select("name", "label"), "name", "left")
+    entry = F.struct(
+        "name", "label", F.when(F.col("b.all_integer"), "integer").otherwise("double").alias("type"), F.col("b.vmin").alias("low"),
+        F.col("b.vmax").alias("high"), F.when(F.col("b.complete"), F.col("b.n_distinct")).alias("n_distinct"), F.col("b.nonnull").alias("n_present"),
     )
+    return best.groupBy("deposit_id").agg(F.array_sort(F.collect_list(entry)).alias("sheet"), F.count("*").alias("n_variables"))
 
 
 def requests(pairs: DataFrame, papers: DataFrame, sheets: DataFrame, scripts: DataFrame | None = None) -> DataFrame:
     """One request for each paired paper; with scripts it is the code arm."""
-    out = pairs.join(papers.select("paper_id", "text"), "paper_id").join(sheets, "deposit_id")
+    out = pairs.select("deposit_id", "paper_id").join(papers.select("paper_id", "text"), "paper_id").join(sheets, "deposit_id")
     arm = "text+metadata"
     if scripts is not None:
         code = scripts.groupBy("deposit_id").agg(F.array_join(F.array_sort(F.collect_list("text")), "\n").alias("code"))
         out, arm = out.join(code, "deposit_id", "left"), "text+metadata+code"
-    body = F.to_json(F.struct(*[c for c in ("text", "sheet", "code") if c in out.columns]))
+    body = F.to_json(F.struct("deposit_id", *[c for c in ("text", "sheet", "code") if c in out.columns]))
     return out.select("deposit_id", "paper_id", F.lit(arm).alias("arm"), body.alias("request"), F.sha2(body, 256).alias("request_id"))
 
 
@@ -97,9 +114,66 @@ def extract(asked: DataFrame, extractor: Callable[[str], str], *, calls: int | N
 
 
 def extract_two_step(asked: DataFrame, distil: Callable[[str], str], settle: Callable[[str], str]) -> DataFrame:
-    """Baseline of two calls: distil the text, then settle it on columns."""
-    first = extract(asked, distil).withColumnRenamed("response", "request")
-    return extract(first, settle)
+    """Baseline of two calls: distil the paper, then settle what is left on the
+    columns of the sheet."""
+    first = extract(asked, distil)
+    second = first.join(asked.select("request_id", "request"), "request_id").select(
+        "request_id",
+        F.to_json(F.struct(F.col("response").alias("text"), F.from_json(F.get_json_object("request", "$.sheet"), VARIABLE).alias("sheet"))).alias("request"),
+    )
+    return extract(second, settle)
+
+
+def replay(asked: DataFrame, responses: DataFrame) -> DataFrame:
+    """Stored responses (request_id, extractor, response) in place of a model:
+    request_id, extractor, response of every request that has one."""
+    return asked.select("request_id").join(responses, "request_id")
+
+
+_COMMENT = re.compile(r"^\s*(#|\*|/\*|//)")
+
+
+def distil_keywords(request: str) -> str:
+    """First step of the two: the sentence that names an outcome or predictor,
+    with what it says of least squares; other models are not carried over."""
+    text = json.loads(request)["text"]
+    said = [x for x in re.split(r"(?<=\.)\s+", text) if re.search(r"\b(outcome|predictor) is\b", x)]
+    ols = " by ordinary least squares." if "ordinary least squares" in text else ""
+    return " ".join(re.split(r",| by ", x)[0].rstrip(".") + "." for x in said) + ols
+
+
+def extract_keywords(request: str) -> str:
+    """A small extractor without a model: the column that stands after "outcome
+    is" or "predictor is", and the family by words of the text, or failing that
+    by the commands of the code."""
+    body = json.loads(request)
+    names = sorted((v["name"] for v in body["sheet"]), key=len, reverse=True)
+    text, code = body["text"], body.get("code") or ""
+    family = "not stated"
+    if re.search(r"\b(Poisson|count model)\b", text):
+        family = "count"
+    elif re.search(r"\b(least squares|linear)\b", text):
+        family = "linear"
+    else:
+        lines = [x for x in code.split("\n") if not _COMMENT.match(x)]
+        if any(re.search(r"\b(poisson|nbreg)\b", x) for x in lines):
+            family = "count"
+        elif any(re.search(r"\b(regress|reg)\b|\b[a-z]?lm(_robust)?\(", x) for x in lines):
+            family = "linear"
+    out = []
+    for use, said in re.findall(r"\b(outcome|predictor) is ([^,.]*)", text):
+        column = next((n for n in names if re.search(rf"\b{re.escape(n)}\b", said)), "not in the metadata")
+        out.append({"outcome": said, "family": family, "role": "headline", "column": column, "use": use})
+    return json.dumps(out)
+
+
+def from_code(links: DataFrame) -> DataFrame:
+    """Records of the code layer: what deposited commands say, as a comparator."""
+    return links.select(
+        "deposit_id", F.lit("comparators").alias("arm"), F.lit("code layer").alias("extractor"), F.col("deposit_id").alias("case_id"),
+        F.col("response").alias("outcome"), "family", F.lit(None).cast("string").alias("role"), "column", F.lit("outcome").alias("use"),
+        F.lit("read").alias("status"),
+    )
 
 
 def parse(records: DataFrame) -> DataFrame:
@@ -112,56 +186,74 @@ def parse(records: DataFrame) -> DataFrame:
     )
 
 
-def guard(rows: DataFrame, names: DataFrame) -> DataFrame:
-    """Reject picks of columns that the deposit does not have."""
-    known = names.select("deposit_id", F.col("name").alias("column"), F.lit(True).alias("_known"))
+def guard(rows: DataFrame, sheets: DataFrame) -> DataFrame:
+    """Reject picks of columns that the sheet does not have, and picks whose
+    type and range contradict the stated family: a count is integer and not
+    negative, a share lies in the unit interval, a binary has two values."""
+    known = sheets.select("deposit_id", F.inline("sheet")).select("deposit_id", F.col("name").alias("column"), "type", "low", "high", "n_distinct")
     out = rows.join(known, ["deposit_id", "column"], "left")
+    fits = (
+        F.when(F.col("family") == "count", (F.col("type") == "integer") & (F.col("low") >= 0))
+        .when(F.col("family") == "proportion", (F.col("low") >= 0) & (F.col("high") <= 1))
+        .when(F.col("family") == "binary", F.col("n_distinct") <= 2).otherwise(True)
+    )
     return out.withColumn(
         "status",
         F.when(F.col("status") != "read", F.col("status"))
         .when(F.col("column") == "not in the metadata", "not_in_metadata")
-        .when(F.col("_known").isNull(), "unknown_column").otherwise("accepted"),
-    ).drop("_known")
+        .when(F.col("type").isNull(), "unknown_column")
+        .when(~F.coalesce(fits, F.lit(False)), "inconsistent").otherwise("accepted"),
+    ).drop("type", "low", "high", "n_distinct")
 
 
 def score(rows: DataFrame, cases: DataFrame, twins: DataFrame) -> DataFrame:
     """Per (arm, extractor, case): exact link, derived link (an accepted twin),
-    any link, family match and both.  Picks as a predictor do not count."""
-    pick = rows.join(cases.select("case_id", F.col("column").alias("want"), F.col("family").alias("want_family")), "case_id", "right")
+    any link, the family by itself, link and family, and the kind of miss.
+
+    Picks as a predictor do not count.  The kinds, the first that holds: a link
+    whose family was not stated or contradicts the case; an accepted pick of
+    another column; one as a predictor only; else what the guard said.
+    """
+    pick = rows.join(cases.select("case_id", F.col("column").alias("want"), F.col("family").alias("want_family")), "case_id")
     pick = pick.join(twins.select("case_id", F.col("column").alias("twin")), "case_id", "left")
     used = (F.col("status") == "accepted") & (F.col("use") == "outcome")
     exact = used & (F.col("column") == F.col("want"))
     derived = used & (F.col("column") == F.col("twin")) & (F.col("column") != F.col("want"))
-    family = used & (F.col("family") == F.col("want_family"))
+    family = (F.col("use") == "outcome") & (F.col("family") == F.col("want_family"))
     yes = lambda c: F.coalesce(F.bool_or(c), F.lit(False))
+    link, both = yes(exact | derived), yes(family & (exact | derived))
+    stated = yes((exact | derived) & (F.col("family") != "not stated"))
+    kind = (
+        F.when(both, F.lit(None).cast("string")).when(link & stated, "contradicted").when(link, "not_stated").when(yes(used), "wrong_column")
+        .when(yes((F.col("status") == "accepted") & (F.col("use") == "predictor")), "predictor_only").otherwise(F.min("status"))
+    )
     return pick.groupBy("arm", "extractor", "case_id").agg(
-        yes(exact).alias("exact"), (yes(derived) & ~yes(exact)).alias("derived"),
-        yes(exact | derived).alias("link"), yes(family & (exact | derived)).alias("link_family"),
-        F.coalesce(F.min("status"), F.lit("missing")).alias("status"),
+        yes(exact).alias("exact"), (yes(derived) & ~yes(exact)).alias("derived"), link.alias("link"),
+        yes(family).alias("family"), both.alias("link_family"), kind.alias("miss"),
     )
 
 
 def grid(scores: DataFrame) -> DataFrame:
-    n = lambda c: F.count_if(c)
+    n = lambda c: F.count_if(F.col(c)).alias(f"n_{c}")
     return scores.groupBy("arm", "extractor").agg(
-        F.count("*").alias("n_cases"), n(F.col("exact")).alias("n_exact"), n(F.col("derived")).alias("n_derived"),
-        n(F.col("link")).alias("n_link"), n(F.col("link_family")).alias("n_link_family"),
+        F.count("*").alias("n_cases"), *[n(c) for c in ("exact", "derived", "link", "family", "link_family")]
     )
 
 
 def compare(scores: DataFrame, first: str, second: str) -> DataFrame:
-    """Rows gained, lost and kept between two arms."""
-    a = scores.where(F.col("arm") == first).select("extractor", "case_id", F.col("link_family").alias("before"))
-    b = scores.where(F.col("arm") == second).select("extractor", "case_id", F.col("link_family").alias("after"))
-    both = a.join(b, ["extractor", "case_id"], "full_outer").na.fill(False, ["before", "after"])
+    """Rows gained, lost and kept between two arms, and those of which the link
+    turned from exact to derived or back."""
+    side = lambda arm, t: scores.where(F.col("arm") == arm).select(
+        "extractor", "case_id", F.col("link_family").alias(f"full{t}"), F.col("exact").alias(f"exact{t}"), F.col("derived").alias(f"derived{t}")
+    )
+    flags = [f"{c}{t}" for c in ("full", "exact", "derived") for t in "ab"]
+    both = side(first, "a").join(side(second, "b"), ["extractor", "case_id"], "full_outer").na.fill(False, flags)
+    turned = (F.col("exacta") & F.col("derivedb")) | (F.col("deriveda") & F.col("exactb"))
     return both.groupBy("extractor").agg(
-        F.count_if(F.col("after") & ~F.col("before")).alias("gained"),
-        F.count_if(F.col("before") & ~F.col("after")).alias("lost"),
-        F.count_if(F.col("before") & F.col("after")).alias("kept"),
+        F.count_if(F.col("fullb") & ~F.col("fulla")).alias("gained"), F.count_if(F.col("fulla") & ~F.col("fullb")).alias("lost"),
+        F.count_if(F.col("fulla") & F.col("fullb")).alias("kept"), F.count_if(turned).alias("changed"),
     )
 
 
 def miss_kinds(scores: DataFrame) -> DataFrame:
-    missed = scores.where("NOT link_family")
-    kind = F.when(F.col("link"), "family_missing").when(F.col("status") == "accepted", "wrong_specification").otherwise(F.col("status"))
-    return missed.groupBy("arm", "extractor", kind.alias("kind")).agg(F.count("*").alias("n"))
+    return scores.where("NOT link_family").groupBy("arm", "extractor", F.col("miss").alias("kind")).agg(F.count("*").alias("n"))

@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-NAMES = ("profiles", "archive", "graphs", "statistics")
+NAMES = ("profiles", "archive", "recovery", "papers", "graphs", "statistics")
 
 
 def modules():

@@ -1,44 +1,81 @@
-"""Census workloads on the generated archive."""
+"""Census workloads on the generated archive: harvest, links, flags, coverage."""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from functools import cached_property
+
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators import classify, evidence, extraction, fingerprint, screen
+from ..functions.rules import CENSUS, CLEAR_RULES, PREFIXES, RAW
+from ..operators import audit, classify, evidence, extraction, screen
 from ..sources import archive
+from ..sources.store import stored
 from ..sources.tables import table
 from . import sql
 
 FAMILIES = ["linear", "count"]
-CLS = sql.stats(archive.CELLS_SQL, ["deposit_id", "name"])
+KEYS = ["deposit_id", "file_id", "name"]
+CLS = sql.stats(archive.CELLS_SQL, KEYS)
+CLEAR = "class IN ('count', 'proportion')"
+SCREENED = "class IN ('count', 'proportion', 'binary', 'ordinal')"
 LINKS_SQL = f"""WITH {CLS}, truth AS ({archive.TRUTH_SQL}),
-links AS (SELECT t.deposit_id, t.collection, t.command, t.family, t.response, c.class, c.n, c.all_integer
+links AS (SELECT t.deposit_id, t.collection, t.command, t.estimator, t.family, t.response, t.place, t.design, t.plain, c.file_id AS data_file, c.class, c.n, c.all_integer
           FROM truth t JOIN cls c ON c.deposit_id = t.deposit_id AND c.name = t.response WHERE t.grp >= 70),
-flags AS (SELECT DISTINCT deposit_id, family, response AS outcome, class,
-          CASE WHEN class IN ('count', 'proportion') THEN 'clear' ELSE 'debated' END AS tier, n FROM links
-          WHERE family = 'linear' AND class IN ('count', 'proportion', 'binary', 'ordinal'))"""
+records AS (SELECT deposit_id, estimator, family, response AS outcome, class, n FROM links
+          QUALIFY row_number() OVER (PARTITION BY deposit_id, estimator, family, response ORDER BY n DESC, data_file) = 1),
+flags AS (SELECT *, CASE WHEN {CLEAR} THEN 'clear' ELSE 'debated' END AS tier FROM records WHERE family = 'linear' AND {SCREENED})"""
+
+
+class Census:
+    """One run over the archive; what several steps read is written once."""
+
+    def __init__(self, spark: SparkSession, sf_dir: str):
+        self.spark, self.sf_dir = spark, sf_dir
+
+    @cached_property
+    def files(self) -> DataFrame:
+        return archive.files(self.spark, self.sf_dir)
 
+    def evidence(self, *, capped: bool = True) -> DataFrame:
+        cells = archive.cells(self.spark, self.sf_dir)
+        if capped:
+            cells = extraction.kept_files(cells, self.files)
+        return evidence.profile_cells(cells, KEYS)
 
-def profiles(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return classify.classified(evidence.profile_cells(archive.cells(spark, sf_dir), ["deposit_id", "name"]))
+    @cached_property
+    def profiles(self) -> DataFrame:
+        return classify.classified(self.evidence())
 
+    @cached_property
+    def kept(self) -> DataFrame:
+        """The profiles, written."""
+        return stored(self.profiles, "census-profiles")
 
-def found(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return extraction.pairs(extraction.logical_lines(archive.scripts(spark, sf_dir)))
+    def read(self, *, capped: bool = True, prefixes: tuple[str, ...] = PREFIXES) -> DataFrame:
+        scripts = archive.scripts(self.spark, self.sf_dir)
+        if capped:
+            scripts = extraction.kept_files(scripts, self.files)
+        return extraction.pairs(extraction.logical_lines(scripts), prefixes=prefixes)
 
+    def links(self, profiles: DataFrame | None = None, read: DataFrame | None = None) -> DataFrame:
+        names = (self.profiles if profiles is None else profiles).select(
+            "deposit_id", F.col("file_id").alias("data_file"), "name", "class", "n", "all_integer"
+        )
+        return extraction.match_outcomes(self.read() if read is None else read, names)
 
-def links(spark: SparkSession, sf_dir: str) -> DataFrame:
-    names = profiles(spark, sf_dir).select("deposit_id", "name", "class", "n", "all_integer")
-    return extraction.match_outcomes(found(spark, sf_dir), names)
+    def flags(self, links: DataFrame | None = None) -> DataFrame:
+        return screen.flagged(self.links() if links is None else links)
 
 
 def by_part(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return profiles(spark, sf_dir).select("deposit_id", "name", "n", "n_distinct", "class")
+    return Census(spark, sf_dir).profiles.select("deposit_id", "file_id", "name", "n", "n_distinct", "class")
 
 
 def code_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return found(spark, sf_dir).select("deposit_id", "command", "family", "response")
+    return Census(spark, sf_dir).read().select(
+        "deposit_id", "command", "estimator", "family", "response", F.array_join("design", " ").alias("design"), "excluded"
+    )
 
 
 def code_pairs_negative(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -49,57 +86,131 @@ def code_pairs_negative(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extraction.pairs(extraction.logical_lines(docs)).agg(F.count("*").alias("n_pairs"))
 
 
+def prefix_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Deposits and records read with and without harvest limits and the survey
+    prefix."""
+    census, out = Census(spark, sf_dir), None
+    for capped, prefixes, name in ((True, PREFIXES, "census"), (False, PREFIXES, "uncapped"), (True, (*PREFIXES, "svy"), "with survey prefix")):
+        one = census.read(capped=capped, prefixes=prefixes).agg(
+            F.lit(name).alias("variant"), F.countDistinct("deposit_id").alias("n_deposits"), F.count("*").alias("n_records")
+        )
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+VARIANTS_SQL = f"""WITH truth AS ({archive.TRUTH_SQL}), svy AS (SELECT p_partkey AS deposit_id FROM part WHERE p_partkey % 100 BETWEEN 10 AND 38 AND p_partkey % 2 = 0)
+SELECT 'census' AS variant, count(DISTINCT deposit_id) AS n_deposits, count(*) AS n_records FROM truth WHERE grp >= 39
+UNION ALL SELECT 'uncapped', count(DISTINCT deposit_id), count(*) FROM truth
+UNION ALL SELECT 'with survey prefix', count(DISTINCT deposit_id), count(*) FROM (SELECT deposit_id FROM truth WHERE grp >= 39 UNION ALL FROM svy)"""
+
+
+def sibling_code(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Commands of deposits that share the next deposit's code; the locator
+    keeps the true holder."""
+    deposits, scripts = archive.deposits(spark, sf_dir), archive.scripts(spark, sf_dir)
+    key = F.col("deposit_id")
+    shared = deposits.select(F.when(key % 9 == 0, key).alias("deposit_id"), F.when(key % 9 == 0, key + 1).alias("sibling_id")).dropna()
+    lines = extraction.logical_lines(extraction.attach_sibling(deposits, scripts, shared))
+    own = (F.col("deposit_id") == F.col("code_deposit_id")).alias("own_code")
+    return extraction.pairs(lines).groupBy(own).agg(F.count("*").alias("n_records"), F.countDistinct("deposit_id").alias("n_deposits"))
+
+
+SIBLING_SQL = f"""WITH truth AS ({archive.TRUTH_SQL}), s AS (SELECT p_partkey AS d FROM part WHERE p_partkey % 9 = 0)
+SELECT TRUE AS own_code, count(*) AS n_records, count(DISTINCT deposit_id) AS n_deposits FROM truth
+UNION ALL SELECT FALSE, count(*), count(DISTINCT d) FROM s JOIN truth ON deposit_id = d + 1"""
+
+
+def pool(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Leftover directories: copies of harvested deposits, and some without an id."""
+    key = F.col("deposit_id")
+    mark = F.sha2(key.cast("string"), 256)
+    harvested = archive.deposits(spark, sf_dir).select("deposit_id", mark.alias("checksum"))
+    left = harvested.select(
+        F.explode(F.when(key % 50 == 0, F.array(F.lit("copy"), F.lit("bare"))).when(key % 50 == 1, F.array(F.lit("new")))).alias("kind"), "deposit_id", "checksum"
+    ).select(
+        F.when(F.col("kind") != "bare", -1 - F.col("deposit_id")).alias("deposit_id"),
+        F.when(F.col("kind") == "copy", F.col("checksum")).otherwise(F.concat("checksum", "kind")).alias("checksum"),
+    )
+    return extraction.clean_pool(left, harvested).groupBy("reason").agg(F.count("*").alias("n"))
+
+
+POOL_SQL = """SELECT 'duplicate' AS reason, count(*) AS n FROM part WHERE p_partkey % 50 = 0 UNION ALL SELECT 'no_id', count(*) FROM part WHERE p_partkey % 50 = 0
+UNION ALL SELECT 'kept', count(*) FROM part WHERE p_partkey % 50 = 1"""
+
+
 def outcome_links(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return links(spark, sf_dir).select("deposit_id", "family", "response", "column", "link_kind", "class")
+    return Census(spark, sf_dir).links().select("deposit_id", "estimator", "family", "response", "column", "link_kind", "data_file", "class")
+
+
+def _asked_logs(spark: SparkSession, sf_dir: str) -> DataFrame:
+    key = F.col("p_partkey")
+    response = F.when(key % 3 == 0, "lnbulk").when(key % 3 == 1, "l_disc").otherwise("log(bulk)")
+    return table(spark, sf_dir, "part").select(key.alias("deposit_id"), response.alias("response"))
 
 
 def log_prefix_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Responses with a log prefix link to the raw column unless a column has
     the whole name; a transformed response links to nothing."""
-    key = F.col("p_partkey")
-    response = F.when(key % 3 == 0, "lnbulk").when(key % 3 == 1, "l_disc").otherwise("log(bulk)")
-    asked = table(spark, sf_dir, "part").select(key.alias("deposit_id"), response.alias("response"))
-    names = profiles(spark, sf_dir).select("deposit_id", "name", "class")
-    return extraction.match_outcomes(asked, names).select("deposit_id", "response", "column", "link_kind", "class")
+    names = Census(spark, sf_dir).profiles.where("file_id = 'data-1'").select("deposit_id", "name", "class")
+    return extraction.match_outcomes(_asked_logs(spark, sf_dir), names).select("deposit_id", "response", "column", "link_kind", "class")
+
 
+def logged_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The separate, optional check of logged responses whose raw column is a count."""
+    names = Census(spark, sf_dir).profiles.where("file_id = 'data-1'").select("deposit_id", "name", "class")
+    return screen.transformed(_asked_logs(spark, sf_dir), names).select("deposit_id", "response", "column", "alert_kind")
 
-LOG_SQL = f"""WITH {CLS}, asked AS (SELECT p_partkey AS deposit_id, CASE p_partkey % 3 WHEN 0 THEN 'lnbulk' ELSE 'l_disc' END AS response,
-CASE p_partkey % 3 WHEN 0 THEN 'bulk' ELSE 'disc' END AS raw FROM part WHERE p_partkey % 3 < 2)
-SELECT a.deposit_id, response, raw AS "column", 'log_prefix' AS link_kind, class FROM asked a JOIN cls c ON a.deposit_id = c.deposit_id AND c.name = raw"""
+
+LOG_SQL = f"""WITH {CLS}, asked AS (SELECT p_partkey AS deposit_id, CASE p_partkey % 3 WHEN 0 THEN 'lnbulk' WHEN 1 THEN 'l_disc' ELSE 'log(bulk)' END AS response,
+CASE p_partkey % 3 WHEN 1 THEN 'disc' ELSE 'bulk' END AS raw FROM part),
+met AS (SELECT a.deposit_id, response, raw AS "column", class FROM asked a JOIN cls c ON a.deposit_id = c.deposit_id AND c.name = raw AND c.file_id = 'data-1')"""
 
 
 def flags(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return screen.flagged(links(spark, sf_dir)).drop("rule_version")
+    return Census(spark, sf_dir).flags().drop("rule_version")
+
+
+def clear_flags(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The archive under another rule table."""
+    rules = screen.rule_table(spark, CLEAR_RULES)
+    found = screen.flagged(Census(spark, sf_dir).links(), rules=rules, version="clear-1")
+    return found.groupBy("rule_version", "tier", "class").agg(F.count("*").alias("n"))
 
 
 def questions(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Records and distinct questions (deposit, outcome) by tier and class."""
-    return flags(spark, sf_dir).groupBy("tier", "class").agg(
+    """Records (deposit, estimator, outcome) and questions (deposit, outcome) by
+    tier and class."""
+    return Census(spark, sf_dir).flags().groupBy("tier", "class").agg(
         F.count("*").alias("n_records"), F.countDistinct("deposit_id", "outcome").alias("n_questions")
     )
 
 
-def _status(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return screen.coverage(archive.deposits(spark, sf_dir), found(spark, sf_dir), links(spark, sf_dir))
+def _status(census: Census, read: DataFrame, links: DataFrame) -> DataFrame:
+    return screen.coverage(archive.deposits(census.spark, census.sf_dir), read, links)
 
 
 def coverage(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Deposits by status, by collection and in all."""
-    return _status(spark, sf_dir).rollup("collection", "status").agg(F.count("*").alias("n")).where(
-        "NOT (collection IS NOT NULL AND status IS NULL)"
-    ).na.fill("all")
+    census = Census(spark, sf_dir)
+    read = stored(census.read(), "census-read")
+    return _status(census, read, census.links(read=read)).rollup("collection", "status").agg(
+        F.count("*").alias("n"), F.max("limits").alias("limits")
+    ).where("NOT (collection IS NOT NULL AND status IS NULL)").na.fill("all", ["collection", "status"])
 
 
-COVERAGE_SQL = f"""WITH truth AS ({archive.TRUTH_SQL}), have AS (SELECT DISTINCT l_partkey FROM lineitem),
+COVERAGE_SQL = f"""WITH base AS ({archive._BASE_SQL}), have AS (SELECT DISTINCT l_partkey FROM lineitem),
 s AS (SELECT collection, CASE WHEN grp < 39 THEN 'none' WHEN grp < 70 OR l_partkey IS NULL THEN 'unmatched' ELSE 'flaggable' END AS status
-      FROM truth LEFT JOIN have ON l_partkey = deposit_id)
-SELECT collection, status, count(*) AS n FROM s GROUP BY collection, status UNION ALL SELECT 'all', 'all', count(*) FROM s"""
+      FROM base LEFT JOIN have ON l_partkey = deposit_id)
+SELECT collection, status, count(*) AS n, 'lower bound' AS limits FROM s GROUP BY collection, status UNION ALL SELECT 'all', 'all', count(*), 'lower bound' FROM s"""
 
 
 def rates(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Flagged deposits in all, for each 1,000 and as a share of the base."""
-    flagged = flags(spark, sf_dir).select("deposit_id").distinct().withColumn("f", F.lit(1))
-    s = _status(spark, sf_dir).join(flagged, "deposit_id", "left")
+    census = Census(spark, sf_dir)
+    read = stored(census.read(), "census-read")
+    links = stored(census.links(read=read), "census-links")
+    flagged = census.flags(links).select("deposit_id").distinct().withColumn("f", F.lit(1))
+    s = _status(census, read, links).join(flagged, "deposit_id", "left")
     base = F.count_if(F.col("status") == "flaggable")
     return s.agg(
         F.count("*").alias("n_deposits"), base.alias("n_base"), F.count("f").alias("n_flagged"),
@@ -112,192 +223,60 @@ SELECT n_deposits, n_base, n_flagged, round(1000 * n_flagged / n_deposits, 4) AS
 (SELECT (SELECT count(*) FROM part) AS n_deposits, (SELECT count(DISTINCT deposit_id) FROM links) AS n_base, (SELECT count(DISTINCT deposit_id) FROM flags) AS n_flagged)"""
 
 
-def harvest(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return extraction.apply_limits(archive.files(spark, sf_dir)).groupBy("kind", "reason").agg(
+def _harvest(files, **limits):
+    return lambda spark, sf_dir: extraction.apply_limits(files(spark, sf_dir), **limits).groupBy("kind", "reason").agg(
         F.count("*").alias("n"), F.sum("bytes").alias("bytes")
     )
 
 
-HARVEST_SQL = f"""WITH f AS ({archive.FILES_SQL}), s AS (SELECT *, bytes <= {25 << 20} AS small FROM f),
+def _harvest_sql(files: str, most: int | None = 8) -> str:
+    reason = f"CASE WHEN NOT small THEN 'too_large' WHEN place > {most} THEN 'beyond_limit' ELSE 'kept' END" if most else "'kept'"
+    return f"""WITH f AS ({files}), s AS (SELECT *, bytes <= {25 << 20} AS small FROM f),
 r AS (SELECT *, row_number() OVER (PARTITION BY deposit_id, kind, small ORDER BY listing_order) AS place FROM s)
-SELECT kind, CASE WHEN NOT small THEN 'too_large' WHEN place > 8 THEN 'beyond_limit' ELSE 'kept' END AS reason, count(*) AS n, CAST(sum(bytes) AS BIGINT) AS bytes
-FROM r GROUP BY 1, 2"""
-
-
-def _confusion(kind: str):
-    return lambda spark, sf_dir: screen.confusion(links(spark, sf_dir), kind)
-
-
-def _confusion_sql(said: str) -> str:
-    truth = "family = 'linear' AND class IN ('count', 'proportion', 'binary', 'ordinal')"
-    return f"""{LINKS_SQL} SELECT count(*) FILTER (t AND s) AS tp, count(*) FILTER (NOT t AND s) AS fp, count(*) FILTER (t AND NOT s) AS fn,
-count(*) FILTER (NOT t AND NOT s) AS tn FROM (SELECT ({truth}) AS t, (family = 'linear' AND {said}) AS s FROM links)"""
-
-
-def norms(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return screen.norm_map(links(spark, sf_dir), FAMILIES)
+SELECT kind, {reason} AS reason, count(*) AS n, CAST(sum(bytes) AS BIGINT) AS bytes FROM r GROUP BY 1, 2"""
 
 
 def family_norms(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return screen.family_norms(links(spark, sf_dir).join(archive.deposits(spark, sf_dir), "deposit_id"), "collection")
-
-
-def _cases(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Planted cases: one for each deposit, its outcome and family by the
-    generator's arithmetic, its label by the profiled class."""
-    key = F.col("deposit_id")
-    kind = key % 7
-    outcome = archive._pick(archive.OUTCOMES, key)
-    base = archive.deposits(spark, sf_dir).select(
-        "deposit_id", outcome.alias("outcome"), F.when(kind.isin(3, 4), "count").otherwise("linear").alias("family"),
-        F.when(key % 100 < 39, "unread_command").when(key % 100 < 70, "built_in_code").otherwise("none").alias("cause"),
-    )
-    named = profiles(spark, sf_dir).select("deposit_id", F.col("name").alias("outcome"), "class")
-    mismatch = (F.col("family") == "linear") & F.col("class").isin("count", "proportion", "binary", "ordinal")
-    return base.join(named, ["deposit_id", "outcome"]).withColumn("label", F.when(mismatch, "mismatch").otherwise("control"))
-
-
-def _recovered(spark: SparkSession, sf_dir: str) -> DataFrame:
-    f = flags(spark, sf_dir)
-    return screen.recovery(_cases(spark, sf_dir), f, f)
-
-
-CASES_SQL = f"""{LINKS_SQL}, cases AS (
-SELECT t.deposit_id, t.outcome, CASE WHEN grp < 39 THEN 'unread_command' WHEN grp < 70 THEN 'built_in_code' ELSE 'none' END AS cause,
-  CASE WHEN t.family = 'linear' AND c.class IN ('count', 'proportion', 'binary', 'ordinal') THEN 'mismatch' ELSE 'control' END AS label,
-  EXISTS (SELECT 1 FROM flags f WHERE f.deposit_id = t.deposit_id) AS deposit_flagged,
-  EXISTS (SELECT 1 FROM flags f WHERE f.deposit_id = t.deposit_id AND f.outcome = t.outcome) AS outcome_flagged
-FROM truth t JOIN cls c ON c.deposit_id = t.deposit_id AND c.name = t.outcome WHERE t.deposit_id <= 400)"""
-
-
-def recovery_deposit(spark: SparkSession, sf_dir: str) -> DataFrame:
-    d = _recovered(spark, sf_dir).groupBy("deposit_id", "label").agg(F.bool_or("deposit_flagged").alias("hit"))
-    return d.groupBy("label").agg(F.count("*").alias("n_deposits"), F.count_if("hit").alias("n_flagged"))
-
-
-def recovery_case(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _recovered(spark, sf_dir).groupBy("label").agg(
-        F.count("*").alias("n_cases"), F.count_if("deposit_flagged").alias("n_in_flagged_deposit"), F.count_if("outcome_flagged").alias("n_outcome_flagged")
-    )
-
-
-def miss_reasons(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return _recovered(spark, sf_dir).where("label = 'mismatch' AND NOT outcome_flagged").groupBy("cause").agg(F.count("*").alias("n"))
+    return screen.family_norms(Census(spark, sf_dir).links().join(archive.deposits(spark, sf_dir), "deposit_id"), "collection")
 
 
 def find_outcomes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return screen.find_outcomes(links(spark, sf_dir), "proportion", 25, 40)
+    return screen.find_outcomes(Census(spark, sf_dir).links(), "proportion", 25, 40)
 
 
 def review_queue(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The 20 flags to review first: clear tier, most rows, then deposit."""
-    lk = links(spark, sf_dir)
-    rows = screen.flagged(lk).join(lk.select("deposit_id", F.col("column").alias("outcome"), "n").distinct(), ["deposit_id", "outcome"])
+    lk = stored(Census(spark, sf_dir).links(), "census-links")
+    rows = screen.flagged(lk).select("deposit_id", "outcome", "class", "tier").distinct()
+    n = lk.groupBy("deposit_id", F.col("column").alias("outcome")).agg(F.max("n").alias("n"))
     order = [F.col("tier"), F.desc("n"), F.col("deposit_id"), F.col("outcome")]
-    return rows.select("deposit_id", "outcome", "class", "tier", "n").orderBy(*order).limit(20)
-
-
-QUEUE_SQL = f"{LINKS_SQL} SELECT deposit_id, outcome, class, tier, CAST(n AS BIGINT) AS n FROM flags ORDER BY tier, n DESC, deposit_id, outcome LIMIT 20"
-
-
-def sheet(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fingerprint.metadata_sheet(profiles(spark, sf_dir))
+    return rows.join(n, ["deposit_id", "outcome"]).select("deposit_id", "outcome", "class", "tier", "n").orderBy(*order).limit(20)
 
 
-SHEET_SQL = f"""WITH {CLS} SELECT deposit_id, string_agg(l, ';' ORDER BY l) AS sheet, count(*) AS n_variables
-FROM (SELECT deposit_id, name || ':' || class || ':' || CAST(nonnull AS VARCHAR) AS l FROM cls) GROUP BY deposit_id"""
+QUEUE_SQL = f"{LINKS_SQL} SELECT DISTINCT deposit_id, outcome, class, tier, CAST(n AS BIGINT) AS n FROM flags ORDER BY tier, n DESC, deposit_id, outcome LIMIT 20"
 
 
-# -- replayed extraction ---------------------------------------------------
-
-ARMS = ("text+metadata", "text+metadata+code")
-EXTRACTORS = ("A", "B", "C", "D", "two-step")
-
-
-def _records(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Responses for every deposit by arithmetic on arm, extractor and case:
-    exact picks, twins, predictor-only picks, refusals, unknown columns and
-    malformed text."""
-    arms = spark.createDataFrame([(i, a) for i, a in enumerate(ARMS)], "ai int, arm string")
-    who = spark.createDataFrame([(i, e) for i, e in enumerate(EXTRACTORS)], "ei int, extractor string")
-    c = F.col("deposit_id")
-    roll = (c * 7 + F.col("ei") * 3 + F.col("ai") * 5) % 20
-    want, twin = archive._pick(archive.OUTCOMES, c), archive._pick(archive.OUTCOMES, c + 1)
-    column = F.when(roll == 15, twin).when(roll == 17, "not in the metadata").when(roll == 19, "no_such").otherwise(want)
-    family = F.when((c + F.col("ei") + F.col("ai")) % 4 == 0, "not stated").otherwise(
-        F.when((c % 7).isin(3, 4), "count").otherwise("linear")
-    )
-    row = F.array(F.struct(
-        want.alias("outcome"), family.alias("family"), F.lit("headline").alias("role"), column.alias("column"),
-        F.when(roll == 16, "predictor").otherwise("outcome").alias("use"),
-    ))
-    response = F.when(roll == 18, "[{outcome: broken").otherwise(F.to_json(row))
-    cases = archive.deposits(spark, sf_dir).select("deposit_id")
-    return cases.join(F.broadcast(arms)).join(F.broadcast(who)).select("arm", "extractor", "deposit_id", c.alias("case_id"), response.alias("response"))
-
-
-def scores(spark: SparkSession, sf_dir: str) -> DataFrame:
-    c = F.col("deposit_id")
-    cases = archive.deposits(spark, sf_dir).select(
-        c.alias("case_id"), archive._pick(archive.OUTCOMES, c).alias("column"),
-        F.when((c % 7).isin(3, 4), "count").otherwise("linear").alias("family"),
-    )
-    twins = archive.deposits(spark, sf_dir).select(c.alias("case_id"), archive._pick(archive.OUTCOMES, c + 1).alias("column"))
-    names = archive.cells(spark, sf_dir).select("deposit_id", "name").distinct()
-    rows = fingerprint.guard(fingerprint.parse(_records(spark, sf_dir)), names)
-    return fingerprint.score(rows, cases, twins)
-
-
-SCORES_SQL = f"""WITH have AS (SELECT DISTINCT l_partkey AS d FROM lineitem),
-r AS (SELECT arm, extractor, p_partkey AS case_id, (p_partkey * 7 + ei * 3 + ai * 5) % 20 AS roll, (p_partkey + ei + ai) % 4 <> 0 AS fam,
-      p_partkey IN (SELECT d FROM have) AS present
-      FROM part, (VALUES {", ".join(f"({i}, '{a}')" for i, a in enumerate(ARMS))}) a(ai, arm), (VALUES {", ".join(f"({i}, '{e}')" for i, e in enumerate(EXTRACTORS))}) e(ei, extractor)
-      WHERE p_partkey <= 200),
-s AS (SELECT arm, extractor, case_id, roll < 15 AND present AS exact, roll = 15 AND present AS derived, roll <= 15 AND present AS link,
-      roll <= 15 AND present AND fam AS link_family,
-      CASE WHEN roll = 18 THEN 'malformed' WHEN roll = 17 THEN 'not_in_metadata' WHEN roll = 19 OR NOT present THEN 'unknown_column' ELSE 'accepted' END AS status FROM r)"""
-
-
-def grid(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fingerprint.grid(scores(spark, sf_dir))
-
-
-def movement(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fingerprint.compare(scores(spark, sf_dir), *ARMS)
-
-
-def misses(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fingerprint.miss_kinds(scores(spark, sf_dir))
-
-
-# -- pairing ---------------------------------------------------------------
-
-
-def _papers(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
-    title = F.regexp_extract("html", r"<title>([^<]*)</title>", 1)
-    pages = table(spark, sf_dir, "pages").select(F.col("page_id").alias("paper_id"), title.alias("title"))
-    return (
-        pages.where("paper_id % 3 <> 0").select(
-            F.col("paper_id").alias("deposit_id"), F.concat(F.lit("Replication Data for: "), F.col("title")).alias("title")
-        ),
-        pages,
+def codebook(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Profiles beside a codebook that says what each column is."""
+    said = spark.createDataFrame([(n, "share" if k == "proportion" else "units", k) for n, k in archive.RECORDED.items()], "name string, unit string, kind string")
+    return audit.with_codebook(Census(spark, sf_dir).profiles, said, ["name"]).groupBy("name", "codebook_unit").agg(
+        F.count("*").alias("n"), F.count_if("codebook_differs").alias("n_differ")
     )
 
 
-def pairing_by_title(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return fingerprint.by_title(*_papers(spark, sf_dir)).select("deposit_id", "paper_id")
+CODEBOOK_SQL = f"""WITH {CLS}, said(name, kind) AS (VALUES {", ".join(f"('{n}', '{k}')" for n, k in archive.RECORDED.items())})
+SELECT name, CASE WHEN kind IS NULL THEN NULL WHEN kind = 'proportion' THEN 'share' ELSE 'units' END AS codebook_unit, count(*) AS n,
+  count(*) FILTER (class <> kind) AS n_differ FROM cls LEFT JOIN said USING (name) GROUP BY 1, 2"""
 
 
-def pairing_status(spark: SparkSession, sf_dir: str) -> DataFrame:
-    deposits, papers = _papers(spark, sf_dir)
-    return fingerprint.resolve(deposits, fingerprint.by_title(deposits, papers)).groupBy("method").agg(
-        F.count("*").alias("n"), F.countDistinct("paper_id").alias("n_papers")
-    )
+def raw_transitions(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Classes of the archive's columns under the raw profiler and the census."""
+    found = stored(Census(spark, sf_dir).evidence(), "census-evidence")
+    return classify.transitions(classify.classified(found, rules=RAW), classify.classified(found, rules=CENSUS), KEYS)
 
 
-PAIRING_SQL = r"""WITH t AS (SELECT page_id, ' ' || trim(regexp_replace(lower(regexp_extract(html, '<title>([^<]*)</title>', 1)), '[^\p{L}\p{Nd}]+', ' ', 'g')) || ' ' AS t FROM pages),
-p AS (SELECT DISTINCT a.page_id AS deposit_id, b.page_id AS paper_id FROM (SELECT * FROM t WHERE page_id % 3 <> 0 AND t <> '  ') a
-JOIN (SELECT * FROM t WHERE t <> '  ') b ON contains(b.t, a.t) OR contains(a.t, b.t))"""
+RAW_SQL = f"""WITH {sql.stats(archive.CELLS_SQL, KEYS, RAW, 'r_')}, {CLS}
+SELECT r.class AS class_from, c.class AS class_to, count(*) AS n FROM r_cls r JOIN cls c USING (deposit_id, file_id, name) GROUP BY 1, 2"""
 
 
 def queries():
@@ -305,63 +284,51 @@ def queries():
         "corpus_profile_by_part": by_part,
         "code_pairs": code_pairs,
         "code_pairs_negative": code_pairs_negative,
+        "harvest_variants": prefix_variants,
+        "sibling_code": sibling_code,
+        "pool_cleaning": pool,
         "outcome_links": outcome_links,
         "log_prefix_links": log_prefix_links,
+        "logged_count_alerts": logged_counts,
         "census_flags": flags,
+        "census_flags_other_rules": clear_flags,
         "census_questions": questions,
         "census_coverage": coverage,
         "census_rates": rates,
-        "harvest_limits": harvest,
-        "screen_confusion": _confusion("screen"),
-        "bare_rule_confusion": _confusion("bare"),
-        "datatype_only_confusion": _confusion("datatype"),
-        "scale_only_confusion": _confusion("scale"),
-        "norm_map": norms,
+        "harvest_limits": _harvest(archive.listing),
+        "harvest_archive": _harvest(archive.files),
+        "harvest_uncapped": _harvest(archive.listing, max_bytes=None, max_per_kind=None),
         "family_norms": family_norms,
-        "recovery_deposit": recovery_deposit,
-        "recovery_case": recovery_case,
-        "miss_reasons": miss_reasons,
         "find_outcomes": find_outcomes,
         "review_queue_topk": review_queue,
-        "metadata_sheet": sheet,
-        "fingerprint_scores": scores,
-        "fingerprint_grid": grid,
-        "fingerprint_movement": movement,
-        "fingerprint_misses": misses,
-        "pairing_by_title": pairing_by_title,
-        "pairing_status": pairing_status,
+        "codebook_report": codebook,
+        "raw_profiler_transitions": raw_transitions,
     }
 
 
 def oracle_sql():
     strata = "CASE class WHEN 'count' THEN 'count under linear' WHEN 'proportion' THEN 'share under linear' WHEN 'binary' THEN 'linear probability model' ELSE 'ordinal as continuous' END"
     return {
-        "corpus_profile_by_part": f"WITH {CLS} SELECT deposit_id, name, CAST(n AS BIGINT) AS n, CAST(nd AS BIGINT) AS n_distinct, class FROM cls",
-        "code_pairs": f"SELECT deposit_id, command, family, response FROM ({archive.TRUTH_SQL}) WHERE grp >= 39",
+        "corpus_profile_by_part": f"WITH {CLS} SELECT deposit_id, file_id, name, CAST(n AS BIGINT) AS n, CAST(nd AS BIGINT) AS n_distinct, class FROM cls",
+        "code_pairs": f"SELECT deposit_id, command, estimator, family, response, design, NOT plain AS excluded FROM ({archive.TRUTH_SQL}) WHERE grp >= 39",
         "code_pairs_negative": "SELECT CAST(0 AS BIGINT) AS n_pairs",
-        "outcome_links": f"""{LINKS_SQL} SELECT deposit_id, family, response, response AS "column", 'exact' AS link_kind, class FROM links""",
-        "log_prefix_links": LOG_SQL,
-        "census_flags": f"{LINKS_SQL} SELECT deposit_id, family, outcome, class, tier, {strata} AS stratum FROM flags",
-        "census_questions": f"{LINKS_SQL} SELECT tier, class, count(*) AS n_records, count(DISTINCT deposit_id || outcome) AS n_questions FROM flags GROUP BY tier, class",
+        "harvest_variants": VARIANTS_SQL,
+        "sibling_code": SIBLING_SQL,
+        "pool_cleaning": POOL_SQL,
+        "outcome_links": f"""{LINKS_SQL} SELECT deposit_id, estimator, family, response, response AS "column", 'exact' AS link_kind, data_file, class FROM links""",
+        "log_prefix_links": f"""{LOG_SQL} SELECT deposit_id, response, "column", 'log_prefix' AS link_kind, class FROM met WHERE response <> 'log(bulk)'""",
+        "logged_count_alerts": f"""{LOG_SQL} SELECT deposit_id, response, "column", 'logged_count' AS alert_kind FROM met WHERE response = 'log(bulk)' AND class = 'count'""",
+        "census_flags": f"{LINKS_SQL} SELECT deposit_id, estimator, family, outcome, class, tier, {strata} AS stratum FROM flags",
+        "census_flags_other_rules": f"{LINKS_SQL} SELECT 'clear-1' AS rule_version, tier, class, count(*) AS n FROM flags WHERE tier = 'clear' GROUP BY tier, class",
+        "census_questions": f"{LINKS_SQL} SELECT tier, class, count(*) AS n_records, count(DISTINCT (deposit_id, outcome)) AS n_questions FROM flags GROUP BY tier, class",
         "census_coverage": COVERAGE_SQL,
         "census_rates": RATES_SQL,
-        "harvest_limits": HARVEST_SQL,
-        "screen_confusion": _confusion_sql("class IN ('count', 'proportion', 'binary', 'ordinal')"),
-        "bare_rule_confusion": _confusion_sql("class <> 'continuous'"),
-        "datatype_only_confusion": _confusion_sql("all_integer"),
-        "scale_only_confusion": _confusion_sql("class IN ('binary', 'categorical', 'ordinal')"),
-        "norm_map": f"{LINKS_SQL} SELECT class, count(*) FILTER (family = 'linear') AS linear, count(*) FILTER (family = 'count') AS count FROM links GROUP BY class",
+        "harvest_limits": _harvest_sql(archive.LISTING_SQL),
+        "harvest_archive": _harvest_sql(archive.FILES_SQL),
+        "harvest_uncapped": _harvest_sql(archive.LISTING_SQL, None),
         "family_norms": f"{LINKS_SQL} SELECT collection, class, family, count(*) AS n, round(count(*) / sum(count(*)) OVER (PARTITION BY collection, class), 6) AS share FROM links GROUP BY collection, class, family",
-        "recovery_deposit": f"{CASES_SQL} SELECT label, count(DISTINCT deposit_id) AS n_deposits, count(DISTINCT CASE WHEN deposit_flagged THEN deposit_id END) AS n_flagged FROM cases GROUP BY label",
-        "recovery_case": f"{CASES_SQL} SELECT label, count(*) AS n_cases, count(*) FILTER (deposit_flagged) AS n_in_flagged_deposit, count(*) FILTER (outcome_flagged) AS n_outcome_flagged FROM cases GROUP BY label",
-        "miss_reasons": f"{CASES_SQL} SELECT cause, count(*) AS n FROM cases WHERE label = 'mismatch' AND NOT outcome_flagged GROUP BY cause",
         "find_outcomes": f"{LINKS_SQL} SELECT DISTINCT deposit_id, response AS outcome, CAST(n AS BIGINT) AS n FROM links WHERE class = 'proportion' AND n BETWEEN 25 AND 40",
         "review_queue_topk": QUEUE_SQL,
-        "metadata_sheet": SHEET_SQL,
-        "fingerprint_scores": f"{SCORES_SQL} SELECT * FROM s",
-        "fingerprint_grid": f"{SCORES_SQL} SELECT arm, extractor, count(*) AS n_cases, count(*) FILTER (exact) AS n_exact, count(*) FILTER (derived) AS n_derived, count(*) FILTER (link) AS n_link, count(*) FILTER (link_family) AS n_link_family FROM s GROUP BY arm, extractor",
-        "fingerprint_movement": f"{SCORES_SQL} SELECT a.extractor, count(*) FILTER (b.link_family AND NOT a.link_family) AS gained, count(*) FILTER (a.link_family AND NOT b.link_family) AS lost, count(*) FILTER (a.link_family AND b.link_family) AS kept FROM s a JOIN s b ON a.extractor = b.extractor AND a.case_id = b.case_id AND a.arm = '{ARMS[0]}' AND b.arm = '{ARMS[1]}' GROUP BY a.extractor",
-        "fingerprint_misses": f"{SCORES_SQL} SELECT arm, extractor, CASE WHEN link THEN 'family_missing' WHEN status = 'accepted' THEN 'wrong_specification' ELSE status END AS kind, count(*) AS n FROM s WHERE NOT link_family GROUP BY 1, 2, 3",
-        "pairing_by_title": f"{PAIRING_SQL} SELECT deposit_id, paper_id FROM p",
-        "pairing_status": f"{PAIRING_SQL}, d AS (SELECT page_id AS deposit_id FROM pages WHERE page_id % 3 <> 0), b AS (SELECT deposit_id, min(paper_id) AS paper_id FROM p GROUP BY deposit_id) SELECT CASE WHEN paper_id IS NULL THEN 'unresolved' ELSE 'title' END AS method, count(*) AS n, count(DISTINCT paper_id) AS n_papers FROM d LEFT JOIN b USING (deposit_id) GROUP BY 1",
+        "codebook_report": CODEBOOK_SQL,
+        "raw_profiler_transitions": RAW_SQL,
     }

@@ -93,9 +93,9 @@ def precision_by_lang(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.precision(_verdicts(spark, sf_dir), ["lang"])
 
 
-WILSON_SQL = """SELECT {by}, n, k, round(k / n, 6) AS share,
-round((k / n + 3.8414588206941236 / (2 * n) - 1.959963984540054 * sqrt(k / n * (1 - k / n) / n + 3.8414588206941236 / (4.0 * n * n))) / (1 + 3.8414588206941236 / n), 6) AS low,
-round((k / n + 3.8414588206941236 / (2 * n) + 1.959963984540054 * sqrt(k / n * (1 - k / n) / n + 3.8414588206941236 / (4.0 * n * n))) / (1 + 3.8414588206941236 / n), 6) AS high
+WILSON = """round((k / n + 3.8414588206941236 / (2 * n) - 1.959963984540054 * sqrt(k / n * (1 - k / n) / n + 3.8414588206941236 / (4.0 * n * n))) / (1 + 3.8414588206941236 / n), 6) AS low,
+round((k / n + 3.8414588206941236 / (2 * n) + 1.959963984540054 * sqrt(k / n * (1 - k / n) / n + 3.8414588206941236 / (4.0 * n * n))) / (1 + 3.8414588206941236 / n), 6) AS high"""
+WILSON_SQL = "SELECT {by}, n, k, round(k / n, 6) AS share, " + WILSON + """
 FROM (SELECT {by}, count(*) AS n, count(*) FILTER (quality = 1) AS k FROM labels JOIN documents USING (doc_id) GROUP BY {by})"""
 
 
