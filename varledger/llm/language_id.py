@@ -37,7 +37,7 @@ _FAMILY = {code: name for name, codes in FAMILIES.items() for code in codes.spli
 ORDERS = (1, 2, 3)
 BITS = 12
 _LETTER = re.compile(r"[^\W\d_]")
-_STEP = 1 << 20
+_STEP = 1 << 18
 
 
 def _has_letter(text: str | None) -> bool:
@@ -146,10 +146,14 @@ class Model:
             begins = ends - [len(p) for p in part]
             for k, place in enumerate(gram_places(raw)):
                 n = ORDERS[k]
-                run = np.cumsum(self.table[place], axis=0, dtype=np.float64)
-                run = np.concatenate([np.zeros((1, run.shape[1])), run])
                 last = np.maximum(ends - n + 1, begins)
-                total[first:at] += (run[last] - run[begins]) / np.maximum(last - begins, 1)[:, None]
+                # Sums from each begin to its last gram; the grams between two
+                # texts are sums of their own and go unused.
+                edges = np.stack([begins, last], axis=1).ravel()
+                some = np.flatnonzero(last > begins)
+                for m in range(self.table.shape[1]):
+                    of = np.append(self.table[:, m][place], np.float32(0))
+                    total[first:at][some, m] += np.add.reduceat(of, edges, dtype=np.float64)[::2][some] / (last - begins)[some]
         return total + self.bias
 
     def _long(self, raw: bytes) -> np.ndarray:
@@ -198,24 +202,33 @@ def fit(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang
     Copies of a text count once.  Which texts are in it depends on a hash of
     the text alone, so it is the same on every run.  Each text is an example,
     and so are two cuts of it, since short texts must be told, too.  The driver
-    gets frequencies of fixed size, no texts."""
+    gets the frequencies that are not zero, no texts."""
     labelled = docs.select(
         F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("text"), held_out(id_col).alias("held_out")
     ).where(r"lang IS NOT NULL AND text RLIKE '\\p{L}' AND NOT held_out").select("lang", "text", F.xxhash64("text").alias("h"))
-    langs_seen = labelled.agg(F.countDistinct("lang")).first()[0]
+    # Distinct texts a language, by a small sketch: how deep the draw must go.
+    n_texts = {r.lang: r.n for r in labelled.groupBy("lang").agg(F.approx_count_distinct("h").alias("n")).toLocalIterator()}
+    langs_seen = len(n_texts)
     each = min(per_class, max(1, most // max(1, langs_seen)))
     # More than are used, since a short text has fewer cuts.
     drawn = each + (each + 1) // 2
+    # Only texts under a hash threshold, twice as deep as the draw, are ranked,
+    # so a language of a third of all texts is never in one task.
+    spot = F.shiftrightunsigned("h", 11).cast("double") / float(1 << 53)
+    depth = [x for lang, n in n_texts.items() for x in (F.lit(lang), F.lit(2.0 * drawn / max(n, 1)))]
+    near = labelled.where(spot < F.create_map(*depth)[F.col("lang")]) if depth else labelled
     place = F.row_number().over(Window.partitionBy("lang").orderBy("h"))
-    chosen = labelled.select("lang", "h").distinct().withColumn("r", place).where(F.col("r") <= drawn).select("lang", "h")
+    chosen = near.select("lang", "h").distinct().withColumn("r", place).where(F.col("r") <= drawn).select("lang", "h")
     one = labelled.join(F.broadcast(chosen), ["lang", "h"], "left_semi").dropDuplicates(["lang", "h"])
     # The limit drops nothing: it makes one sorted task of what was drawn.
     rows = one.orderBy("h", "lang").limit(max(1, drawn * langs_seen)).select("lang", "text")
     taken: dict[str, list[np.ndarray]] = {}
-    for r in rows.mapInArrow(_examples, "lang string, x binary").toLocalIterator():
+    for r in rows.mapInArrow(_examples, "lang string, places binary, x binary").toLocalIterator():
         own = taken.setdefault(r.lang, [])
         if len(own) < 3 * each:
-            own.append(np.frombuffer(r.x, dtype=np.float32))
+            full = np.zeros(1 << BITS, dtype=np.float32)
+            full[np.frombuffer(r.places, dtype=np.uint16)] = np.frombuffer(r.x, dtype=np.float32)
+            own.append(full)
     langs = [lang for lang in sorted(taken) for _ in taken[lang]]
     x = [v for lang in sorted(taken) for v in taken[lang]]
     return Model(np.stack(x) if x else np.zeros((0, 1 << BITS), np.float32), langs)
@@ -224,16 +237,21 @@ def fit(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang
 def _examples(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Frequencies of whole texts and of two short cuts of each."""
     for batch in batches:
-        langs, out = [], []
+        langs, places, out = [], [], []
         for i, (lang, text) in enumerate(zip(*(c.to_pylist() for c in batch.columns), strict=True)):
             if not _has_letter(text):
                 continue
             words = text.encode("utf-8", "replace").split()
             for lo, hi in ((0, len(words)), (i % 7, i % 7 + 4), (len(words) // 2, len(words) // 2 + 25)):
                 if piece := b" ".join(words[lo:hi]):
+                    x = frequencies(piece)
+                    some = np.flatnonzero(x)
                     langs.append(lang)
-                    out.append(frequencies(piece).tobytes())
-        yield pa.RecordBatch.from_pydict({"lang": pa.array(langs, pa.string()), "x": pa.array(out, pa.binary())})
+                    places.append(some.astype(np.uint16).tobytes())
+                    out.append(x[some].tobytes())
+        yield pa.RecordBatch.from_pydict(
+            {"lang": pa.array(langs, pa.string()), "places": pa.array(places, pa.binary()), "x": pa.array(out, pa.binary())}
+        )
 
 
 def identify(docs: DataFrame, model: Model, *, text_col: str = "text") -> DataFrame:

@@ -9,7 +9,8 @@
    merge into maximal intervals and the words outside stay.
 
 A window that a third of all documents hold reaches step 2 once a chunk, and
-all work is by hash ranges, never by a group of copies.
+all work is by hash ranges, never by a group of copies.  Ranges, homes and
+tasks grow with the bytes of the texts, so what one of them holds does not.
 """
 
 from __future__ import annotations
@@ -23,6 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import exchange_size
 from .windows import (
     bucket_edges,
     cover,
@@ -35,8 +37,8 @@ from .windows import (
     window_hashes,
 )
 
-#: Words that a task gathers before it settles a chunk.
-CHUNK_WORDS = 2_000_000
+#: Words that a task gathers before it settles a chunk (six bytes each).
+CHUNK_WORDS = 400_000
 NULL_ID = (1 << 63) - 1
 _SIGN = np.uint64(1 << 63)
 
@@ -152,14 +154,16 @@ def _count(buckets: int, homes: int):
         if place >= buckets:
             return pa.table({"home": pa.array([place - buckets] * len(rows), pa.int64()), "kind": pa.array([1] * len(rows), pa.int32()), "data": pa.array(rows, pa.binary())})
         keys, ids = [], []
-        for raw in rows:
+        while rows:
             # steps of the second sorted column begin after the first two
-            key, number, steps = unpacked(raw)
+            key, number, steps = unpacked(rows.pop())
             keys.append(key)
             ids.append(np.cumsum(steps, dtype=np.uint64)[number.astype(np.int64)])
         key, owner = np.concatenate(keys), np.concatenate(ids)
+        del keys, ids
         by = np.argsort(key)
         key, owner = key[by], owner[by]
+        del by
         first = groups(key)
         earliest = np.repeat(np.minimum.reduceat(owner, first), np.diff(np.append(first, len(key))))
         late = owner > earliest
@@ -239,16 +243,16 @@ def remove_repeats(
     shorter than a window lose nothing.  Input columns keep their names inside
     ``row``, so none can clash.  An empty table gives no rows.
     """
-    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    buckets = buckets or 2 * parts
-    homes = 2 * parts
+    ranges, tasks = exchange_size(docs.agg(F.sum(F.octet_length(F.col(text_col).cast("string")))))
+    buckets = buckets or ranges
+    homes = ranges
     columns = docs.columns
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in columns]).alias("row"))
     key = F.coalesce(F.col(f"row.`{id_col}`").cast("long"), F.lit(NULL_ID))
     posts = docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string")).mapInArrow(
         _postings(width, buckets, homes), "place long, data binary"
     )
-    removed = posts.groupBy("place").applyInArrow(_count(buckets, homes), "home long, kind int, data binary")
+    removed = posts.repartition(tasks, "place").groupBy("place").applyInArrow(_count(buckets, homes), "home long, kind int, data binary")
     # The home of an id, as _homes() has it, in SQL.
     home = F.pmod(key.bitwiseXOR(F.shiftrightunsigned(key, 17)), F.lit(homes)).cast("long")
     schema = (
@@ -257,7 +261,8 @@ def remove_repeats(
     )
     placed = rows.withColumn("home", home)
     return (
-        placed.groupBy("home")
-        .cogroup(removed.groupBy("home"))
+        placed.repartition(tasks, "home")
+        .groupBy("home")
+        .cogroup(removed.repartition(tasks, "home").groupBy("home"))
         .applyInArrow(_removal(width, columns, columns.index(id_col), columns.index(text_col)), schema)
     )
