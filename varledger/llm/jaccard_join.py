@@ -402,7 +402,7 @@ def _hubs(big: DataFrame, hubs: int) -> DataFrame:
     return best.select(F.col("top.sid").alias("hub_sid"), "block", rank.alias("hub"))
 
 
-def set_links(sets: DataFrame, *, percent: int, slice_sets: int = 512, hubs: int = 4) -> DataFrame:
+def set_links(sets: DataFrame, *, percent: int, slice_sets: int = 256, hubs: int = 4) -> DataFrame:
     """Edges (a, b) of set ids whose components are those of all links, from
     candidate sets (sid, n, keys, prefix, shorter, lowest, common)."""
     blocks = connected_components(_ties(sets, percent)).select(F.col("node").alias("sid"), F.col("component").alias("block"))
@@ -517,7 +517,7 @@ def jaccard_components(
     width: int = 5,
     percent: int = 80,
     buckets: int | None = None,
-    slice_sets: int = 512,
+    slice_sets: int = 256,
 ) -> DataFrame:
     """doc_id, n_shingles, component_id of every row.
 
@@ -544,7 +544,7 @@ def jaccard_components(
 
 
 def one_of_each(
-    docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, slice_sets: int = 512
+    docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", width: int = 5, percent: int = 80, slice_sets: int = 256
 ) -> DataFrame:
     """The input without its near copies, with its columns.
 
