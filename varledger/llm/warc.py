@@ -183,12 +183,13 @@ class _Files(InputPartition):
 
 class WarcReader(DataSourceReader):
     """Options: path; payload (default true): false leaves payloads unread;
-    partitionBytes: compressed bytes that a task takes."""
+    partitionBytes: compressed bytes that a task takes, in whole files; with
+    the writer's files no task has more than twice that."""
 
     def __init__(self, options):
         self.path = options["path"]
         self.payload = options.get("payload", "true").lower() != "false"
-        self.target = int(options.get("partitionBytes", 128 << 20))
+        self.target = int(options.get("partitionBytes", 32 << 20))
         self.wanted: dict[str, set] = {}
 
     def pushFilters(self, filters):
@@ -280,7 +281,7 @@ class WarcWriter(DataSourceArrowWriter):
         self.path = options["path"]
         self.gzip = options.get("compression", "gzip") == "gzip"
         self.level = int(options.get("level", 1))
-        self.most = int(options.get("fileBytes", 256 << 20))
+        self.most = int(options.get("fileBytes", 32 << 20))
 
     def write(self, iterator):
         fs, where = local_fs(self.path)
