@@ -34,6 +34,43 @@ def test_top_k_with_ties_nulls_and_few(spark):
     assert top_k(df.where("false"), df.where("false")).count() == 0
 
 
+def test_top_k_of_clusters_drops_pairs_early(spark, monkeypatch):
+    """Rows in a few tight clusters, with repeated ids and ties; tiles so small
+    that most rows leave after the first slices."""
+    import random
+
+    from varledger.llm import topk
+
+    rng = random.Random(4)
+    centres = [[rng.uniform(-2, 2) for _ in range(16)] for _ in range(6)]
+    rows = [(i, [x + rng.uniform(-0.05, 0.05) for x in centres[i % 6]]) for i in range(400)]
+    rows += [(1000 + i, rows[7][1]) for i in range(9)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>").repartition(3)
+    for sparse in (0.0, 0.05, 1.1):
+        monkeypatch.setattr(topk, "SPARSE", sparse)
+        assert sorted(map(tuple, top_k(df, df.where("vec_id % 20 = 0"), slices=8).collect())) == brute_top(rows, 5, 20)
+
+
+def test_survivors_equal_whole_scores():
+    import numpy as np
+
+    from varledger.llm import topk
+
+    rng = np.random.default_rng(3)
+    cuts = topk._slices(24, 4)
+    for _ in range(50):
+        block, vectors = rng.integers(-50, 50, (7, 24)).astype(float), rng.integers(-50, 50, (40, 24)).astype(float)
+        parts = np.stack([block[:, a:b] @ vectors[:, a:b].T for a, b in cuts], axis=2)
+        whole = parts.sum(2)
+        cutoff = np.sort(whole, axis=1)[:, -4]
+        low, high = parts.min(1), parts.max(1)
+        share = ((cutoff - low.sum(1)) / 4)[:, None] + low
+        q, r, score = topk._survivors(block, vectors, cuts, [2, 0, 3, 1], cutoff, share, high)
+        assert sorted(zip(q.tolist(), r.tolist(), score.tolist(), strict=True)) == sorted(
+            (i, j, whole[i, j]) for i, j in np.argwhere(whole >= cutoff[:, None]).tolist()
+        )
+
+
 def test_top_k_of_every_length_equals_sql(spark):
     """Queries of three lengths; the commonest length of a query is none."""
     import duckdb

@@ -3,15 +3,19 @@
 The dimensions are cut into slices; a task's vectors and one slice make one
 local list of partial scores.  For each block of queries:
 
-1. every list names its best entries; their whole scores, gathered, give each
-   query a k-th best score so far, and the lists their lowest partial scores;
+1. every list names its best entries; their whole scores, gathered from the
+   lists, give each query a k-th best score so far, and the lists their lowest
+   and highest partial scores;
 2. the cutoff that follows is broadcast: an entry of which every slice stays
    below its share of the gap cannot reach the k-th best, so each list keeps
    only the entries at or above its share;
-3. of those, what cannot reach the cutoff even with the best remaining slices
-   is dropped, and the whole scores of the rest are resolved.
+3. slice by slice, widest first, an entry is dropped once it cannot reach the
+   cutoff even with the best of the slices to come; rows that no query of a
+   tile still wants are not multiplied again, and what is left is resolved
+   pair by pair.
 
-Only entries that reach the cutoff leave a task, at least k for each query.
+The vectors are quantised and written once.  Only entries that reach the
+cutoff leave a task, at least k for each query.
 """
 
 from __future__ import annotations
@@ -27,6 +31,8 @@ from pyspark.sql import functions as F
 from .common import written
 
 QUERY_TILE, ROW_TILE = 256, 2048
+#: Share of a tile's pairs below which the rest is resolved pair by pair.
+SPARSE = 0.05
 
 
 def quantised(embedding: str, scale: int) -> F.Column:
@@ -82,8 +88,6 @@ def _gather(shared, k: int, count: int):
             own = slice(q, q + len(block))
             parts = [block[:, a:b] @ vectors[:, a:b].T for a, b in cuts]
             same = qid[own][:, None] == ids[None, :]
-            whole = sum(parts)
-            whole[same] = -np.inf
             named = []
             for s, part in enumerate(parts):
                 low[own, s] = np.minimum(low[own, s], part.min(1))
@@ -92,7 +96,7 @@ def _gather(shared, k: int, count: int):
                 top = min(k, part.shape[1])
                 named.append(np.argpartition(part, part.shape[1] - top, axis=1)[:, part.shape[1] - top :])
             named = np.sort(np.concatenate(named, axis=1), axis=1)
-            score = np.take_along_axis(whole, named, axis=1)
+            score = sum(np.take_along_axis(part, named, axis=1) for part in parts)
             score[:, 1:][named[:, 1:] == named[:, :-1]] = -np.inf  # named by two lists
             both = np.concatenate([best[own], score], axis=1)
             best[own] = np.sort(both, axis=1)[:, -k:]
@@ -109,6 +113,40 @@ def _gather(shared, k: int, count: int):
     return run
 
 
+def _survivors(
+    block: np.ndarray, vectors: np.ndarray, cuts: list[tuple[int, int]], order: list[int], cutoff: np.ndarray, share: np.ndarray, high: np.ndarray
+) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Query and row numbers and whole scores of the pairs that reach the cutoff.
+
+    ``share`` and ``high`` (query, slice): the partial score that a list must
+    see of an entry, and the best that it holds."""
+    rows = np.arange(len(vectors))
+    total = np.zeros((len(block), len(rows)))
+    reach = np.zeros(total.shape, dtype=bool)
+    rest = high.sum(1)
+    for done, s in enumerate(order):
+        a, b = cuts[s]
+        part = block[:, a:b] @ vectors[rows, a:b].T
+        total += part
+        reach |= part >= share[:, s][:, None]
+        rest = rest - high[:, s]
+        alive = total + rest[:, None] >= cutoff[:, None]
+        if done + 1 < len(order) and alive.mean() < SPARSE:
+            q, r = np.nonzero(alive)
+            score, seen = total[q, r], reach[q, r]
+            for t in order[done + 1 :]:
+                a, b = cuts[t]
+                part = np.einsum("ij,ij->i", block[q, a:b], vectors[rows[r], a:b])
+                score, seen = score + part, seen | (part >= share[q, t])
+            fit = seen & (score >= cutoff[q])
+            return q[fit], rows[r[fit]], score[fit]
+        used = alive.any(0)
+        if not used.all():
+            rows, total, reach = rows[used], total[:, used], reach[:, used]
+    q, r = np.nonzero(reach & (total >= cutoff[:, None]))
+    return q, rows[r], total[q, r]
+
+
 def _resolve(shared, limits, count: int):
     """Phases 2 and 3: entries whose whole score reaches the query's cutoff."""
 
@@ -116,22 +154,13 @@ def _resolve(shared, limits, count: int):
         qid, queries = shared.value
         cutoff, low, high = limits.value
         cuts = _slices(queries.shape[1], count)
-        share = (cutoff - low.sum(1)) / len(cuts)
-        rest = high.sum(1)[:, None] - high
+        order = np.argsort(low.sum(0) - high.sum(0)).tolist() if len(qid) else list(range(len(cuts)))
+        share = ((cutoff - low.sum(1)) / len(cuts))[:, None] + low
         for ids, vectors, q, block in _tiles(batches, queries):
             own = slice(q, q + len(block))
-            reach = np.zeros((len(block), len(ids)), dtype=bool)
-            bound = np.ones((len(block), len(ids)), dtype=bool)
-            parts = []
-            for s, (a, b) in enumerate(cuts):
-                part = block[:, a:b] @ vectors[:, a:b].T
-                reach |= part >= (share + low[:, s])[own, None]
-                bound &= part >= (cutoff - rest[:, s])[own, None]
-                parts.append(part)
-            row, col = np.nonzero(reach & bound & (qid[own][:, None] != ids[None, :]))
-            score = sum(p[row, col] for p in parts)
-            fit = score >= cutoff[own][row]
-            row, col, score = row[fit], col[fit], score[fit]
+            row, col, score = _survivors(block, vectors, cuts, order, cutoff[own], share[own], high[own])
+            other = qid[own][row] != ids[col]
+            row, col, score = row[other], col[other], score[other]
             if len(row):
                 yield pa.RecordBatch.from_pydict(
                     {
@@ -174,7 +203,7 @@ def top_k(
     sizes = asked.groupBy(F.size("v").alias("width")).count().orderBy("width").collect()
     if not sizes:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-    rows = ready(vectors)
+    rows = written(ready(vectors), "topk-rows")
     out = None
     for width, n in sizes:
         like = rows.withColumn("v", _fitted("v", width))
