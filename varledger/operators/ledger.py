@@ -16,10 +16,11 @@ def variable_id(checksum: str = "file_checksum", position: str = "position") ->
     return F.sha2(F.concat_ws("|", checksum, F.col(position).cast("string")), 256)
 
 
-def table_checksum(df: DataFrame) -> DataFrame:
-    """Order-independent checksum of a table's rows."""
-    return df.select(F.xxhash64(*df.columns).alias("h")).agg(
-        F.sha2(F.concat_ws("|", F.sum(F.col("h").cast("decimal(38,0)")).cast("string"), F.count("*").cast("string")), 256).alias("file_checksum")
+def file_checksums(cells: DataFrame) -> DataFrame:
+    """deposit_id, file_id, file_checksum: a checksum of each file's cells
+    (deposit_id, file_id, name, value) that does not depend on their order."""
+    return cells.select("deposit_id", "file_id", F.xxhash64("name", "value").cast("decimal(38,0)").alias("h")).groupBy("deposit_id", "file_id").agg(
+        F.sha2(F.concat_ws("|", "deposit_id", "file_id", F.sum("h").cast("string"), F.count("*").cast("string")), 256).alias("file_checksum")
     )
 
 

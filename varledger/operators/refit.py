@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -117,17 +118,6 @@ def within(df: DataFrame, columns: list[str], keys: list[str]) -> DataFrame:
     return df.select(*keys, *[(F.col(c) - F.avg(c).over(group)).alias(c) for c in columns])
 
 
-def one_hot(df: DataFrame, column: str, *, most: int = 300) -> tuple[DataFrame, list[str]] | None:
-    """Indicator columns of a factor (first level left out), or None beyond
-    ``most`` levels."""
-    levels = sorted(str(r[0]) for r in df.select(column).distinct().limit(most + 1).toLocalIterator())
-    if len(levels) > most:
-        return None
-    names = [f"{column}__{i}" for i in range(1, len(levels))]
-    extra = {n: (F.col(column).cast("string") == v).cast("double") for n, v in zip(names, levels[1:], strict=True)}
-    return df.withColumns(extra), names
-
-
 def outside(value: Column, domain: str, tol: float = TOL) -> Column:
     low = value < -tol
     return low if domain == "count" else low | (value > 1 + tol)
@@ -142,18 +132,126 @@ def violation_share(df: DataFrame, y: str, terms: list[str], fit: dict, domain:
     return rows.agg(F.count("*").alias("n"), F.when(bad == 0, share).alias("share"))
 
 
-def eligible_commands(flags: DataFrame, commands: DataFrame, *, most: int = 8) -> DataFrame:
-    """Up to ``most`` plain linear commands of each flag, in file order."""
-    rows = flags.join(commands.where("NOT excluded AND family = 'linear'"), ["deposit_id", "outcome"])
-    order = Window.partitionBy("deposit_id", "outcome").orderBy("file_id", "line_no")
-    return rows.withColumn("r", F.row_number().over(order)).where(F.col("r") <= most).drop("r")
+SPEC = ["deposit_id", "estimator", "outcome", "code_file", "line_no"]
 
 
-def hash_cap(df: DataFrame, keys: list[str], *, rows: int = 300_000) -> DataFrame:
-    """The rows of each group with the lowest hash of their content: a bounded
-    refit sample that does not depend on the partitioning."""
-    order = Window.partitionBy(*keys).orderBy(F.xxhash64(*df.columns), *df.columns)
-    return df.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= rows).drop("_r")
+def plan(flags: DataFrame, commands: DataFrame, profiles: DataFrame, *, most: int = 8) -> DataFrame:
+    """Fit specifications of flag records: SPEC, class, design, data_file, n_rows.
+
+    Commands are those of the record's estimator on its outcome (``column``)
+    that a refit accepts, with a readable design, the first ``most`` in file
+    order.  The data file is the largest of the deposit that holds the response
+    and every term, ties by name; without one there is no fit.
+    """
+    able = commands.where("NOT excluded AND design IS NOT NULL").select(
+        "deposit_id", "estimator", F.col("column").alias("outcome"), F.col("file_id").alias("code_file"), "line_no", "design"
+    ).distinct()
+    order = Window.partitionBy("deposit_id", "estimator", "outcome").orderBy("code_file", "line_no")
+    chosen = (
+        flags.select("deposit_id", "estimator", "outcome", "class").join(able, ["deposit_id", "estimator", "outcome"])
+        .withColumn("r", F.row_number().over(order)).where(F.col("r") <= most).drop("r")
+    )
+    names = F.flatten(F.transform("design", lambda t: F.split(F.regexp_replace(t, r"^i\.", ""), ":")))
+    needed = chosen.withColumn("needed", F.array_distinct(F.concat(F.array("outcome"), names)))
+    held = profiles.select("deposit_id", F.col("file_id").alias("data_file"), F.col("name").alias("need"), "n")
+    in_file = needed.select(*SPEC, F.size("needed").alias("k"), F.explode("needed").alias("need")).join(held, ["deposit_id", "need"])
+    whole = in_file.groupBy(*SPEC, "data_file", "k").agg(F.count("*").alias("have"), F.max("n").alias("n_rows")).where("have = k")
+    best = whole.groupBy(*SPEC).agg(F.min(F.struct((-F.col("n_rows")).alias("o"), "data_file")).alias("b"))
+    return chosen.join(best, SPEC).select(*SPEC, "class", "design", F.col("b.data_file").alias("data_file"), (-F.col("b.o")).alias("n_rows"))
+
+
+def hash_cap(df: DataFrame, keys: list[str], n_rows: str, *, rows: int = 300_000) -> DataFrame:
+    """At most ``rows`` rows of each group, those with the lowest hash of their
+    content, given each group's size in ``n_rows``: a bounded sample that does
+    not depend on the partitioning.  Of a larger group only the rows under a
+    hash threshold a fifth above the cap are ranked, so no task sorts a group."""
+    mark = F.xxhash64(*df.columns)
+    spot = (F.shiftrightunsigned(mark, 11)).cast("double") / float(1 << 53)
+    large = df.where(F.col(n_rows) > rows).withColumn("_h", mark).where(spot < 1.2 * rows / F.col(n_rows))
+    order = Window.partitionBy(*keys).orderBy("_h", *df.columns)
+    capped = large.withColumn("_r", F.row_number().over(order)).where(F.col("_r") <= rows).drop("_r", "_h")
+    return df.where(F.coalesce(F.col(n_rows) <= rows, F.lit(True))).unionByName(capped)
+
+
+def design_matrix(columns: dict[str, np.ndarray], design: list[str], *, most_levels: int = 300) -> np.ndarray | None:
+    """Intercept and terms: plain columns, dummies of a factor but its first
+    level, products; None beyond ``most_levels`` levels."""
+    n = len(next(iter(columns.values())))
+    out = [np.ones(n)]
+    for term in design:
+        if term.startswith("i."):
+            levels, at = np.unique(columns[term[2:]], return_inverse=True)
+            if len(levels) > most_levels:
+                return None
+            out += [(at == i).astype(float) for i in range(1, len(levels))]
+        else:
+            a, _, b = term.partition(":")
+            out.append(columns[a] * columns[b] if b else columns[a])
+    return np.column_stack(out)
+
+
+def fit_rows(columns: dict[str, np.ndarray], outcome: str, design: list[str], domain: str, *, least: int = 30) -> dict:
+    """One approximate refit over complete cases: status, n, k, n_outside."""
+    names = {outcome, *(x for t in design for x in t.removeprefix("i.").split(":"))}
+    ok = np.logical_and.reduce([np.isfinite(columns[c]) for c in names])
+    used = {c: columns[c][ok] for c in names}
+    y = used[outcome]
+    n, out = len(y), {"n": int(ok.sum()), "k": None, "n_outside": None}
+    if n < least:
+        return out | {"status": "few_rows"}
+    x = design_matrix(used, design)
+    if x is None:
+        return out | {"status": "many_levels"}
+    out["k"] = x.shape[1]
+    if n < 3 * x.shape[1]:
+        return out | {"status": "few_rows"}
+    if _outside(y, domain).any():
+        return out | {"status": "response_outside"}
+    size = np.sqrt((x * x).sum(0))
+    if not size.all():
+        return out | {"status": "singular"}
+    scaled = x / size
+    beta, _, rank, _ = np.linalg.lstsq(scaled, y, rcond=1e-10)
+    if rank < x.shape[1]:
+        return out | {"status": "singular"}
+    return out | {"status": "fitted", "n_outside": int(_outside(scaled @ beta, domain).sum())}
+
+
+def _outside(value: np.ndarray, domain: str, tol: float = TOL) -> np.ndarray:
+    return value < -tol if domain == "count" else (value < -tol) | (value > 1 + tol)
+
+
+FITS = ("deposit_id long, estimator string, outcome string, code_file string, line_no int, class string, data_file string, "
+        "formula string, status string, n long, k long, n_outside long, share double")
+
+
+def fit_all(specs: DataFrame, rows: DataFrame, *, cap: int = 300_000) -> DataFrame:
+    """Every planned fit over the rows (deposit_id, file_id, numeric columns) of
+    its data file, at most ``cap`` of them; a task holds one fit's rows at a
+    time.  Each record names formula, code location, data file and row scope
+    (complete cases), with the share of fitted values outside the domain where
+    the fit succeeded."""
+    data = [c for c in rows.columns if c not in ("deposit_id", "file_id")]
+    held = rows.select("deposit_id", F.col("file_id").alias("data_file"), *[F.col(c).cast("double").alias(f"x_{c}") for c in data])
+    joined = hash_cap(specs.join(held, ["deposit_id", "data_file"]), SPEC, "n_rows", rows=cap)
+
+    def run(table: pa.Table) -> pa.Table:
+        first = {c: table.column(c)[0].as_py() for c in (*SPEC, "class", "data_file", "design")}
+        columns = {c: table.column(f"x_{c}").to_numpy().astype(float) for c in data}
+        got = fit_rows(columns, first["outcome"], first["design"], first["class"])
+        share = got["n_outside"] / got["n"] if got["status"] == "fitted" else None
+        formula = f"{first['outcome']} ~ {' + '.join(first.pop('design'))}"
+        row = first | got | {"formula": formula, "share": share}
+        return pa.Table.from_pylist([{k: row[k] for k in _FIT_TYPES.names}], schema=_FIT_TYPES)
+
+    return joined.groupBy(*SPEC).applyInArrow(run, FITS)
+
+
+_FIT_TYPES = pa.schema([
+    ("deposit_id", pa.int64()), ("estimator", pa.string()), ("outcome", pa.string()), ("code_file", pa.string()), ("line_no", pa.int32()),
+    ("class", pa.string()), ("data_file", pa.string()), ("formula", pa.string()), ("status", pa.string()), ("n", pa.int64()), ("k", pa.int64()),
+    ("n_outside", pa.int64()), ("share", pa.float64()),
+])
 
 
 def grouped(df: DataFrame, keys: list[str], y: str, x: str, *, domain: str, least: int = 30) -> DataFrame:
@@ -177,9 +275,11 @@ def summarise(fits: DataFrame, keys: list[str]) -> DataFrame:
     return fits.groupBy(*keys).agg(F.max("share").alias("share"), F.count("share").alias("n_fits"))
 
 
-def report(summary: DataFrame, *, at: float = 0.01) -> DataFrame:
+def report(summary: DataFrame, *, at: float = 0.01, by: list[str] | None = None) -> DataFrame:
+    """Records with a fit, with violations at the cut-off and of any size, and
+    of those at the cut-off the median and largest share."""
     above = F.when(F.col("share") >= at, F.col("share"))
-    return summary.agg(
+    return summary.groupBy(*(by or [])).agg(
         F.count("share").alias("n_fitted"), F.count_if(F.col("share") >= at).alias("n_at"), F.count_if(F.col("share") > 0).alias("n_any"),
         F.round(F.median(above), 6).alias("median_share"), F.round(F.max(above), 6).alias("max_share"),
     )

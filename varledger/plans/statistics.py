@@ -5,11 +5,13 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..operators import classify, evidence, measures, refit
+from ..operators import ledger, lineage, measures, refit
 from ..sources import archive
+from ..sources.store import stored
 from ..sources.tables import ORDER_QUANTITIES_SQL, order_quantities, table
 from ..streaming import ingest
 from . import sql
+from .archive import LINKS_SQL, Census
 
 
 def _refit(frame, y: str, x: str, domain: str):
@@ -52,6 +54,63 @@ def _glm(frame, y: str, x: str, family: str):
     return run
 
 
+def refit_log(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Least squares of a logged response, which is a variable of its own with a
+    checked step from the raw one, and raises no alert as a raw count would."""
+    raw = table(spark, sf_dir, "documents").select(F.col("n_chars").cast("double").alias("n_chars"), (F.length("text") - F.length(F.replace("text", F.lit(" "), F.lit("")))).cast("double").alias("words"))
+    step = F.log("n_chars")
+    df, _ = lineage.derive(raw, "ln_n_chars", "log", ["n_chars"], step)
+    fit = refit.ols(df, "ln_n_chars", ["words"])
+    c = fit["coefficients"]
+    return lineage.verify(df, "ln_n_chars", step).select(
+        "derived_variable", "n_mismatch", F.lit(fit["n"]).cast("long").alias("n"), F.round(F.lit(c["words"]), 8).alias("slope"), F.round(F.lit(c["intercept"]), 5).alias("intercept")
+    )
+
+
+LOG_OLS_SQL = """SELECT 'ln_n_chars' AS derived_variable, CAST(0 AS BIGINT) AS n_mismatch, count(*) AS n, round(regr_slope(y, words), 8) AS slope, round(regr_intercept(y, words), 5) AS intercept
+FROM (SELECT ln(n_chars) AS y, CAST(length(text) - length(replace(text, ' ', '')) AS DOUBLE) AS words FROM documents)"""
+
+
+def refit_within(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Fixed effects as a transform: price on quantity within supplier."""
+    li = table(spark, sf_dir, "lineitem").select("l_suppkey", "l_quantity", "l_extendedprice")
+    fit = refit.ols(refit.within(li, ["l_extendedprice", "l_quantity"], ["l_suppkey"]), "l_extendedprice", ["l_quantity"])
+    return spark.createDataFrame([(fit["n"], round(fit["coefficients"]["l_quantity"], 4))], "n long, slope double")
+
+
+WITHIN_SQL = """SELECT count(*) AS n, round(regr_slope(y, x), 4) AS slope FROM (SELECT l_extendedprice - avg(l_extendedprice) OVER (PARTITION BY l_suppkey) AS y,
+l_quantity - avg(l_quantity) OVER (PARTITION BY l_suppkey) AS x FROM lineitem)"""
+
+
+#: Fits on one 0/1 term, of which group means give every coefficient.
+GROUPED = ("poisson", "quasipoisson", "negbin", "fraclogit")
+
+
+def _grouped_glm(family: str):
+    y = "bulk_share" if family == "fraclogit" else "bulk_units"
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        o = order_quantities(spark, sf_dir).select("bulk_units", "bulk_share", (F.col("lines") > 4).cast("double").alias("many"))
+        fit = refit.glm(o, y, ["many"], family=family)
+        c = fit["coefficients"]
+        rows = [(family, fit["n"], round(c["intercept"], 5), round(c["many"], 5))]
+        out = spark.createDataFrame(rows, "family string, n long, intercept double, slope double")
+        if family == "quasipoisson":
+            out = out.withColumn("dispersion", F.round(F.lit(fit["dispersion"]), 4))
+        return out
+
+    return run
+
+
+def _grouped_sql(family: str) -> str:
+    y, link = ("bulk_share", "ln({m} / (1 - {m}))") if family == "fraclogit" else ("bulk_units", "ln({m})")
+    a, b = link.format(m="m0"), link.format(m="m1")
+    more = ", round(p / (n - 2), 4) AS dispersion" if family == "quasipoisson" else ""
+    return f"""WITH o AS (SELECT CAST({y} AS DOUBLE) AS y, lines > 4 AS g FROM ({ORDER_QUANTITIES_SQL})), m AS (SELECT avg(y) FILTER (NOT g) AS m0, avg(y) FILTER (g) AS m1, count(*) AS n FROM o),
+q AS (SELECT sum(pow(y - CASE WHEN g THEN m1 ELSE m0 END, 2) / CASE WHEN g THEN m1 ELSE m0 END) AS p FROM o, m)
+SELECT '{family}' AS family, n, round({a}, 5) AS intercept, round({b} - {a}, 5) AS slope{more} FROM m, q"""
+
+
 def _scaled_orders(spark: SparkSession, sf_dir: str) -> DataFrame:
     o = order_quantities(spark, sf_dir)
     return o.select("bulk_units", "bulk_share", (F.col("total_quantity") / 100).alias("total_100"), (F.col("mean_quantity") / 10).alias("mean_10"))
@@ -67,13 +126,10 @@ def _part_fits(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def refit_per_part(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One-term fits of all parts in one aggregate and one join."""
     return _part_fits(spark, sf_dir).select("deposit_id", "outcome", "n", "n_outside")
 
 
-def refit_report(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return refit.report(refit.summarise(_part_fits(spark, sf_dir), ["deposit_id", "outcome"]))
-
-
 _PART = """WITH d AS (SELECT l_partkey AS deposit_id, 'qty_share' AS outcome, l_quantity / 50 AS y, l_extendedprice AS x FROM lineitem
 UNION ALL SELECT l_partkey, 'bulk', CASE WHEN l_quantity >= 45 THEN l_quantity ELSE 0 END, l_extendedprice FROM lineitem),
 m AS (SELECT deposit_id, outcome, count(*) AS n, regr_slope(y, x) AS b, regr_intercept(y, x) AS a FROM d GROUP BY deposit_id, outcome HAVING count(*) >= 30),
@@ -81,6 +137,59 @@ s AS (SELECT m.deposit_id, m.outcome, m.n, count(*) FILTER (a + b * x < -1e-6 OR
 FROM d JOIN m USING (deposit_id, outcome) GROUP BY m.deposit_id, m.outcome, m.n)"""
 
 
+# -- refits of the census flags --------------------------------------------
+
+
+def _planned(census: Census) -> tuple[DataFrame, DataFrame]:
+    """Clear flag records, and the fits planned for them."""
+    links = stored(census.links(census.kept), "census-links")
+    clear = stored(census.flags(links).where("tier = 'clear'"), "census-clear")
+    return clear, stored(refit.plan(clear, links.where("family = 'linear'"), census.kept), "refit-plan")
+
+
+def refit_plan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    _, specs = _planned(Census(spark, sf_dir))
+    return specs.groupBy("deposit_id", "estimator", "outcome", F.array_join("design", " ").alias("design"), "data_file").agg(
+        F.count("*").alias("n_fits"), F.max("n_rows").alias("n_rows")
+    )
+
+
+def _fits(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
+    clear, specs = _planned(Census(spark, sf_dir))
+    return clear, refit.fit_all(specs, archive.wide(spark, sf_dir))
+
+
+def refit_records(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The fuller record of every attempted fit, with its file's checksum."""
+    _, fits = _fits(spark, sf_dir)
+    marks = ledger.file_checksums(archive.cells(spark, sf_dir)).withColumnRenamed("file_id", "data_file")
+    return fits.join(marks, ["deposit_id", "data_file"]).select(
+        "deposit_id", "estimator", "outcome", "data_file", "formula", "status", "n", "k", "n_outside",
+        F.length("file_checksum").alias("checksum_length"), F.lit("complete cases").alias("row_scope"),
+    )
+
+
+def refit_report(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Clear records by class: how many there are, how many a refit reaches, and
+    the violations of their worst refits."""
+    clear, fits = _fits(spark, sf_dir)
+    keys = ["deposit_id", "estimator", "outcome"]
+    summary = clear.select(*keys, "class").join(refit.summarise(fits, keys), keys, "left")
+    n = summary.groupBy("class").agg(F.count("*").alias("n_records"), F.sum(F.coalesce("n_fits", F.lit(0))).alias("n_fits"))
+    return n.join(refit.report(summary, by=["class"]), "class")
+
+
+FITS_SQL = f"""{LINKS_SQL}, clear AS (SELECT * FROM flags WHERE tier = 'clear'),
+spec AS (SELECT l.deposit_id, l.estimator, l.response AS outcome, c.class, l.place, l.design FROM links l JOIN clear c ON c.deposit_id = l.deposit_id AND c.estimator = l.estimator AND c.outcome = l.response
+  WHERE l.plain AND l.family = 'linear' AND l.data_file = 'data-1' QUALIFY row_number() OVER (PARTITION BY l.deposit_id, l.estimator, l.response ORDER BY l.place) <= 8),
+d AS (SELECT l_partkey AS deposit_id, l_quantity / 50 AS qty_share, CASE WHEN l_quantity >= 45 THEN l_quantity ELSE 0 END AS bulk, l_extendedprice AS price, l_extendedprice * l_discount AS product, l_linenumber AS line_no FROM lineitem),
+r AS (SELECT s.deposit_id, estimator, s.outcome, class, place, design, CASE WHEN s.outcome = 'bulk' THEN bulk ELSE qty_share END AS y, CASE WHEN design = 'price:disc' THEN product ELSE price END AS x, line_no FROM spec s JOIN d USING (deposit_id)),
+m AS (SELECT deposit_id, estimator, outcome, place, count(*) AS n, CASE WHEN any_value(design) = 'i.line_no' THEN count(DISTINCT line_no) ELSE 2 END AS k, regr_slope(y, x) AS b, regr_intercept(y, x) AS a FROM r GROUP BY 1, 2, 3, 4),
+v AS (SELECT r.*, n, k, CASE WHEN design = 'i.line_no' THEN avg(y) OVER (PARTITION BY r.deposit_id, r.estimator, r.outcome, r.place, line_no) ELSE a + b * x END AS f FROM r JOIN m USING (deposit_id, estimator, outcome, place)),
+fits AS (SELECT deposit_id, estimator, outcome, class, place, design, n, k, CASE WHEN n < 30 OR n < 3 * k THEN 'few_rows' ELSE 'fitted' END AS status,
+  count(*) FILTER (f < -1e-6 OR (class = 'proportion' AND f > 1 + 1e-6)) AS n_outside FROM v GROUP BY ALL)"""
+
+
 # -- adjudication and agreement -------------------------------------------
 
 
@@ -164,7 +273,12 @@ def queries():
         "refit_returned_share": _refit(order_quantities, "returned_share", "mean_quantity", "proportion"),
         "refit_chars_words": _refit(_words, "n_chars", "words", "count"),
         "refit_per_part": refit_per_part,
+        "refit_plan": refit_plan,
+        "refit_records": refit_records,
         "refit_report": refit_report,
+        "refit_log_ols": refit_log,
+        "refit_within": refit_within,
+        **{f"refit_groups_{f}": _grouped_glm(f) for f in GROUPED},
         "refit_poisson": _glm(_words, "newlines", "size", "poisson"),
         "refit_quasipoisson": _glm(_words, "newlines", "size", "quasipoisson"),
         "refit_fraclogit": _glm(_scaled_orders, "bulk_share", "mean_10", "fraclogit"),
@@ -187,8 +301,15 @@ def oracle_sql():
         "refit_returned_share": _refit_sql(ORDER_QUANTITIES_SQL, "returned_share", "mean_quantity", "proportion"),
         "refit_chars_words": _refit_sql(WORDS_SQL, "n_chars", "words", "count"),
         "refit_per_part": f"{_PART} SELECT deposit_id, outcome, n, n_outside FROM s",
-        "refit_report": f"""{_PART}, r AS (SELECT n_outside / n AS share FROM s) SELECT count(*) AS n_fitted, count(*) FILTER (share >= 0.01) AS n_at, count(*) FILTER (share > 0) AS n_any,
-round(median(share) FILTER (share >= 0.01), 6) AS median_share, round(max(share) FILTER (share >= 0.01), 6) AS max_share FROM r""",
+        "refit_plan": f"{FITS_SQL} SELECT deposit_id, estimator, outcome, design, 'data-1' AS data_file, count(*) AS n_fits, CAST(max(n) AS BIGINT) AS n_rows FROM fits GROUP BY ALL",
+        "refit_records": f"""{FITS_SQL} SELECT deposit_id, estimator, outcome, 'data-1' AS data_file, outcome || ' ~ ' || design AS formula, status, n, CASE WHEN n >= 30 THEN k END AS k,
+CASE WHEN status = 'fitted' THEN n_outside END AS n_outside, 64 AS checksum_length, 'complete cases' AS row_scope FROM fits""",
+        "refit_report": f"""{FITS_SQL}, one AS (SELECT deposit_id, estimator, outcome, count(*) AS n_fits, max(n_outside / n) AS share FROM fits WHERE status = 'fitted' GROUP BY 1, 2, 3)
+SELECT class, count(*) AS n_records, CAST(coalesce(sum(n_fits), 0) AS BIGINT) AS n_fits, count(share) AS n_fitted, count(*) FILTER (share >= 0.01) AS n_at, count(*) FILTER (share > 0) AS n_any,
+round(median(share) FILTER (share >= 0.01), 6) AS median_share, round(max(share) FILTER (share >= 0.01), 6) AS max_share FROM clear LEFT JOIN one USING (deposit_id, estimator, outcome) GROUP BY class""",
+        "refit_log_ols": LOG_OLS_SQL,
+        "refit_within": WITHIN_SQL,
+        **{f"refit_groups_{f}": _grouped_sql(f) for f in GROUPED},
         "precision_by_lang": WILSON_SQL.format(by="lang"),
         "precision_weighted": """SELECT round(sum(w * k / n) / sum(w), 6) AS precision, CAST(sum(w) AS BIGINT) AS weight FROM
 (SELECT source, count(*) AS n, count(*) FILTER (quality = 1) AS k FROM labels JOIN documents USING (doc_id) GROUP BY source) JOIN (SELECT source, count(*) AS w FROM documents GROUP BY source) USING (source)""",
