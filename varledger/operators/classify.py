@@ -81,10 +81,22 @@ def declared_datatype(declared: str = "declared") -> Column:
     )
 
 
-def structural_kind() -> Column:
-    """Identifier, measure, dimension or attribute from a profile."""
+def described(profiles: DataFrame, *, name: str = "column", datatype: Column | None = None) -> DataFrame:
+    """The class beside what a stock description says, which stays: name,
+    datatype, scale, class, and all of them as one JSON document."""
+    kind = declared_datatype() if datatype is None else datatype
+    out = profiles.select(F.col(name).alias("name"), kind.alias("datatype"), scale_level().alias("scale"), "class")
+    return out.withColumn("description", F.to_json(F.struct("name", "datatype", "scale", "class")))
+
+
+def structural_kind(*, share: float = 0.8) -> Column:
+    """Identifier, measure, dimension or attribute from a profile with a distinct
+    ``estimate``: an identifier is integral or text and differs in nearly every
+    row, a dimension has few values, a measure is another number."""
+    nearly_all = (F.col("estimate") >= share * F.col("present")) & (F.col("present") > 25)
+    coded = ~F.col("numeric") | F.col("all_integer")
     return (
-        F.when((F.col("n_distinct") <= 25) & (F.col("nonnull") > 25), "dimension")
+        F.when(nearly_all & coded, "identifier").when(F.col("estimate") <= 25, "dimension")
         .when(F.col("numeric"), "measure").otherwise("attribute")
     )
 

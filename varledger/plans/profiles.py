@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -99,7 +101,38 @@ SELECT lang, source, {sql.SHOWN} FROM cls"""
 
 
 def distinct_estimates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return evidence.distinct_estimates(table(spark, sf_dir, "lineitem"), NUMERIC["lineitem"])
+    """Sketched against exact distinct counts: within three standard errors?"""
+    li, rsd = table(spark, sf_dir, "lineitem"), 0.05
+    exact = li.agg(F.array(*[F.struct(F.lit(c).alias("column"), F.countDistinct(c).alias("n_distinct")) for c in NUMERIC["lineitem"]]).alias("a")).select(F.inline("a"))
+    near = F.abs(F.col("estimate") - F.col("n_distinct")) <= 3 * rsd * F.col("n_distinct")
+    return evidence.distinct_estimates(li, NUMERIC["lineitem"], rsd=rsd).join(exact, "column").select(F.col("column").alias("col"), "n_distinct", near.alias("near"))
+
+
+DISTINCT_SQL = " UNION ALL ".join(f"SELECT '{c}' AS col, count(DISTINCT {c}) AS n_distinct, TRUE AS near FROM lineitem" for c in NUMERIC["lineitem"])
+
+KINDS = ("customer", "supplier", "part", "orders", "nation")
+
+
+def structural_kinds(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = None
+    for name in KINDS:
+        df = table(spark, sf_dir, name)
+        p = evidence.profile_columns(df, df.columns).join(evidence.distinct_estimates(df, df.columns, rsd=0.02), "column")
+        one = p.select(F.lit(name).alias("table_name"), F.col("column").alias("col"), classify.structural_kind().alias("kind"))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+#: (table, column): text columns, integral columns and others, by the schema.
+_COLUMNS = {
+    "customer": ("c_custkey c_nationkey", "c_name c_mktsegment", "c_acctbal"), "supplier": ("s_suppkey s_nationkey", "s_name", "s_acctbal"),
+    "part": ("p_partkey p_size", "p_name p_brand p_type", "p_retailprice"), "orders": ("o_orderkey o_custkey", "o_orderstatus o_orderdate o_orderpriority", "o_totalprice"),
+    "nation": ("n_nationkey n_regionkey", "n_name", ""),
+}
+KINDS_SQL = " UNION ALL ".join(
+    f"""SELECT '{t}' AS table_name, '{c}' AS col, CASE WHEN {coded} AND count(*) > 25 AND count(DISTINCT {c}) >= 0.8 * count(*) THEN 'identifier' WHEN count(DISTINCT {c}) <= 25 THEN 'dimension' ELSE '{rest}' END AS kind FROM {t}"""
+    for t, groups in _COLUMNS.items() for (coded, rest), names in zip((("TRUE", "measure"), ("TRUE", "attribute"), ("FALSE", "measure")), groups, strict=True) for c in names.split()
+)
 
 
 def small_support(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -141,17 +174,15 @@ UNION ALL SELECT 'value_squared', value * value FROM events"""
 
 
 def five_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Datatype, scale and class side by side: the datatype cannot tell what the
-    class tells."""
+    """Datatype, scale and class side by side, and as one document: the datatype
+    cannot tell what the class tells."""
     p = classify.classified(evidence.profile_cells(_five_cells(spark, sf_dir), ["col"]))
-    return p.select(
-        "col", F.when(F.col("all_integer"), "Integer").otherwise("Double").alias("datatype"),
-        classify.scale_level().alias("scale"), "class",
-    )
+    kind = F.when(F.col("all_integer"), "Integer").otherwise("Double")
+    return classify.described(p, name="col", datatype=kind).withColumnRenamed("name", "col")
 
 
-FIVE_SQL = f"""WITH {sql.stats(FIVE_CELLS_SQL, ['col'])}
-SELECT col, CASE WHEN all_integer THEN 'Integer' ELSE 'Double' END AS datatype, {sql.scale()} AS scale, class FROM cls"""
+FIVE_SQL = f"""WITH {sql.stats(FIVE_CELLS_SQL, ['col'])}, d AS (SELECT col, CASE WHEN all_integer THEN 'Integer' ELSE 'Double' END AS datatype, {sql.scale()} AS scale, class FROM cls)
+SELECT *, '{{"name":"' || col || '","datatype":"' || datatype || '","scale":"' || scale || '","class":"' || class || '"}}' AS description FROM d"""
 
 
 def transitions(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -186,6 +217,12 @@ CASES = {
     "two_counts": [3, 7, 3, 3],
     "rating_with_codes": [1, 2, 3, 4, 5, 98, 99],
     "negatives": [-1, 0, 1],
+    "declared_negatives": [-1, -1, 0, 1],
+    "undeclared_pair": [-1, 1],
+    "zero_and_code": [0, 99],
+    "declared_rating": [1, 2, 3, 4, 5, 99],
+    "half_declared_rating": [1, 2, 3, 4, 5, 98, 99],
+    "overflow_declared": [*range(30), 99, 99, 99],
     "coarse_share": [0, 0.25, 0.5, 0.75, 1],
     "rescaled_rating": [0, 1 / 8, 2 / 8, 3 / 8, 4 / 8, 5 / 8, 6 / 8, 7 / 8, 1],
     "fine_share": [i / 40 for i in range(41)],
@@ -204,17 +241,31 @@ def _case_rows() -> list[tuple[str, float | None]]:
     return [(c, None if v is None else float(v)) for c, values in CASES.items() for v in values]
 
 
+#: What a codebook says of some cases: (case, value).
+DECLARED = [("declared_negatives", -1), ("declared_rating", 99), ("half_declared_rating", 99), ("overflow_declared", 99), ("fine_share", 7)]
+
+
 def regression_cases(spark: SparkSession, sf_dir: str) -> DataFrame:
     cells = spark.createDataFrame(_case_rows(), "case_name string, value double")
-    p = audit.audited(evidence.profile_cells(cells, ["case_name"]), None, ["case_name"])
-    return p.select("case_name", "class", "audit_class", F.size("stripped").alias("n_stripped"))
+    said = spark.createDataFrame([(c, float(v), "codebook") for c, v in DECLARED], "case_name string, value double, evidence_id string")
+    p = audit.audited(evidence.profile_cells(cells, ["case_name"]), said, ["case_name"], cells=cells)
+    return p.select("case_name", "class", "audit_class", F.size("stripped").alias("n_stripped"), "overflow", "dropped_rows")
 
 
 _CASE_VALUES = ", ".join(f"('{c}', {'NULL' if v is None else repr(v)})" for c, v in _case_rows())
-CASES_SQL = f"""WITH {sql.stats(f"SELECT c AS case_name, CAST(x AS DOUBLE) AS v FROM (VALUES {_CASE_VALUES}) t(c, x)", ['case_name'])},
-final AS (SELECT *, coalesce(eligible, FALSE) AND (core_n <= 2 OR (core_min >= 0 AND core_max <= 12 AND core_n <= 12)) AS by_core FROM cls)
-SELECT case_name, class, CAST(CASE WHEN by_core THEN nd - core_n ELSE 0 END AS INTEGER) AS n_stripped,
-       CASE WHEN nd <= 1 OR (by_core AND nd > core_n) THEN 'unresolved' ELSE class END AS audit_class FROM final"""
+#: The audit from its definition: the class of the values as they are, against
+#: the class that the sentinel step leads to.
+PLAIN = replace(CENSUS, strip=False)
+_BY_CORE = "coalesce(f.eligible, FALSE) AND (f.core_n <= 2 OR (f.core_min >= 0 AND f.core_max <= 12 AND f.core_n <= 12))"
+_GONE = f"(v IN ({sql.CODES}) OR v < -90 OR v > 90)"
+CASES_SQL = f"""WITH src AS (SELECT c AS case_name, CAST(x AS DOUBLE) AS v FROM (VALUES {_CASE_VALUES}) t(c, x)), said(c, x) AS (VALUES {", ".join(f"('{c}', {v})" for c, v in DECLARED)}),
+{sql.stats("SELECT * FROM src", ['case_name'])}, {sql.stats("SELECT * FROM src", ['case_name'], PLAIN, 'q_')},
+open AS (SELECT case_name, count(DISTINCT v) AS n FROM src LEFT JOIN said ON c = case_name AND x = v WHERE {_GONE} AND c IS NULL GROUP BY 1),
+gone AS (SELECT case_name, count(*) AS n FROM src JOIN said ON c = case_name AND x = v GROUP BY 1)
+SELECT f.case_name, f.class, CAST(CASE WHEN {_BY_CORE} THEN f.nd - f.core_n ELSE 0 END AS INTEGER) AS n_stripped,
+  CASE WHEN f.nd <= 1 OR ({_BY_CORE} AND coalesce(open.n, 0) > 0 AND q.class <> f.class) THEN 'unresolved' ELSE f.class END AS audit_class,
+  f.nd > 25 AS overflow, CAST(coalesce(gone.n, 0) AS BIGINT) AS dropped_rows
+FROM cls f JOIN q_cls q ON q.case_name = f.case_name LEFT JOIN open ON open.case_name = f.case_name LEFT JOIN gone ON gone.case_name = f.case_name"""
 
 
 def counterexample(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -225,10 +276,10 @@ def counterexample(spark: SparkSession, sf_dir: str) -> DataFrame:
     return p.groupBy("class", "audit_class").agg(F.count("*").alias("n"))
 
 
-COUNTER_SQL = f"""WITH {sql.stats("SELECT l_partkey, pow(l_quantity, 6.0) AS v FROM lineitem", ['l_partkey'])},
-final AS (SELECT *, coalesce(eligible, FALSE) AND (core_n <= 2 OR (core_min >= 0 AND core_max <= 12 AND core_n <= 12)) AS by_core FROM cls)
-SELECT class, CASE WHEN nd <= 1 OR (by_core AND nd > core_n) THEN 'unresolved' ELSE class END AS audit_class, count(*) AS n
-FROM final GROUP BY 1, 2"""
+_SIXTH = "SELECT l_partkey, pow(l_quantity, 6.0) AS v FROM lineitem"
+COUNTER_SQL = f"""WITH {sql.stats(_SIXTH, ['l_partkey'])}, {sql.stats(_SIXTH, ['l_partkey'], PLAIN, 'q_')}
+SELECT f.class, CASE WHEN f.nd <= 1 OR ({_BY_CORE} AND f.nd > f.core_n AND q.class <> f.class) THEN 'unresolved' ELSE f.class END AS audit_class, count(*) AS n
+FROM cls f JOIN q_cls q ON q.l_partkey = f.l_partkey GROUP BY 1, 2"""
 
 
 def hints(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -321,6 +372,7 @@ def queries():
         "profile_by_scope_event_type": scope_event_type,
         "corpus_profile_by_lang_source": lang_source,
         "distinct_estimates": distinct_estimates,
+        "structural_kinds": structural_kinds,
         "small_support_complete": small_support,
         "five_column_comparison": five_columns,
         "class_transitions": transitions,
@@ -342,6 +394,8 @@ def oracle_sql():
         "profile_all": _profile_all_sql(),
         "profile_by_scope_event_type": SCOPE_SQL,
         "corpus_profile_by_lang_source": LANG_SOURCE_SQL,
+        "distinct_estimates": DISTINCT_SQL,
+        "structural_kinds": KINDS_SQL,
         "small_support_complete": SUPPORT_SQL,
         "five_column_comparison": FIVE_SQL,
         "class_transitions": _transitions_sql(),
