@@ -41,8 +41,12 @@ GENERATION = ("assertion_id string, method string, tool string, at int, time_unc
     *[(a, "manual", "editor", None, "within the week") for a in ("r0", "r1", "r2", "r3", "r4")],
     *[(a, "deterministic", "code parser", 1, None) for a in ("u1", "u2", "u3", "u4", "u5", "e1", "e2", "e3", "e4")],
 ])
+FILE = ("file_key string, dataset_version string, file_checksum string", [("f1", "d1@1", "c0ffee")])
+VARIABLE = ("variable_id string, file_key string, name string, position int, datatype string", [
+    ("v1", "f1", "bulk_units", 0, "Integer"), ("v2", "f1", "priority_digit", 1, "Integer"), ("v3", "f1", "returned_share", 2, "Double"), ("v4", "f1", "total_quantity", 3, "Double"),
+])
 ALL = {
-    "analysis": ANALYSIS, "role": ROLE, "use": USE, "estimator": ESTIMATOR, "profile": PROFILE, "alert": ALERT,
+    "file": FILE, "variable": VARIABLE, "analysis": ANALYSIS, "role": ROLE, "use": USE, "estimator": ESTIMATOR, "profile": PROFILE, "alert": ALERT,
     "review": REVIEW, "evidence": EVIDENCE, "generation": GENERATION,
 }
 

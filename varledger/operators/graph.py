@@ -8,6 +8,8 @@ from pyspark.sql import functions as F
 TRIPLE = "s string, p string, o string, o_kind string"
 #: Per record: key column, and the columns that name another node (with its kind).
 NODES = {
+    "file": ("file_key", {}),
+    "variable": ("variable_id", {"file_key": "file"}),
     "analysis": ("analysis_id", {}),
     "role": ("assertion_id", {"analysis_id": "analysis", "supersedes": "role"}),
     "use": ("assertion_id", {"analysis_id": "analysis", "variable_id": "variable", "supersedes": "use"}),
@@ -18,6 +20,8 @@ NODES = {
     "evidence": ("evidence_id", {}),
     "generation": ("assertion_id", {}),
 }
+#: Records in the terms of the interchange model; the others are the profile's.
+CORE = ("file", "variable")
 
 
 def _node(kind: str, key: Column) -> Column:
@@ -45,19 +49,53 @@ def to_triples(g: dict[str, DataFrame]) -> DataFrame:
     return out.distinct()
 
 
+def core_part(triples: DataFrame, *, core: bool = True) -> DataFrame:
+    """The triples about nodes of the interchange model, or the others."""
+    inside = F.split("s", "/")[0].isin(*CORE)
+    return triples.where(inside if core else ~inside)
+
+
+def _swapped(c: Column, pairs: list[tuple[str, str]]) -> Column:
+    for a, b in pairs:
+        c = F.replace(c, F.lit(a), F.lit(b))
+    return c
+
+
+#: In this order; undone in the opposite one.  A pair of backslashes is held by
+#: a control character meanwhile, which is itself written as an escape.
+_ESCAPES = [("\"", '\\"'), ("\n", "\\n"), ("\r", "\\r"), ("\t", "\\t"), ("\x01", "\\1")]
+_NODE_ESCAPES = [("%", "%25"), ("<", "%3C"), (">", "%3E"), ("\n", "%0A"), ("\r", "%0D")]
+
+
 def _escaped(c: Column) -> Column:
-    return F.regexp_replace(F.regexp_replace(F.regexp_replace(c, r"\\", r"\\\\"), "\"", "\\\\\""), "\n", r"\\n")
+    return _swapped(c, [("\\", "\\\\"), *_ESCAPES])
+
+
+def _unescaped(c: Column) -> Column:
+    held = F.replace(c, F.lit("\\\\"), F.lit("\x02"))
+    return F.replace(_swapped(held, [(b, a) for a, b in reversed(_ESCAPES)]), F.lit("\x02"), F.lit("\\"))
+
+
+def _as_node(c: Column) -> Column:
+    return _swapped(c, _NODE_ESCAPES)
+
+
+def _from_node(c: Column) -> Column:
+    return _swapped(c, [(b, a) for a, b in reversed(_NODE_ESCAPES)])
 
 
 def to_turtle(triples: DataFrame) -> DataFrame:
     """One line a triple: <s> <p> <o> . or a quoted, typed value."""
-    o = F.when(F.col("o_kind") == "node", F.concat(F.lit("<"), F.col("o"), F.lit(">"))).otherwise(
+    o = F.when(F.col("o_kind") == "node", F.concat(F.lit("<"), _as_node(F.col("o")), F.lit(">"))).otherwise(
         F.concat(F.lit('"'), _escaped(F.col("o")), F.lit('"^^<'), F.col("o_kind"), F.lit(">"))
     )
-    return triples.select(F.concat(F.lit("<"), "s", F.lit("> <"), "p", F.lit("> "), o, F.lit(" .")).alias("value"))
+    return triples.select(
+        F.concat(F.lit("<"), _as_node(F.col("s")), F.lit("> <"), _as_node(F.col("p")), F.lit("> "), o, F.lit(" .")).alias("value")
+    )
 
 
 def from_turtle(lines: DataFrame) -> DataFrame:
+    """Triples of the text form; a line that is none is left out."""
     node = r"^<([^>]*)> <([^>]*)> <([^>]*)> \.$"
     text = r'^<([^>]*)> <([^>]*)> "(.*)"\^\^<([^>]*)> \.$'
     is_node = F.col("value").rlike(node)
@@ -65,17 +103,42 @@ def from_turtle(lines: DataFrame) -> DataFrame:
     def part(i: int) -> Column:
         return F.when(is_node, F.regexp_extract("value", node, i)).otherwise(F.regexp_extract("value", text, i))
 
-    plain = F.regexp_replace(F.regexp_replace(F.regexp_replace(part(3), r"(?<!\\)\\n", "\n"), "\\\\\"", "\""), r"\\\\", r"\\")
     return lines.where(is_node | F.col("value").rlike(text)).select(
-        part(1).alias("s"), part(2).alias("p"), F.when(is_node, part(3)).otherwise(plain).alias("o"),
+        _from_node(part(1)).alias("s"), _from_node(part(2)).alias("p"),
+        F.when(is_node, _from_node(part(3))).otherwise(_unescaped(part(3))).alias("o"),
         F.when(is_node, "node").otherwise(F.regexp_extract("value", text, 4)).alias("o_kind"),
     )
 
 
+_VALUE = "struct<`@id`:string,`@value`:string,`@type`:string>"
+CONTEXT = '{"@vocab":"urn:varledger:terms/","@base":"urn:varledger:"}'
+
+
 def to_jsonld(triples: DataFrame) -> DataFrame:
-    """One JSON document a node."""
-    return triples.groupBy("s").agg(
-        F.to_json(F.struct(F.first("s").alias("@id"), F.array_sort(F.collect_list(F.struct("p", "o", "o_kind"))).alias("properties"))).alias("value")
+    """One JSON-LD document a node: context, id, and an array of nodes or typed
+    values for each predicate."""
+    is_node = F.col("o_kind") == "node"
+    value = F.struct(
+        F.when(is_node, F.col("o")).alias("@id"), F.when(~is_node, F.col("o")).alias("@value"), F.when(~is_node, F.col("o_kind")).alias("@type")
+    )
+    each = triples.groupBy("s", "p").agg(F.array_sort(F.collect_list(value)).alias("v"))
+    nodes = each.groupBy("s").agg(F.map_from_entries(F.array_sort(F.collect_list(F.struct("p", "v")))).alias("m"))
+    head = F.to_json(F.struct(F.col("s").alias("@id")))
+    inner = lambda x: F.expr(f"substring({x}, 2, length({x}) - 2)")
+    return nodes.select(head.alias("h"), F.to_json("m").alias("b")).select(
+        F.concat(F.lit(f'{{"@context":{CONTEXT},'), inner("h"), F.lit(","), inner("b"), F.lit("}")).alias("value")
+    )
+
+
+def from_jsonld(documents: DataFrame) -> DataFrame:
+    """Triples of such documents."""
+    parsed = documents.select(F.from_json("value", "map<string,string>").alias("m"))
+    fields = parsed.select(F.col("m")["@id"].alias("s"), F.explode("m").alias("p", "raw")).where("p NOT LIKE '@%'")
+    v = fields.select("s", "p", F.explode(F.from_json("raw", f"array<{_VALUE}>")).alias("v"))
+    node = F.col("v.`@id`").isNotNull()
+    return v.select(
+        "s", "p", F.when(node, F.col("v.`@id`")).otherwise(F.col("v.`@value`")).alias("o"),
+        F.when(node, "node").otherwise(F.col("v.`@type`")).alias("o_kind"),
     )
 
 
@@ -86,45 +149,75 @@ def difference(a: DataFrame, b: DataFrame) -> DataFrame:
 
 #: (class, predicate, min, max, kind of object): closed shapes of the records.
 SHAPES = [
+    ("analysis", "dataset_version", 1, 1, "text"), ("analysis", "paper_loc", 0, 1, "text"), ("analysis", "code_loc", 0, 1, "text"), ("analysis", "command", 1, 1, "text"),
     ("role", "analysis_id", 1, 1, "node"), ("role", "role", 1, 1, "text"), ("role", "at", 1, 1, "integer"), ("role", "supersedes", 0, 1, "node"),
     ("use", "analysis_id", 1, 1, "node"), ("use", "variable_id", 1, 1, "node"), ("use", "response", 1, 1, "text"), ("use", "use", 1, 1, "text"),
     ("use", "link_kind", 1, 1, "text"), ("use", "at", 1, 1, "integer"), ("use", "supersedes", 0, 1, "node"),
     ("estimator", "analysis_id", 1, 1, "node"), ("estimator", "family", 1, 1, "text"), ("estimator", "at", 1, 1, "integer"), ("estimator", "supersedes", 0, 1, "node"),
-    ("profile", "variable_id", 1, 1, "node"), ("profile", "class", 1, 1, "text"), ("profile", "rule_version", 1, 1, "text"),
+    ("profile", "variable_id", 1, 1, "node"), ("profile", "class", 1, 1, "text"), ("profile", "rule_version", 1, 1, "text"), ("profile", "scope", 0, 1, "text"),
+    ("profile", "n", 0, 1, "integer"),
     ("alert", "analysis_id", 1, 1, "node"), ("alert", "use_id", 1, 1, "node"), ("alert", "profile_id", 1, 1, "node"), ("alert", "tier", 1, 1, "text"),
+    ("review", "target_id", 1, 1, "text"), ("review", "reviewer", 1, 1, "text"), ("review", "state", 1, 1, "text"), ("review", "at", 1, 1, "integer"),
+    ("review", "supersedes", 0, 1, "node"),
+    ("evidence", "assertion_id", 1, 1, "text"), ("evidence", "source", 1, 1, "text"), ("evidence", "locator", 1, 1, "text"),
+    ("generation", "assertion_id", 1, 1, "text"), ("generation", "method", 1, 1, "text"), ("generation", "tool", 1, 1, "text"),
+    ("generation", "at", 0, 1, "integer"), ("generation", "time_uncertainty", 0, 1, "text"),
+]
+#: Shapes of the interchange model's nodes, validated apart.
+CORE_SHAPES = [
+    ("file", "dataset_version", 1, 1, "text"), ("file", "file_checksum", 1, 1, "text"),
+    ("variable", "file_key", 1, 1, "node"), ("variable", "name", 1, 1, "text"), ("variable", "position", 1, 1, "integer"), ("variable", "datatype", 1, 1, "text"),
 ]
 
 
-def shapes(spark: SparkSession) -> DataFrame:
-    return spark.createDataFrame(SHAPES, "class string, p string, low int, high int, want string")
+def shapes(spark: SparkSession, rows=SHAPES) -> DataFrame:
+    return spark.createDataFrame(rows, "class string, p string, low int, high int, want string")
 
 
-def violations(triples: DataFrame, rules: DataFrame) -> DataFrame:
-    """Cardinality, closedness, object kinds, evidence, and agreement of an
-    alert's profile with the variable of its use."""
-    typed = triples.where("p = 'type'").select("s", F.regexp_replace("o", "^class/", "").alias("class"))
-    ruled = typed.join(F.broadcast(rules.select("class").distinct()), "class", "left_semi")
+def core_violations(triples: DataFrame) -> DataFrame:
+    """The interchange model's nodes against their own shapes, by themselves."""
+    return _cardinalities(core_part(triples), shapes(triples.sparkSession, CORE_SHAPES)).distinct()
+
+
+def _kind(df: DataFrame, name: str) -> DataFrame:
+    return df.select("s", "p", F.lit(name).alias("kind"))
+
+
+def _typed(triples: DataFrame) -> DataFrame:
+    return triples.where("p = 'type'").select("s", F.regexp_replace("o", "^class/", "").alias("class"))
+
+
+def _cardinalities(triples: DataFrame, rules: DataFrame) -> DataFrame:
+    """Cardinality, closedness and object kinds of the classes with rules."""
+    ruled = _typed(triples).join(F.broadcast(rules.select("class").distinct()), "class", "left_semi")
     facts = triples.where("p <> 'type'").join(ruled, "s")
     counts = facts.groupBy("s", "p").agg(F.count("*").alias("n"))
     wanted = ruled.join(F.broadcast(rules), "class").join(counts, ["s", "p"], "left").na.fill(0, ["n"])
-    kind = lambda df, name: df.select("s", "p", F.lit(name).alias("kind"))
-    out = kind(wanted.where("n < low OR n > high"), "cardinality")
-    out = out.unionByName(kind(facts.join(F.broadcast(rules), ["class", "p"], "left_anti"), "closed"))
-    out = out.unionByName(kind(facts.join(F.broadcast(rules), ["class", "p"]).where("o_kind <> want"), "node_kind"))
+    out = _kind(wanted.where("n < low OR n > high"), "cardinality")
+    out = out.unionByName(_kind(facts.join(F.broadcast(rules), ["class", "p"], "left_anti"), "closed"))
+    return out.unionByName(_kind(facts.join(F.broadcast(rules), ["class", "p"]).where("o_kind <> want"), "node_kind"))
+
+
+def violations(triples: DataFrame, rules: DataFrame) -> DataFrame:
+    """Cardinality, closedness, object kinds, evidence, time or its declared
+    uncertainty, and agreement of an alert's profile with the variable of its
+    use."""
+    typed = _typed(triples)
+    out = _cardinalities(triples, rules)
     # Nodes that are named but have no record, or one of another class.
-    named = facts.where("o_kind = 'node' AND p <> 'variable_id'").select("s", "p", F.col("o").alias("t"))
-    out = out.unionByName(kind(named.join(typed.select(F.col("s").alias("t")), "t", "left_anti"), "dangling"))
+    named = triples.where("o_kind = 'node' AND p <> 'type'").select("s", "p", F.col("o").alias("t"))
+    out = out.unionByName(_kind(named.join(typed.select(F.col("s").alias("t")), "t", "left_anti"), "dangling"))
     value = lambda p, name: triples.where(F.col("p") == p).select("s", F.col("o").alias(name))
-    shown = triples.where("p = 'assertion_id' OR p = 'type'").join(typed.where("class = 'evidence'"), "s").where("p = 'assertion_id'").select(
-        F.col("o").alias("key")
-    )
+    shown = value("assertion_id", "key").join(typed.where("class = 'evidence'"), "s").select("key")
     asserted = typed.where("class IN ('role', 'use', 'estimator')").withColumn("key", F.regexp_replace("s", "^[a-z]+/", ""))
-    out = out.unionByName(kind(asserted.join(shown, "key", "left_anti").withColumn("p", F.lit("evidence")), "no_evidence"))
+    out = out.unionByName(_kind(asserted.join(shown, "key", "left_anti").withColumn("p", F.lit("evidence")), "no_evidence"))
+    timed = triples.where("p IN ('at', 'time_uncertainty')").select("s")
+    out = out.unionByName(_kind(typed.where("class = 'generation'").join(timed, "s", "left_anti").withColumn("p", F.lit("at")), "no_time"))
     alert = typed.where("class = 'alert'").join(value("use_id", "u"), "s").join(value("profile_id", "pr"), "s")
     of_use = value("variable_id", "vu").withColumnRenamed("s", "u")
     of_profile = value("variable_id", "vp").withColumnRenamed("s", "pr")
     odd = alert.join(of_use, "u").join(of_profile, "pr").where("vu <> vp").withColumn("p", F.lit("profile_id"))
-    return out.unionByName(kind(odd, "other_variable")).distinct()
+    return out.unionByName(_kind(odd, "other_variable")).distinct()
 
 
 def mutations(g: dict[str, DataFrame]) -> dict[str, dict[str, DataFrame]]:

@@ -2,7 +2,7 @@
 
 from importlib import import_module
 
-NAMES = ("profiles", "archive", "recovery", "papers", "graphs", "statistics")
+NAMES = ("profiles", "archive", "recovery", "papers", "graphs", "ledgers", "statistics")
 
 
 def modules():

@@ -2,15 +2,13 @@
 
 from __future__ import annotations
 
-from functools import cached_property
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.rules import CENSUS, CLEAR_RULES, PREFIXES, RAW
 from ..operators import audit, classify, evidence, extraction, screen
 from ..sources import archive
-from ..sources.store import stored
+from ..sources.store import saved
 from ..sources.tables import table
 from . import sql
 
@@ -28,48 +26,57 @@ flags AS (SELECT *, CASE WHEN {CLEAR} THEN 'clear' ELSE 'debated' END AS tier FR
 
 
 class Census:
-    """One run over the archive; what several steps read is written once."""
+    """One run over the archive.  Evidence, commands, links and flags are written
+    once for a version of the tables and read by every query after that."""
 
     def __init__(self, spark: SparkSession, sf_dir: str):
         self.spark, self.sf_dir = spark, sf_dir
 
-    @cached_property
+    def saved(self, name: str, build) -> DataFrame:
+        return saved(self.spark, f"census-{name}", [f"{self.sf_dir}/{t}.parquet" for t in ("part", "lineitem")], build)
+
+    @property
     def files(self) -> DataFrame:
         return archive.files(self.spark, self.sf_dir)
 
-    def evidence(self, *, capped: bool = True) -> DataFrame:
+    def profiled(self, *, capped: bool = True) -> DataFrame:
+        """Evidence of every column, from the cells."""
         cells = archive.cells(self.spark, self.sf_dir)
         if capped:
             cells = extraction.kept_files(cells, self.files)
         return evidence.profile_cells(cells, KEYS)
 
-    @cached_property
+    def evidence(self, *, capped: bool = True) -> DataFrame:
+        return self.saved("evidence" if capped else "evidence-all", lambda: self.profiled(capped=capped))
+
+    @property
     def profiles(self) -> DataFrame:
         return classify.classified(self.evidence())
 
-    @cached_property
-    def kept(self) -> DataFrame:
-        """The profiles, written."""
-        return stored(self.profiles, "census-profiles")
-
     def read(self, *, capped: bool = True, prefixes: tuple[str, ...] = PREFIXES) -> DataFrame:
-        scripts = archive.scripts(self.spark, self.sf_dir)
-        if capped:
-            scripts = extraction.kept_files(scripts, self.files)
-        return extraction.pairs(extraction.logical_lines(scripts), prefixes=prefixes)
+        """Commands of the scripts."""
 
-    def links(self, profiles: DataFrame | None = None, read: DataFrame | None = None) -> DataFrame:
-        names = (self.profiles if profiles is None else profiles).select(
-            "deposit_id", F.col("file_id").alias("data_file"), "name", "class", "n", "all_integer"
-        )
-        return extraction.match_outcomes(self.read() if read is None else read, names)
+        def build() -> DataFrame:
+            scripts = archive.scripts(self.spark, self.sf_dir)
+            if capped:
+                scripts = extraction.kept_files(scripts, self.files)
+            return extraction.pairs(extraction.logical_lines(scripts), prefixes=prefixes)
+
+        return self.saved(f"read-{capped}-{len(prefixes)}", build)
 
-    def flags(self, links: DataFrame | None = None) -> DataFrame:
-        return screen.flagged(self.links() if links is None else links)
+    @property
+    def links(self) -> DataFrame:
+        names = lambda: self.profiles.select("deposit_id", F.col("file_id").alias("data_file"), "name", "class", "n", "all_integer")
+        return self.saved("links", lambda: extraction.match_outcomes(self.read(), names()))
+
+    @property
+    def flags(self) -> DataFrame:
+        return self.saved("flags", lambda: screen.flagged(self.links))
 
 
 def by_part(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return Census(spark, sf_dir).profiles.select("deposit_id", "file_id", "name", "n", "n_distinct", "class")
+    """The whole profile, from the cells."""
+    return classify.classified(Census(spark, sf_dir).profiled()).select("deposit_id", "file_id", "name", "n", "n_distinct", "class")
 
 
 def code_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -139,7 +146,7 @@ UNION ALL SELECT 'kept', count(*) FROM part WHERE p_partkey % 50 = 1"""
 
 
 def outcome_links(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return Census(spark, sf_dir).links().select("deposit_id", "estimator", "family", "response", "column", "link_kind", "data_file", "class")
+    return Census(spark, sf_dir).links.select("deposit_id", "estimator", "family", "response", "column", "link_kind", "data_file", "class")
 
 
 def _asked_logs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -167,33 +174,31 @@ met AS (SELECT a.deposit_id, response, raw AS "column", class FROM asked a JOIN
 
 
 def flags(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return Census(spark, sf_dir).flags().drop("rule_version")
+    return Census(spark, sf_dir).flags.drop("rule_version")
 
 
 def clear_flags(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The archive under another rule table."""
     rules = screen.rule_table(spark, CLEAR_RULES)
-    found = screen.flagged(Census(spark, sf_dir).links(), rules=rules, version="clear-1")
+    found = screen.flagged(Census(spark, sf_dir).links, rules=rules, version="clear-1")
     return found.groupBy("rule_version", "tier", "class").agg(F.count("*").alias("n"))
 
 
 def questions(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Records (deposit, estimator, outcome) and questions (deposit, outcome) by
     tier and class."""
-    return Census(spark, sf_dir).flags().groupBy("tier", "class").agg(
+    return Census(spark, sf_dir).flags.groupBy("tier", "class").agg(
         F.count("*").alias("n_records"), F.countDistinct("deposit_id", "outcome").alias("n_questions")
     )
 
 
-def _status(census: Census, read: DataFrame, links: DataFrame) -> DataFrame:
-    return screen.coverage(archive.deposits(census.spark, census.sf_dir), read, links)
+def _status(census: Census) -> DataFrame:
+    return screen.coverage(archive.deposits(census.spark, census.sf_dir), census.read(), census.links)
 
 
 def coverage(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Deposits by status, by collection and in all."""
-    census = Census(spark, sf_dir)
-    read = stored(census.read(), "census-read")
-    return _status(census, read, census.links(read=read)).rollup("collection", "status").agg(
+    return _status(Census(spark, sf_dir)).rollup("collection", "status").agg(
         F.count("*").alias("n"), F.max("limits").alias("limits")
     ).where("NOT (collection IS NOT NULL AND status IS NULL)").na.fill("all", ["collection", "status"])
 
@@ -207,10 +212,8 @@ SELECT collection, status, count(*) AS n, 'lower bound' AS limits FROM s GROUP B
 def rates(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Flagged deposits in all, for each 1,000 and as a share of the base."""
     census = Census(spark, sf_dir)
-    read = stored(census.read(), "census-read")
-    links = stored(census.links(read=read), "census-links")
-    flagged = census.flags(links).select("deposit_id").distinct().withColumn("f", F.lit(1))
-    s = _status(census, read, links).join(flagged, "deposit_id", "left")
+    flagged = census.flags.select("deposit_id").distinct().withColumn("f", F.lit(1))
+    s = _status(census).join(flagged, "deposit_id", "left")
     base = F.count_if(F.col("status") == "flaggable")
     return s.agg(
         F.count("*").alias("n_deposits"), base.alias("n_base"), F.count("f").alias("n_flagged"),
@@ -237,17 +240,18 @@ SELECT kind, {reason} AS reason, count(*) AS n, CAST(sum(bytes) AS BIGINT) AS by
 
 
 def family_norms(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return screen.family_norms(Census(spark, sf_dir).links().join(archive.deposits(spark, sf_dir), "deposit_id"), "collection")
+    return screen.family_norms(Census(spark, sf_dir).links.join(archive.deposits(spark, sf_dir), "deposit_id"), "collection")
 
 
 def find_outcomes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return screen.find_outcomes(Census(spark, sf_dir).links(), "proportion", 25, 40)
+    return screen.find_outcomes(Census(spark, sf_dir).links, "proportion", 25, 40)
 
 
 def review_queue(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The 20 flags to review first: clear tier, most rows, then deposit."""
-    lk = stored(Census(spark, sf_dir).links(), "census-links")
-    rows = screen.flagged(lk).select("deposit_id", "outcome", "class", "tier").distinct()
+    census = Census(spark, sf_dir)
+    lk = census.links
+    rows = census.flags.select("deposit_id", "outcome", "class", "tier").distinct()
     n = lk.groupBy("deposit_id", F.col("column").alias("outcome")).agg(F.max("n").alias("n"))
     order = [F.col("tier"), F.desc("n"), F.col("deposit_id"), F.col("outcome")]
     return rows.join(n, ["deposit_id", "outcome"]).select("deposit_id", "outcome", "class", "tier", "n").orderBy(*order).limit(20)
@@ -271,7 +275,7 @@ SELECT name, CASE WHEN kind IS NULL THEN NULL WHEN kind = 'proportion' THEN 'sha
 
 def raw_transitions(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Classes of the archive's columns under the raw profiler and the census."""
-    found = stored(Census(spark, sf_dir).evidence(), "census-evidence")
+    found = Census(spark, sf_dir).evidence()
     return classify.transitions(classify.classified(found, rules=RAW), classify.classified(found, rules=CENSUS), KEYS)
 
 

@@ -109,7 +109,7 @@ def queries():
         "review_states": review_states,
         "materialised_alerts": materialised,
         "assertions_by_source": lambda spark, sf_dir: ledger.by_source(fixture.frames(spark)),
-        "paper_summary": lambda spark, sf_dir: ledger.paper_summary(fixture.frames(spark)),
+        "paper_summary": lambda spark, sf_dir: ledger.paper_summary(fixture.frames(spark)).withColumn("derived_from", F.array_join("derived_from", ",")),
         "uses_of_variable": lambda spark, sf_dir: ledger.uses_of(fixture.frames(spark), "v1").select("assertion_id", "analysis_id", "use"),
         "graph_triples": triples,
         "graph_roundtrip_diff": roundtrip,
@@ -130,7 +130,7 @@ def oracle_sql():
         "review_states": f"{_WITH} SELECT target_id, 'accepted' AS state FROM st",
         "materialised_alerts": f"{_WITH} SELECT analysis_id, use_id, profile_id, tier FROM alert_all",
         "assertions_by_source": f"{_WITH} SELECT source, method, count(DISTINCT assertion_id) AS n FROM evidence_all JOIN generation_all USING (assertion_id) GROUP BY source, method",
-        "paper_summary": f"{_WITH} SELECT dataset_version, string_agg(DISTINCT response, ',') AS headline_outcomes FROM inv WHERE role = 'headline' GROUP BY dataset_version",
+        "paper_summary": f"{_WITH} SELECT dataset_version, string_agg(DISTINCT response, ',') AS headline_outcomes, 'e1,r1,u1' AS derived_from FROM inv WHERE role = 'headline' GROUP BY dataset_version",
         "uses_of_variable": f"{_WITH} SELECT assertion_id, analysis_id, use FROM use_now WHERE variable_id = 'v1'",
         "graph_triples": _triples_sql(),
         "graph_roundtrip_diff": "SELECT CAST(0 AS BIGINT) AS n_different",

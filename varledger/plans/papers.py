@@ -112,7 +112,12 @@ def _replayed(asked: DataFrame) -> DataFrame:
 
 def _scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     census = Census(spark, sf_dir)
-    sheets = stored(_sheets(census), "paper-sheets")
+    return census.saved("scores", lambda: _scored(census))
+
+
+def _scored(census: Census) -> DataFrame:
+    spark, sf_dir = census.spark, census.sf_dir
+    sheets = census.saved("sheets", lambda: _sheets(census))
     pairs = stored(_pairs(spark, sf_dir).where("paper_id IS NOT NULL"), "paper-pairs")
     papers, scripts = archive.papers(spark, sf_dir), archive.scripts(spark, sf_dir)
     arms = [fingerprint.requests(pairs, papers, sheets), fingerprint.requests(pairs, papers, sheets, scripts)]
@@ -127,7 +132,7 @@ def _scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     records = said.join(asked.select("request_id", "deposit_id", "arm"), "request_id").select(
         "deposit_id", arm.alias("arm"), "extractor", F.col("deposit_id").alias("case_id"), "response"
     )
-    links = census.links().join(pairs.select("deposit_id"), "deposit_id", "left_semi").where("data_file = 'data-1'")
+    links = census.links.join(pairs.select("deposit_id"), "deposit_id", "left_semi").where("data_file = 'data-1'")
     rows = fingerprint.guard(fingerprint.parse(records).unionByName(fingerprint.from_code(links)), sheets)
     cases = archive.cases(spark, sf_dir).select(F.col("deposit_id").alias("case_id"), F.col("outcome").alias("column"), "family")
     return fingerprint.score(rows, cases, archive.twins(spark, sf_dir))

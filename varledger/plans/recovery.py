@@ -11,7 +11,6 @@ from pyspark.sql import functions as F
 from ..functions.rules import CENSUS, PREFIXES, RAW
 from ..operators import benchmark, classify, measures, screen
 from ..sources import archive
-from ..sources.store import stored
 from . import sql
 from .archive import CLEAR, FAMILIES, KEYS, LINKS_SQL, SCREENED, Census
 
@@ -24,7 +23,7 @@ cases AS (SELECT ref.*, l_partkey IS NOT NULL AS stored,
 
 
 def _recovered(spark: SparkSession, sf_dir: str) -> DataFrame:
-    flags = stored(Census(spark, sf_dir).flags(), "census-flags")
+    flags = Census(spark, sf_dir).flags
     return screen.recovery(archive.cases(spark, sf_dir), flags, flags)
 
 
@@ -46,12 +45,10 @@ def outcome_location(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def miss_reasons(spark: SparkSession, sf_dir: str) -> DataFrame:
     census = Census(spark, sf_dir)
-    read = stored(census.read(), "census-read")
-    flags = census.flags(census.links(census.kept, read))
     every = archive.cells(spark, sf_dir).select("deposit_id", "name").distinct()
     missed = benchmark.misses(
-        archive.cases(spark, sf_dir), flags, read=read, read_uncapped=census.read(capped=False),
-        read_prefixed=census.read(prefixes=(*PREFIXES, "svy")), names=census.kept, names_uncapped=every,
+        archive.cases(spark, sf_dir), census.flags, read=census.read(), read_uncapped=census.read(capped=False),
+        read_prefixed=census.read(prefixes=(*PREFIXES, "svy")), names=census.profiles, names_uncapped=every,
     )
     return missed.groupBy("reason").agg(F.count("*").alias("n"))
 
@@ -62,7 +59,7 @@ FROM cases WHERE label = 'mismatch' AND NOT outcome_flagged GROUP BY 1"""
 
 
 def _confusion(kind: str):
-    return lambda spark, sf_dir: screen.confusion(archive.cases(spark, sf_dir), Census(spark, sf_dir).links(), kind)
+    return lambda spark, sf_dir: screen.confusion(archive.cases(spark, sf_dir), Census(spark, sf_dir).links, kind)
 
 
 def _confusion_sql(said: str) -> str:
@@ -77,13 +74,13 @@ def norms(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def link_norms(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return screen.norm_map(Census(spark, sf_dir).links(), FAMILIES)
+    return screen.norm_map(Census(spark, sf_dir).links, FAMILIES)
 
 
 def _profiled(spark: SparkSession, sf_dir: str) -> dict[str, DataFrame]:
     """Class of each stored outcome by the census gates and by the raw profiler,
     over all files (the reference outcomes were read one by one)."""
-    found = stored(Census(spark, sf_dir).evidence(capped=False).where("file_id = 'data-1'"), "case-evidence")
+    found = Census(spark, sf_dir).evidence(capped=False).where("file_id = 'data-1'")
     return {n: classify.classified(found, rules=r).select("deposit_id", "name", "class") for n, r in (("census", CENSUS), ("raw", RAW))}
 
 
@@ -118,7 +115,7 @@ FROM (SELECT side, label = 'mismatch' AS t, coalesce(family = 'linear' AND {SCRE
 
 
 def candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return benchmark.candidates(Census(spark, sf_dir).links()).groupBy("stratum").agg(
+    return benchmark.candidates(Census(spark, sf_dir).links).groupBy("stratum").agg(
         F.count("*").alias("n_links"), F.countDistinct("deposit_id").alias("n_deposits")
     )
 
@@ -130,8 +127,8 @@ CANDIDATES_SQL = f"""{LINKS_SQL} SELECT CASE WHEN family = 'linear' AND class =
 
 def recheck(spark: SparkSession, sf_dir: str) -> DataFrame:
     census = Census(spark, sf_dir)
-    main = census.kept.where("file_id = 'data-1'")
-    checked = benchmark.recheck(archive.cases(spark, sf_dir), main, census.links(census.kept))
+    main = census.profiles.where("file_id = 'data-1'")
+    checked = benchmark.recheck(archive.cases(spark, sf_dir), main, census.links)
     return checked.groupBy("resolves", "same_class", "link_confirmed").agg(F.count("*").alias("n"))
 
 
@@ -158,7 +155,7 @@ _VERDICT_SQL = f"{_MEANT} = class AND deposit_id % 6 <> 0"
 def positives(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Three definitions of a positive side by side, over questions: member of
     the reference cases, selected by the rule, credited by the rubric."""
-    selected = Census(spark, sf_dir).flags().where("tier = 'clear'").select("deposit_id", "outcome", "class").distinct()
+    selected = Census(spark, sf_dir).flags.where("tier = 'clear'").select("deposit_id", "outcome", "class").distinct()
     return benchmark.positives(archive.cases(spark, sf_dir), selected.withColumn("credited", _verdict())).groupBy(
         "member", "selected", "credited"
     ).agg(F.count("*").alias("n"))
@@ -171,7 +168,7 @@ SELECT member, selected, credited, count(*) AS n FROM u GROUP BY 1, 2, 3"""
 
 
 def _clear(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return Census(spark, sf_dir).flags().where("tier = 'clear'").withColumn("record_id", F.concat_ws("|", "deposit_id", "estimator", "outcome"))
+    return Census(spark, sf_dir).flags.where("tier = 'clear'").withColumn("record_id", F.concat_ws("|", "deposit_id", "estimator", "outcome"))
 
 
 def adjudicated_precision(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -183,7 +180,7 @@ def adjudicated_precision(spark: SparkSession, sf_dir: str) -> DataFrame:
 def draws(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Sixty records a class, collapsed to questions after the draw, and sixty
     questions a class, made distinct before it."""
-    records = stored(_clear(spark, sf_dir), "census-clear")
+    records = _clear(spark, sf_dir)
     after = measures.stratified_draw(records, "class", "record_id", 60)
     distinct = records.groupBy("class", "deposit_id", "outcome").agg(F.min("record_id").alias("record_id"))
     before = measures.stratified_draw(distinct, "class", "record_id", 60)

@@ -7,7 +7,6 @@ from pyspark.sql import functions as F
 
 from ..operators import ledger, lineage, measures, refit
 from ..sources import archive
-from ..sources.store import stored
 from ..sources.tables import ORDER_QUANTITIES_SQL, order_quantities, table
 from ..streaming import ingest
 from . import sql
@@ -142,9 +141,8 @@ FROM d JOIN m USING (deposit_id, outcome) GROUP BY m.deposit_id, m.outcome, m.n)
 
 def _planned(census: Census) -> tuple[DataFrame, DataFrame]:
     """Clear flag records, and the fits planned for them."""
-    links = stored(census.links(census.kept), "census-links")
-    clear = stored(census.flags(links).where("tier = 'clear'"), "census-clear")
-    return clear, stored(refit.plan(clear, links.where("family = 'linear'"), census.kept), "refit-plan")
+    clear = census.flags.where("tier = 'clear'")
+    return clear, census.saved("refit-plan", lambda: refit.plan(clear, census.links.where("family = 'linear'"), census.profiles))
 
 
 def refit_plan(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -155,8 +153,9 @@ def refit_plan(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def _fits(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame]:
-    clear, specs = _planned(Census(spark, sf_dir))
-    return clear, refit.fit_all(specs, archive.wide(spark, sf_dir))
+    census = Census(spark, sf_dir)
+    clear, specs = _planned(census)
+    return clear, census.saved("refits", lambda: refit.fit_all(specs, archive.wide(spark, sf_dir)))
 
 
 def refit_records(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -4,8 +4,10 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql.types import StructType
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -18,9 +20,40 @@ def shared_dir(spark: SparkSession) -> str:
     return named.rstrip("/")
 
 
+def _write(df: DataFrame, name: str) -> str:
+    path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return path
+
+
 def stored(df: DataFrame, name: str) -> DataFrame:
     """``df``, written once and read back: several consumers of one query share
     it, and a lost executor costs no more than the part it was reading."""
-    path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(_write(df, name))
+
+
+_SAVED: dict[tuple, tuple[str, StructType]] = {}
+
+
+def _version(spark: SparkSession, path: str) -> tuple:
+    """(file, length, modification time) of all files under a path."""
+    jvm = spark.sparkContext._jvm
+    root = jvm.org.apache.hadoop.fs.Path(path)
+    fs = root.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    files, out = fs.listFiles(root, True), []
+    while files.hasNext():
+        f = files.next()
+        out.append((f.getPath().toString(), f.getLen(), f.getModificationTime()))
+    return tuple(sorted(out))
+
+
+def saved(spark: SparkSession, name: str, inputs: list[str], build: Callable[[], DataFrame]) -> DataFrame:
+    """What ``build`` makes, written once an application for this version of the
+    input files: profiles and ledgers are made once and asked many times, and
+    made again when a file changes."""
+    key = (spark.sparkContext.applicationId, name, *[_version(spark, p) for p in inputs])
+    if key not in _SAVED:
+        made = build()
+        _SAVED[key] = (_write(made, name), made.schema)
+    path, schema = _SAVED[key]
+    return spark.read.schema(schema).parquet(path)
