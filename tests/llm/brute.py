@@ -106,3 +106,31 @@ def merge_one_by_one(m, word, memo):
         if before[i] >= 0:
             push(before[i])
     return [s for s, g in zip(sym, gone, strict=True) if not g]
+
+
+def language(model, text):
+    """(language, score) by plain loops over n-grams, families and votes."""
+    import math
+
+    if not text or not any(c.isalpha() for c in text) or not model.langs:
+        return "und", 0.0
+    raw = b" " + bytes(b + 32 if 65 <= b <= 90 else b for b in text.encode("utf-8", "replace")) + b" "
+    margin = [float(b) for b in model.bias]
+    for n in (1, 2, 3):
+        grams = [raw[i : i + n] for i in range(len(raw) - n + 1)]
+        for g in grams:
+            place = (((int.from_bytes(g, "big") + n) & 0xFFFFFFFF) * 2654435761 & 0xFFFFFFFF) >> 20
+            for m, w in enumerate(model.table[place].tolist()):
+                margin[m] += w / len(grams)
+    sure, name = 1.0, model.families[0]
+    if model.family_at:
+        best = max(range(len(model.families)), key=lambda f: margin[model.family_at[f]])
+        name, sure = model.families[best], 1 / (1 + math.exp(-4 * margin[model.family_at[best]]))
+    votes = {i: [0, 0.0] for i in range(len(model.members[name]))}
+    for a, b, m in model.pairs[name]:
+        votes[a if margin[m] > 0 else b][0] += 1
+        votes[a][1] += margin[m]
+        votes[b][1] -= margin[m]
+    top = max(votes, key=lambda k: tuple(votes[k]))
+    near = [abs(margin[m]) for a, b, m in model.pairs[name] if top in (a, b)]
+    return model.members[name][top], sure / (1 + math.exp(-4 * min(near))) if near else sure

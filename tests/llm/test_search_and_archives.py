@@ -123,6 +123,15 @@ def test_warc_round_trip(spark, page_rows, tmp_path, compression):
     assert "payload" in some.columns
 
 
+def test_no_pages_and_pages_over_a_megabyte(spark, tmp_path):
+    none = spark.createDataFrame([], "page_id long, url string, html string")
+    assert warc.archive_pages(none, path=f"file://{tmp_path}/none").count() == 0
+    rows = [(1, "é" * 700_000), (2, "é" * 700_000), (3, "x")]
+    pages = spark.createDataFrame([(p, "u", h) for p, h in rows], "page_id long, url string, html string")
+    got = warc.archive_pages(pages, path=f"file://{tmp_path}/long").collect()
+    assert sorted(map(tuple, got)) == sorted(brute_pages(rows))
+
+
 def test_reader_tests_headers_first(page_rows, spark, tmp_path):
     pages = spark.createDataFrame(page_rows, "page_id long, html string").withColumn("url", F.lit("u"))
     path = f"file://{tmp_path}/w"

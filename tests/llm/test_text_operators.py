@@ -195,6 +195,41 @@ def test_copies_do_not_fill_the_training_sample(spark, monkeypatch):
         assert len(own) > 240 and len(set(own)) > 100, lang
 
 
+@pytest.mark.parametrize("langs", [["en", "de", "nl", "fr", "es"], ["en", "de"], ["xx"], []])
+def test_languages_equal_brute_force(spark, docs, rows, langs):
+    """Languages, families and scores against plain loops: five languages of
+    two families, one family, one language and no label at all."""
+    from brute import language
+
+    words = {x: [f"{x}{a}{b}" for a in "aeiou" for b in "lmnrst"] for x in langs}
+    rng = random.Random(8)
+    train = [(i, " ".join(rng.choice(words[x]) for _ in range(30)), x) for x in langs for i in range(40)]
+    model = fit(spark.createDataFrame(train or [(0, "no label", None)], "doc_id long, text string, lang string"))
+    assert model.langs == sorted(langs)
+    own = [(d, t) for d, t in rows if len(t or "") < 3000] + [(100 + i, t) for i, (_, t, _) in enumerate(train[:60])]
+    df = spark.createDataFrame([(i, t) for i, (_, t) in enumerate(own)], "doc_id long, text string")
+    got = {r.doc_id: (r.lang_pred, r.score) for r in identify(df, model).select("row.doc_id", "lang_pred", "score").collect()}
+    for i, (_, t) in enumerate(own):
+        lang, score = language(model, t)
+        assert got[i][0] == lang and abs(got[i][1] - score) < 1e-4, (t, got[i], lang, score)
+
+
+def test_long_texts(spark):
+    """Texts over a megabyte beside short ones, against brute force."""
+    rng = random.Random(2)
+    words = ["".join(rng.choice("abcdefghij") for _ in range(5)) for _ in range(5000)]
+    long = " ".join(rng.choice(words) for _ in range(200_000))
+    cut = " ".join(long.split()[1000:1100])
+    rows = [(1, long), (2, f"{cut} {' '.join(rng.choice(words) for _ in range(20))}"), (3, long + " end"), (4, "x" * 1_200_000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert len(long) > 1_000_000
+    got = remove_repeats(df).select("row.doc_id", "n_words", "n_removed", F.sha2("kept_text", 256)).collect()
+    assert sorted(map(tuple, got)) == sorted(substring(rows))
+    got = judge(df).select("row.doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed").collect()
+    assert sorted(map(tuple, got)) == sorted((d, *quality(t)) for d, t in rows)
+    assert sorted(map(tuple, jaccard_components(df).collect())) == sorted(components(rows))
+
+
 def test_language_edges(docs, rows):
     got = {r.at: r for r in identify(docs, fit(docs)).select(F.col("row.n_words").alias("at"), "lang_pred", "score").collect()}
     assert len(got) == len(rows)

@@ -198,6 +198,29 @@ def test_rank_engine_equals_the_library_on_random_texts():
         assert encode(t).tolist() == ids, t
 
 
+def test_texts_over_a_megabyte(spark):
+    """Counts, packing, archive and pieces of long texts against the libraries."""
+    import random
+
+    import sentencepiece
+
+    rng = random.Random(6)
+    words = ["".join(rng.choice("abcdefghij") for _ in range(rng.randint(1, 8))) for _ in range(3000)]
+    texts = [" ".join(rng.choice(words) for _ in range(250_000)), "ab" * 300_000, "short one"]
+    assert len(texts[0]) > 1_000_000
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    n = [len(i) for i in library_ids(texts, "word_bpe_49k.json")]
+    assert [r.n_tokens for r in token_counts.count_tokens(df, tokenizer=P.path("word_bpe_49k.json")).orderBy("doc_id").collect()] == n
+    ids = library_ids(texts, "byte_bpe_50k.json")
+    packed = packing.pack_documents(df, tokenizer=P.path("byte_bpe_50k.json")).groupBy("doc_id").agg(F.sum("length").alias("n")).orderBy("doc_id").collect()
+    assert [r.n for r in packed] == [len(i) + 1 for i in ids]
+    kept = token_archive.archive_documents(df, tokenizer=P.path("byte_bpe_50k.json")).orderBy("doc_id").collect()
+    assert [(r.n_tokens, r.ids_crc32) for r in kept] == [(len(i) + 1, crc([*i, 2])) for i in ids]
+    sp = sentencepiece.SentencePieceProcessor(model_file=P.path("piece_bpe_32k.model"))
+    want = [hashlib.sha256(" ".join(map(str, [*sp.encode(t), 2])).encode()).hexdigest() for t in texts]
+    assert [r.ids_sha256 for r in pieces.encode_pieces(df, model_path=P.path("piece_bpe_32k.model")).orderBy("doc_id").collect()] == want
+
+
 def test_empty_tables(empty):
     assert token_counts.count_tokens(empty, tokenizer=P.path("word_bpe_49k.json")).count() == 0
     assert packing.pack_documents(empty, tokenizer=P.path("byte_bpe_50k.json")).count() == 0
