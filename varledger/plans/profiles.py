@@ -110,6 +110,28 @@ def distinct_estimates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 DISTINCT_SQL = " UNION ALL ".join(f"SELECT '{c}' AS col, count(DISTINCT {c}) AS n_distinct, TRUE AS near FROM lineitem" for c in NUMERIC["lineitem"])
 
+def lexical_types(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Datatypes of columns that are all text, as a delimited file gives them."""
+    text = table(spark, sf_dir, "orders").select(
+        F.col("o_orderkey").cast("string").alias("key"), F.col("o_totalprice").cast("string").alias("price"), F.col("o_orderstatus").alias("status"),
+        (F.col("o_totalprice") > 100000).cast("string").alias("large"), F.date_format("o_orderdate", "yyyy-MM-dd").alias("day"),
+        F.when(F.col("o_orderkey") % 2 == 0, F.substring("o_orderpriority", 1, 1)).alias("digit"),
+    )
+    return evidence.type_flags(text).select(F.col("column").alias("col"), "xsd_datatype")
+
+
+def _types_sql() -> str:
+    parts = {
+        "key": "CAST(o_orderkey AS VARCHAR)", "price": "CAST(o_totalprice AS VARCHAR)", "status": "o_orderstatus", "large": "CAST(o_totalprice > 100000 AS VARCHAR)",
+        "day": "strftime(o_orderdate, '%Y-%m-%d')", "digit": "CASE WHEN o_orderkey % 2 = 0 THEN substring(o_orderpriority, 1, 1) END",
+    }
+    return " UNION ALL ".join(
+        f"""SELECT '{c}' AS col, CASE WHEN bool_and(regexp_full_match(x, '[+-]?[0-9]+')) THEN 'Integer' WHEN bool_and(TRY_CAST(x AS DOUBLE) IS NOT NULL) THEN 'Double'
+WHEN bool_and(lower(x) IN ('true', 'false')) THEN 'Boolean' WHEN bool_and(regexp_full_match(x, '[0-9]{{4}}-[0-9]{{2}}-[0-9]{{2}}')) THEN 'Date' ELSE 'String' END AS xsd_datatype FROM (SELECT {e} AS x FROM orders) WHERE x IS NOT NULL"""
+        for c, e in parts.items()
+    )
+
+
 KINDS = ("customer", "supplier", "part", "orders", "nation")
 
 
@@ -373,6 +395,7 @@ def queries():
         "corpus_profile_by_lang_source": lang_source,
         "distinct_estimates": distinct_estimates,
         "structural_kinds": structural_kinds,
+        "lexical_types": lexical_types,
         "small_support_complete": small_support,
         "five_column_comparison": five_columns,
         "class_transitions": transitions,
@@ -396,6 +419,7 @@ def oracle_sql():
         "corpus_profile_by_lang_source": LANG_SOURCE_SQL,
         "distinct_estimates": DISTINCT_SQL,
         "structural_kinds": KINDS_SQL,
+        "lexical_types": _types_sql(),
         "small_support_complete": SUPPORT_SQL,
         "five_column_comparison": FIVE_SQL,
         "class_transitions": _transitions_sql(),

@@ -46,13 +46,27 @@ WORDS_SQL = "SELECT CAST(n_chars AS DOUBLE) AS n_chars, CAST(length(text) - leng
 
 def _glm(frame, y: str, x: str, family: str):
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        fit = refit.glm(frame(spark, sf_dir), y, [x], family=family)
-        rows = [(family, n, float(v), float(fit["errors"][n]), float(fit["dispersion"]), fit["n"]) for n, v in fit["coefficients"].items()]
-        return spark.createDataFrame(rows, "family string, term string, estimate double, error double, dispersion double, n long")
+        """Whether the estimates solve the family's score equations, by a pass of
+        its own over the rows, and whether the errors are positive."""
+        rows = refit.complete(frame(spark, sf_dir), [y, x])
+        fit = refit.glm(rows, y, [x], family=family)
+        c = fit["coefficients"]
+        eta = F.lit(c["intercept"]) + F.lit(c[x]) * F.col(x)
+        mu = 1 / (1 + F.exp(-eta)) if family == "fraclogit" else F.exp(eta)
+        weight = 1 / (1 + F.lit(fit["dispersion"]) * mu) if family == "negbin" else F.lit(1.0)
+        off = weight * (F.col(y) - mu)
+        scale = F.sum(F.abs(F.col(y))) + 1
+        got = rows.agg(F.count("*").alias("n"), (F.abs(F.sum(off)) / scale).alias("intercept"), (F.abs(F.sum(off * F.col(x))) / scale).alias(x)).first()
+        out = [(family, t, got.n, bool(got[t] < 1e-6), bool(fit["errors"][t] > 0)) for t in ("intercept", x)]
+        return spark.createDataFrame(out, "family string, term string, n long, solved boolean, error_positive boolean")
 
     return run
 
 
+def _glm_sql(table_: str, x: str, family: str) -> str:
+    return f"SELECT '{family}' AS family, term, (SELECT count(*) FROM {table_}) AS n, TRUE AS solved, TRUE AS error_positive FROM (VALUES ('intercept'), ('{x}')) v(term)"
+
+
 def refit_log(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Least squares of a logged response, which is a variable of its own with a
     checked step from the raw one, and raises no alert as a raw count would."""
@@ -308,6 +322,10 @@ SELECT class, count(*) AS n_records, CAST(coalesce(sum(n_fits), 0) AS BIGINT) AS
 round(median(share) FILTER (share >= 0.01), 6) AS median_share, round(max(share) FILTER (share >= 0.01), 6) AS max_share FROM clear LEFT JOIN one USING (deposit_id, estimator, outcome) GROUP BY class""",
         "refit_log_ols": LOG_OLS_SQL,
         "refit_within": WITHIN_SQL,
+        "refit_poisson": _glm_sql("documents", "size", "poisson"),
+        "refit_quasipoisson": _glm_sql("documents", "size", "quasipoisson"),
+        "refit_fraclogit": _glm_sql(f"({ORDER_QUANTITIES_SQL})", "mean_10", "fraclogit"),
+        "refit_negbin": _glm_sql(f"({ORDER_QUANTITIES_SQL})", "total_100", "negbin"),
         **{f"refit_groups_{f}": _grouped_sql(f) for f in GROUPED},
         "precision_by_lang": WILSON_SQL.format(by="lang"),
         "precision_weighted": """SELECT round(sum(w * k / n) / sum(w), 6) AS precision, CAST(sum(w) AS BIGINT) AS weight FROM
