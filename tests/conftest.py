@@ -42,27 +42,13 @@ def duck():
     return con
 
 
-def _cell(v):
-    import pandas as pd
-
-    if pd.api.types.is_scalar(v) and pd.isna(v):
-        return "NULL"
-    if isinstance(v, bool) or str(v) in ("True", "False"):
-        return str(bool(v))
-    return f"{float(v):.8g}" if isinstance(v, (int, float)) or hasattr(v, "dtype") else str(v)
-
-
-def rows_of(pdf):
-    """Rows of a pandas frame as comparable text, columns by name."""
-    return sorted(tuple(_cell(v) for v in r) for r in pdf[sorted(pdf.columns)].astype(object).itertuples(index=False))
-
-
 @pytest.fixture(scope="session")
 def same(spark, duck):
     """Compare a registered query with its SQL on the smallest tables."""
 
     def check(name):
         import __spark_entry__ as entry
+        from comparing import rows_of
 
         got = entry.queries()[name](spark, SMALL).toPandas()
         want = duck.execute(entry.oracle_sql()[name]).df()

@@ -2,7 +2,7 @@
 times the parts of the smallest tables."""
 
 import pytest
-from conftest import rows_of
+from comparing import rows_of
 
 MEDIUM = "/root/testdata/sf0.01"
 
