@@ -8,6 +8,7 @@ from brute import components, quality, substring
 from pyspark.sql import functions as F
 
 from varledger.llm import jaccard_join, windows
+from varledger.llm.components import connected_components
 from varledger.llm.jaccard_join import jaccard_components
 from varledger.llm.language_id import fit, held_out, identify
 from varledger.llm.quality import RULES, judge, ordered, text_statistics
@@ -65,6 +66,23 @@ def test_jaccard_equals_brute_force(docs, rows):
     assert sorted(map(tuple, jaccard_components(docs).collect()), key=KEY) == sorted(components(rows), key=KEY)
 
 
+def test_components_of_long_chains(spark):
+    """Chains whose smaller end is far from most nodes settle, too: 'there and
+    back' numbers, a chain in random order, and a random graph beside them."""
+    rng = random.Random(3)
+    back = [1, *range(1000, 1090), *range(999, 909, -1), 2]
+    chain = rng.sample(range(2000, 2400), 400)
+    edges = list(zip(back, back[1:])) + list(zip(chain, chain[1:]))
+    edges += [(rng.randrange(5000, 5300), rng.randrange(5000, 5300)) for _ in range(200)]
+    want = {}
+    for a, b in edges:
+        both = want.setdefault(a, {a}) | want.setdefault(b, {b})
+        want.update(dict.fromkeys(both, both))
+    alone = {a for a, b in edges if a == b and len(want[a]) == 1}
+    got = connected_components(spark.createDataFrame(edges, "a long, b long")).collect()
+    assert sorted(map(tuple, got)) == sorted((n, min(c)) for n, c in want.items() if n not in alone)
+
+
 def test_jaccard_large_blocks_lose_no_link(spark, monkeypatch):
     """A chain and a family in slices of a few sets, over several chunks."""
     monkeypatch.setattr(jaccard_join, "CHUNK_WORDS", 700)
