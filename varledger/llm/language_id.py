@@ -212,10 +212,11 @@ def fit(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang
     each = min(per_class, max(1, most // max(1, langs_seen)))
     # More than are used, since a short text has fewer cuts.
     drawn = each + (each + 1) // 2
-    # Only texts under a hash threshold, twice as deep as the draw, are ranked,
-    # so a language of a third of all texts is never in one task.
+    # Only texts under a hash threshold, twice as deep as the draw and 40 texts
+    # more, are ranked, so a language of a third of all texts is never in one
+    # task, and the smallest draw finds its texts, too.
     spot = F.shiftrightunsigned("h", 11).cast("double") / float(1 << 53)
-    depth = [x for lang, n in n_texts.items() for x in (F.lit(lang), F.lit(2.0 * drawn / max(n, 1)))]
+    depth = [x for lang, n in n_texts.items() for x in (F.lit(lang), F.lit((2.0 * drawn + 40) / max(n, 1)))]
     near = labelled.where(spot < F.create_map(*depth)[F.col("lang")]) if depth else labelled
     place = F.row_number().over(Window.partitionBy("lang").orderBy("h"))
     chosen = near.select("lang", "h").distinct().withColumn("r", place).where(F.col("r") <= drawn).select("lang", "h")
