@@ -12,6 +12,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+
+def _grown(rows: DataFrame) -> DataFrame:
+    """A side that has a row for each deposit or more, for a join that merges.
+    The optimizer sizes texts built from a key by the scan of that key, and
+    would send millions of them through the driver."""
+    return rows.hint("merge")
+
+
 RECORD = "array<struct<outcome:string,family:string,role:string,column:string,use:string>>"
 
 
@@ -30,7 +38,7 @@ def normal_doi(doi: Column) -> Column:
 def by_doi(deposits: DataFrame, papers: DataFrame) -> DataFrame:
     a = deposits.where("doi IS NOT NULL").select("deposit_id", normal_doi(F.col("doi")).alias("k"))
     b = papers.where("doi IS NOT NULL").select("paper_id", normal_doi(F.col("doi")).alias("k"))
-    return a.join(b, "k").select("deposit_id", "paper_id", F.lit("doi").alias("method"))
+    return a.join(_grown(b), "k").select("deposit_id", "paper_id", F.lit("doi").alias("method"))
 
 
 def by_title(deposits: DataFrame, papers: DataFrame) -> DataFrame:
@@ -44,12 +52,12 @@ def by_title(deposits: DataFrame, papers: DataFrame) -> DataFrame:
     df = words_a.select("w").unionByName(words_b.select("w")).groupBy("w").agg(F.count("*").alias("df"))
 
     def rarest(words: DataFrame, key: str, t: str) -> DataFrame:
-        ranked = words.join(df, "w").groupBy(key, t).agg(F.min(F.struct("df", "w")).alias("m"))
+        ranked = words.join(_grown(df), "w").groupBy(key, t).agg(F.min(F.struct("df", "w")).alias("m"))
         return ranked.select(key, t, F.col("m.w").alias("w"))
 
     bound = lambda t: F.concat(F.lit(" "), t, F.lit(" "))
-    inside = rarest(words_a, "deposit_id", "ta").join(words_b, "w").where(bound(F.col("tb")).contains(bound(F.col("ta"))))
-    around = rarest(words_b, "paper_id", "tb").join(words_a, "w").where(bound(F.col("ta")).contains(bound(F.col("tb"))))
+    inside = rarest(words_a, "deposit_id", "ta").join(_grown(words_b), "w").where(bound(F.col("tb")).contains(bound(F.col("ta"))))
+    around = rarest(words_b, "paper_id", "tb").join(_grown(words_a), "w").where(bound(F.col("ta")).contains(bound(F.col("tb"))))
     cols = ["deposit_id", "paper_id"]
     return inside.select(cols).unionByName(around.select(cols)).distinct().withColumn("method", F.lit("title"))
 
@@ -62,7 +70,7 @@ def resolve(deposits: DataFrame, *methods: DataFrame) -> DataFrame:
         part = m.withColumn("r", F.lit(i))
         ranked = part if ranked is None else ranked.unionByName(part)
     best = ranked.groupBy("deposit_id").agg(F.min(F.struct("r", "paper_id", "method")).alias("b"))
-    return deposits.select("deposit_id").join(best, "deposit_id", "left").select(
+    return deposits.select("deposit_id").join(_grown(best), "deposit_id", "left").select(
         "deposit_id", F.col("b.paper_id").alias("paper_id"), F.coalesce("b.method", F.lit("unresolved")).alias("method")
     )
 
