@@ -12,13 +12,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-
-def _grown(rows: DataFrame) -> DataFrame:
-    """A side that has a row for each deposit or more, for a join that merges.
-    The optimizer sizes texts built from a key by the scan of that key, and
-    would send millions of them through the driver."""
-    return rows.hint("merge")
-
+from .joins import grown
 
 RECORD = "array<struct<outcome:string,family:string,role:string,column:string,use:string>>"
 
@@ -38,7 +32,7 @@ def normal_doi(doi: Column) -> Column:
 def by_doi(deposits: DataFrame, papers: DataFrame) -> DataFrame:
     a = deposits.where("doi IS NOT NULL").select("deposit_id", normal_doi(F.col("doi")).alias("k"))
     b = papers.where("doi IS NOT NULL").select("paper_id", normal_doi(F.col("doi")).alias("k"))
-    return a.join(_grown(b), "k").select("deposit_id", "paper_id", F.lit("doi").alias("method"))
+    return a.join(grown(b), "k").select("deposit_id", "paper_id", F.lit("doi").alias("method"))
 
 
 def by_title(deposits: DataFrame, papers: DataFrame) -> DataFrame:
@@ -52,12 +46,12 @@ def by_title(deposits: DataFrame, papers: DataFrame) -> DataFrame:
     df = words_a.select("w").unionByName(words_b.select("w")).groupBy("w").agg(F.count("*").alias("df"))
 
     def rarest(words: DataFrame, key: str, t: str) -> DataFrame:
-        ranked = words.join(_grown(df), "w").groupBy(key, t).agg(F.min(F.struct("df", "w")).alias("m"))
+        ranked = words.join(grown(df), "w").groupBy(key, t).agg(F.min(F.struct("df", "w")).alias("m"))
         return ranked.select(key, t, F.col("m.w").alias("w"))
 
     bound = lambda t: F.concat(F.lit(" "), t, F.lit(" "))
-    inside = rarest(words_a, "deposit_id", "ta").join(_grown(words_b), "w").where(bound(F.col("tb")).contains(bound(F.col("ta"))))
-    around = rarest(words_b, "paper_id", "tb").join(_grown(words_a), "w").where(bound(F.col("ta")).contains(bound(F.col("tb"))))
+    inside = rarest(words_a, "deposit_id", "ta").join(grown(words_b), "w").where(bound(F.col("tb")).contains(bound(F.col("ta"))))
+    around = rarest(words_b, "paper_id", "tb").join(grown(words_a), "w").where(bound(F.col("ta")).contains(bound(F.col("tb"))))
     cols = ["deposit_id", "paper_id"]
     return inside.select(cols).unionByName(around.select(cols)).distinct().withColumn("method", F.lit("title"))
 
@@ -70,7 +64,7 @@ def resolve(deposits: DataFrame, *methods: DataFrame) -> DataFrame:
         part = m.withColumn("r", F.lit(i))
         ranked = part if ranked is None else ranked.unionByName(part)
     best = ranked.groupBy("deposit_id").agg(F.min(F.struct("r", "paper_id", "method")).alias("b"))
-    return deposits.select("deposit_id").join(_grown(best), "deposit_id", "left").select(
+    return deposits.select("deposit_id").join(grown(best), "deposit_id", "left").select(
         "deposit_id", F.col("b.paper_id").alias("paper_id"), F.coalesce("b.method", F.lit("unresolved")).alias("method")
     )
 
@@ -99,11 +93,11 @@ def metadata_sheet(profiles: DataFrame, labels: DataFrame | None = None) -> Data
 
 def requests(pairs: DataFrame, papers: DataFrame, sheets: DataFrame, scripts: DataFrame | None = None) -> DataFrame:
     """One request for each paired paper; with scripts it is the code arm."""
-    out = pairs.select("deposit_id", "paper_id").join(papers.select("paper_id", "text"), "paper_id").join(sheets, "deposit_id")
+    out = pairs.select("deposit_id", "paper_id").join(grown(papers.select("paper_id", "text")), "paper_id").join(grown(sheets), "deposit_id")
     arm = "text+metadata"
     if scripts is not None:
         code = scripts.groupBy("deposit_id").agg(F.array_join(F.array_sort(F.collect_list("text")), "\n").alias("code"))
-        out, arm = out.join(code, "deposit_id", "left"), "text+metadata+code"
+        out, arm = out.join(grown(code), "deposit_id", "left"), "text+metadata+code"
     body = F.to_json(F.struct("deposit_id", *[c for c in ("text", "sheet", "code") if c in out.columns]))
     return out.select("deposit_id", "paper_id", F.lit(arm).alias("arm"), body.alias("request"), F.sha2(body, 256).alias("request_id"))
 
@@ -125,7 +119,7 @@ def extract_two_step(asked: DataFrame, distil: Callable[[str], str], settle: Cal
     """Baseline of two calls: distil the paper, then settle what is left on the
     columns of the sheet."""
     first = extract(asked, distil)
-    second = first.join(asked.select("request_id", "request"), "request_id").select(
+    second = first.join(grown(asked.select("request_id", "request")), "request_id").select(
         "request_id",
         F.to_json(F.struct(F.col("response").alias("text"), F.from_json(F.get_json_object("request", "$.sheet"), VARIABLE).alias("sheet"))).alias("request"),
     )
@@ -135,7 +129,7 @@ def extract_two_step(asked: DataFrame, distil: Callable[[str], str], settle: Cal
 def replay(asked: DataFrame, responses: DataFrame) -> DataFrame:
     """Stored responses (request_id, extractor, response) in place of a model:
     request_id, extractor, response of every request that has one."""
-    return asked.select("request_id").join(responses, "request_id")
+    return asked.select("request_id").join(grown(responses), "request_id")
 
 
 _COMMENT = re.compile(r"^\s*(#|\*|/\*|//)")
@@ -199,7 +193,7 @@ def guard(rows: DataFrame, sheets: DataFrame) -> DataFrame:
     type and range contradict the stated family: a count is integer and not
     negative, a share lies in the unit interval, a binary has two values."""
     known = sheets.select("deposit_id", F.inline("sheet")).select("deposit_id", F.col("name").alias("column"), "type", "low", "high", "n_distinct")
-    out = rows.join(known, ["deposit_id", "column"], "left")
+    out = rows.join(grown(known), ["deposit_id", "column"], "left")
     fits = (
         F.when(F.col("family") == "count", (F.col("type") == "integer") & (F.col("low") >= 0))
         .when(F.col("family") == "proportion", (F.col("low") >= 0) & (F.col("high") <= 1))
@@ -222,8 +216,8 @@ def score(rows: DataFrame, cases: DataFrame, twins: DataFrame) -> DataFrame:
     whose family was not stated or contradicts the case; an accepted pick of
     another column; one as a predictor only; else what the guard said.
     """
-    pick = rows.join(cases.select("case_id", F.col("column").alias("want"), F.col("family").alias("want_family")), "case_id")
-    pick = pick.join(twins.select("case_id", F.col("column").alias("twin")), "case_id", "left")
+    pick = rows.join(grown(cases.select("case_id", F.col("column").alias("want"), F.col("family").alias("want_family"))), "case_id")
+    pick = pick.join(grown(twins.select("case_id", F.col("column").alias("twin"))), "case_id", "left")
     used = (F.col("status") == "accepted") & (F.col("use") == "outcome")
     exact = used & (F.col("column") == F.col("want"))
     derived = used & (F.col("column") == F.col("twin")) & (F.col("column") != F.col("want"))

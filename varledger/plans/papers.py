@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import classify, fingerprint
+from ..operators.joins import grown
 from ..sources import archive
 from ..sources.store import stored
 from ..sources.tables import table
@@ -129,10 +130,10 @@ def _scored(census: Census) -> DataFrame:
         fingerprint.extract_two_step(text_only, fingerprint.distil_keywords, fingerprint.extract_keywords).withColumn("extractor", F.lit("two-step"))
     )
     arm = F.when(F.col("extractor") == "two-step", "comparators").otherwise(F.col("arm"))
-    records = said.join(asked.select("request_id", "deposit_id", "arm"), "request_id").select(
+    records = said.join(grown(asked.select("request_id", "deposit_id", "arm")), "request_id").select(
         "deposit_id", arm.alias("arm"), "extractor", F.col("deposit_id").alias("case_id"), "response"
     )
-    links = census.links.join(pairs.select("deposit_id"), "deposit_id", "left_semi").where("data_file = 'data-1'")
+    links = census.links.join(grown(pairs.select("deposit_id")), "deposit_id", "left_semi").where("data_file = 'data-1'")
     rows = fingerprint.guard(fingerprint.parse(records).unionByName(fingerprint.from_code(links)), sheets)
     cases = archive.cases(spark, sf_dir).select(F.col("deposit_id").alias("case_id"), F.col("outcome").alias("column"), "family")
     return fingerprint.score(rows, cases, archive.twins(spark, sf_dir))
