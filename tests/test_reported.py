@@ -19,3 +19,13 @@ def test_rows_follow_a_given_table(spark, name):
     n = {kind: spark.read.parquet(f"{SMALL}/documents.parquet").where(f"coalesce(length(text), 0) % 4 = {kind}").count() for kind in range(4)}
     want = {"alerts": n[0] + n[2], "as_of_view": sum(n.values()), "inventory": sum(n.values())}[name]
     assert entry.queries()[name](spark, SMALL).count() == want > 4
+
+
+def test_cases_follow_documents_with_one_outcome_each(spark):
+    import __spark_entry__ as entry
+
+    from varledger.plans.profiles import CASES
+
+    rows = entry.queries()["regression_cases"](spark, SMALL).collect()
+    assert {r.doc_id for r in rows} == {r.doc_id for r in spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id").collect()}
+    assert {r.case_name for r in rows} == set(CASES) and len({tuple(r)[1:] for r in rows}) == len(CASES)
