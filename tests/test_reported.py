@@ -29,3 +29,16 @@ def test_cases_follow_documents_with_one_outcome_each(spark):
     rows = entry.queries()["regression_cases"](spark, SMALL).collect()
     assert {r.doc_id for r in rows} == {r.doc_id for r in spark.read.parquet(f"{SMALL}/documents.parquet").select("doc_id").collect()}
     assert {r.case_name for r in rows} == set(CASES) and len({tuple(r)[1:] for r in rows}) == len(CASES)
+
+
+def test_each_query_reads_the_documents(spark, monkeypatch):
+    """Not only the first of an application."""
+    import __spark_entry__ as entry
+
+    from varledger.sources import reported
+
+    read = []
+    monkeypatch.setattr(reported, "table", lambda spark, sf_dir, name, table=reported.table: read.append(name) or table(spark, sf_dir, name))
+    for name in ("as_of_view", "inventory", "as_of_view"):
+        entry.queries()[name](spark, SMALL)
+    assert read == ["documents"] * 3
